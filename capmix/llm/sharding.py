@@ -51,12 +51,15 @@ def _once(x: Column, n: int, key: str) -> Column:
     a, b = domain(n)
     side = F.lit(b).cast("bigint")
     state = F.struct(((x - x % side) / side).cast("bigint").alias("l"), (x % side).alias("r"))
+    def left(k: int):
+        return lambda s: F.struct(((s["l"] + _draw(s["r"], k, key, a)) % F.lit(a)).alias("l"), s["r"].alias("r"))
+
+    def right(k: int):
+        return lambda s: F.struct(s["l"].alias("l"), ((s["r"] + _draw(s["l"], k, key, b)) % F.lit(b)).alias("r"))
+
     for k in range(ROUNDS):
         # transform() over one element binds each round's state once, so it isn't expanded twice
-        if k % 2 == 0:
-            state = F.transform(F.array(state), lambda s, k=k: F.struct(((s["l"] + _draw(s["r"], k, key, a)) % F.lit(a)).alias("l"), s["r"].alias("r")))[0]
-        else:
-            state = F.transform(F.array(state), lambda s, k=k: F.struct(s["l"].alias("l"), ((s["r"] + _draw(s["l"], k, key, b)) % F.lit(b)).alias("r")))[0]
+        state = F.transform(F.array(state), left(k) if k % 2 == 0 else right(k))[0]
     return F.transform(F.array(state), lambda s: s["l"] * F.lit(b) + s["r"])[0]
 
 
