@@ -5,11 +5,11 @@ Index: coarse centroids and the sub-space codebooks are fitted on at most `sampl
 hash of their components); every row is indexed. Rows with equal vectors are one entry that names
 its `top + 1` smallest ids: no further one can be among anybody's nearest, since ties go to smaller ids.
 
-Search: a query scores all centroids and visits the `probes` best lists. Lists are dealt to tasks in
-blocks of at most `block_rows` entries, so a long list is no long task. In a block a query's lookup table of
+Search: a query scores all centroids and visits the `probe_share` of lists that score best. Lists are dealt to
+tasks in blocks of about `block_rows` entries, so a long list is no long task. In a block a query's lookup table of
 inner products with all codewords ranks the entries (asymmetric: the query isn't quantised); the best
-`shortlist` are scored exactly on the original vectors in double precision. What can't reach the query's floor (its exact
-top-th best among the fitted sample, a lower bound of the top-th best of all) is not sent on.
+`shortlist` are scored exactly on the original vectors in double precision, and the block's `top` best are sent on.
+Short lists share a block.
 
 Scores are sums in component order, so equal vectors have equal scores and ties go to smaller ids.
 
@@ -58,11 +58,10 @@ def k_means(x: np.ndarray, k: int, rounds: int, seed: int) -> np.ndarray:
 
 @dataclass
 class Index:
-    """What every task needs: centroids, codebooks, the fitted sample (bounded) and its ids."""
+    """What every task needs: centroids and codebooks, and how many lists a query visits."""
 
     centroids: np.ndarray  # lists x dimensions
     codebooks: np.ndarray  # parts x words x part dimensions
-    sample: np.ndarray
     probes: int
 
     def assign(self, x: np.ndarray) -> np.ndarray:
@@ -105,7 +104,7 @@ def fit(vectors: DataFrame, lists: int | None, probe_share: float, parts: int, s
     x = np.array([v for v in got if len(v) == dim], float)
     lists = lists or max(1, min(4096, int(np.sqrt(n) / 4)))
     centroids = k_means(x, lists, rounds, seed)
-    index = Index(centroids, np.zeros((0, 0, 0)), x, max(1, int(np.ceil(probe_share * len(centroids)))))
+    index = Index(centroids, np.zeros((0, 0, 0)), max(1, int(np.ceil(probe_share * len(centroids)))))
     d = -(-dim // parts)
     rest = np.zeros((len(x), parts * d))
     rest[:, :dim] = x - centroids[index.assign(x)]
@@ -117,7 +116,22 @@ def _padded(book: np.ndarray) -> np.ndarray:
     return book if len(book) == 256 else np.concatenate([book, np.repeat(book[:1], 256 - len(book), axis=0)])
 
 
-def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, probe_share: float = 0.7, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
+def shelve(sizes: dict[int, int], block_rows: int) -> tuple[dict[int, int], dict[int, int]]:
+    """For each list its first block and its number of blocks: short lists share one, long ones are cut."""
+    first, parts, block, room = {}, {}, 0, block_rows
+    for c, n in sorted(sizes.items()):
+        parts[c] = -(-n // block_rows)
+        if parts[c] > 1 or n > room:
+            block, room = block + (room < block_rows), block_rows
+        first[c] = block
+        if parts[c] > 1:
+            block += parts[c]
+        else:
+            room -= n
+    return first, parts
+
+
+def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, probe_share: float = 0.85, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
     """(query_id, rank, vec_id, score): the nearest found of each row of `queries` among all rows of df.
 
     A query's own id is no candidate.
@@ -150,13 +164,13 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
 
     stored = materialise(entries.select("v", "ids").mapInArrow(put, "list int, ids array<bigint>, v array<double>, code binary"), "index")
     sizes = {r["list"]: r["count"] for r in stored.groupBy("list").count().collect()}  # a row for each list
-    blocks = {k: -(-n // block_rows) for k, n in sizes.items()}
-    spread = F.element_at(F.create_map(*[F.lit(v) for kv in blocks.items() for v in kv]), F.col("list"))
-    stored = stored.withColumn("block", F.pmod(F.xxhash64("v"), spread).cast("int"))
+    first_block, parts_of = shelve(sizes, block_rows)
+    by_list = lambda d: F.element_at(F.create_map(*[F.lit(v) for kv in d.items() for v in kv]), F.col("list"))
+    stored = stored.withColumn("block", (by_list(first_block) + F.pmod(F.xxhash64("v"), by_list(parts_of))).cast("int"))
     q_parts = max(1, asked.count() // QUERY_ROWS)
 
     def probe(batches):
-        """For each query its floor, and a row for each block of the lists that it visits."""
+        """For each query a row for each block that holds lists which it visits."""
         for batch in batches:
             for k in range(0, batch.num_rows, 1024):
                 part = batch.slice(k, 1024)
@@ -164,37 +178,47 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
                     continue
                 x = matrix(part.column(1))
                 best = np.argsort(-(x @ index.centroids.T), axis=1, kind="stable")[:, : index.probes]
-                # one place is left for the query's own vector; a little room for rounding
-                floor = np.full(len(x), -np.inf)
-                if len(index.sample) > top:
-                    floor = -np.partition(-(x @ index.sample.T), top, axis=1)[:, top] - 1e-9
-                to = [[(c, b) for c in row for b in range(blocks.get(c, 0))] for row in best.tolist()]
-                at = np.repeat(np.arange(len(x)), [len(t) for t in to])
-                flat = [p for t in to for p in t]
-                yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in flat], pa.int32()), pa.array([p[1] for p in flat], pa.int32()), part.column(0).take(pa.array(at)), part.column(1).take(pa.array(at)), pa.array(floor[at])], ["list", "block", "query_id", "q", "floor"])
-
-    probes = asked.select("vec_id", "v").repartition(width(spark)).mapInArrow(probe, "list int, block int, query_id bigint, q array<double>, floor double")
+                at, to, visits = [], [], []
+                for row, lists_ in enumerate(best.tolist()):
+                    wanted: dict[int, list[int]] = {}
+                    for c in lists_:
+                        for b in range(parts_of.get(c, 0)):
+                            wanted.setdefault(first_block[c] + b, []).append(c)
+                    at += [row] * len(wanted)
+                    to += wanted.keys()
+                    visits += wanted.values()
+                yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), pa.array(visits, pa.list_(pa.int32())), part.column(0).take(pa.array(at, pa.int64())), part.column(1).take(pa.array(at, pa.int64()))], ["block", "lists", "query_id", "q"])
+
+    probes = asked.select("vec_id", "v").repartition(width(spark)).mapInArrow(probe, "block int, lists array<int>, query_id bigint, q array<double>")
     probes = probes.withColumn("part", F.pmod(F.xxhash64("query_id"), F.lit(q_parts)).cast("int"))
     entries_by_part = stored.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(q_parts - 1))))
-    keys = ["list", "block", "part"]
+    keys = ["block", "part"]
 
     def visit(left: pa.Table, right: pa.Table) -> pa.Table:
         got = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
         if left.num_rows and right.num_rows:
+            left = left.sort_by("list")
             x, codes = matrix(left.column("v")), np.frombuffer(b"".join(left.column("code").to_pylist()), np.uint8).reshape(left.num_rows, -1)
-            lists_, ids = left.column("list")[0].as_py(), left.column("ids").to_pylist()
+            lists_ = left.column("list").to_numpy()
+            here = {c: slice(*np.searchsorted(lists_, [c, c + 1])) for c in np.unique(lists_).tolist()}
+            ids = left.column("ids").to_pylist()
             n_ids = np.array([len(i) for i in ids])
             flat, begin = np.array([v for i in ids for v in i], np.int64), np.cumsum(n_ids) - n_ids
-            q, q_ids, floors = matrix(right.column("q")), right.column("query_id").to_numpy(), right.column("floor").to_numpy()
-            base = q @ index.centroids[lists_]
+            q, q_ids, wanted = matrix(right.column("q")), right.column("query_id").to_numpy(), right.column("lists").to_pylist()
+            base = q @ index.centroids.T
             tables = index.tables(q)
-            take = min(shortlist, len(x))
+            cells = codes.astype(np.int64) + 256 * np.arange(codes.shape[1])
             for k in range(len(q)):
-                near = base[k] + tables[k][np.arange(codes.shape[1]), codes].sum(axis=1)
+                near = np.full(len(x), -np.inf)
+                flat_table = tables[k].ravel()
+                for c in wanted[k]:
+                    if c in here:
+                        near[here[c]] = base[k, c] + flat_table[cells[here[c]]].sum(axis=1)
+                take = min(shortlist, int((near > -np.inf).sum()))
+                if not take:
+                    continue
                 short = np.argpartition(-near, take - 1)[:take]
                 score = exact_scores(np.broadcast_to(q[k], (take, dim)), x[short])
-                good = score >= floors[k]
-                short, score = short[good], score[good]
                 order = np.argsort(-score, kind="stable")
                 if len(order) > top + 1:
                     order = order[score[order] >= score[order[top]]]
