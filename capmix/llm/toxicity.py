@@ -163,7 +163,13 @@ def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 12
         return Lexicon({}, constant=float(bad > 0))
     counts = rows.mapInArrow(count, "gram string, toxic bigint, clean bigint").groupBy("gram").agg(F.sum("toxic").alias("toxic"), F.sum("clean").alias("clean"))
     odds = (F.col("toxic") + 0.5) / (bad + 1) / ((F.col("clean") + 0.5) / (good + 1))
-    found = counts.filter(F.col("toxic") >= min_documents).withColumn("odds", odds).filter(F.col("odds") >= min_ratio).orderBy(F.desc("toxic"), F.desc("odds"), "gram").limit(20 * max_entries).collect()
+    # Evidence that a gram's documents aren't toxic at the base rate, in nats; as many grams are tried, at
+    # most about one of those kept is there by chance.
+    n, p = F.col("toxic") + F.col("clean"), bad / (bad + good)
+    evidence = F.col("toxic") * F.log(F.col("toxic") / (n * p)) + F.when(F.col("clean") > 0, F.col("clean") * F.log(F.col("clean") / (n * (1 - p)))).otherwise(0.0)
+    tried = materialise(counts.filter(F.col("toxic") >= min_documents).withColumn("odds", odds).withColumn("evidence", evidence), "grams")
+    enough = math.log(max(tried.count(), 1))
+    found = tried.filter((F.col("odds") >= min_ratio) & (F.col("evidence") >= enough)).orderBy(F.desc("toxic"), F.desc("odds"), "gram").limit(20 * max_entries).collect()
     entries = {r["gram"]: (r["toxic"], math.log(r["odds"])) for r in found}
     longest = {}
     for gram, (n, _) in entries.items():
