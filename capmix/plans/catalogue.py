@@ -2,10 +2,14 @@
 
 from __future__ import annotations
 
+from . import pool_queries
+
+MODULES = (pool_queries,)
+
 
 def queries():
-    return {}
+    return {k: v for m in MODULES for k, v in m.queries().items()}
 
 
 def oracle_sql():
-    return {}
+    return {k: v for m in MODULES for k, v in m.oracle_sql().items()}
