@@ -16,7 +16,7 @@ smallest hash of their id); every document is encoded and written.
 
 Defined cases: null text is an empty document (the end id alone); null ids come first; rows with equal
 ids all stay, ordered by their frames; an empty table gives a folder without blocks, read as no rows;
-extra columns are ignored. Documents are cut at ASCII white space before the tokenizer sees them, which
+extra columns are ignored. Documents are cut at white space before the tokenizer sees them, which
 is exact for tokenizers that drop white space (`splits_on_space`); others get the whole text.
 """
 
@@ -25,9 +25,12 @@ from __future__ import annotations
 import os
 import struct
 import zlib
+from array import array
+from unicodedata import is_normalized
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
@@ -40,15 +43,31 @@ HEAD = struct.Struct("<4sBBHQI")
 LEVEL = 3
 #: At most so many bytes of frames, or documents, in a block.
 BLOCK_BYTES, BLOCK_DOCS = 4 << 20, 4096
-#: Words kept by a worker's cache, and the longest word that goes there.
-CACHE_WORDS, CACHE_CHARS = 500_000, 48
+#: Pieces kept by a worker's cache, and the longest piece that stays there.
+CACHE_PIECES, CACHE_CHARS = 400_000, 48
 
 ENCODED = "bucket int, id bigint, n_tokens bigint, frame binary"
 BLOCKS = "bucket int, block int, first_id bigint, last_id bigint, n_docs int, start_in_bucket bigint, n_tokens bigint, ids array<bigint>, sizes array<bigint>, payload binary"
 
 
+def _byte_alphabet() -> list[str]:
+    """The letter of each byte in byte-level tokenizers: itself where it prints, else the next one from 256."""
+    prints = [*range(33, 127), *range(161, 173), *range(174, 256)]
+    letters = {b: chr(b) for b in prints}
+    for k, b in enumerate(b for b in range(256) if b not in letters):
+        letters[b] = chr(256 + k)
+    return [letters[b] for b in range(256)]
+
+
+_ALPHABET = _byte_alphabet()
+
+
 class Encoder:
-    """Whole texts to serialized ids, by the tokenizers library, with a bounded cache of words."""
+    """Whole texts to serialized ids, by the tokenizers library, with a bounded cache of pieces.
+
+    A batch is cut at white space and its distinct words are found by Arrow; only those are looked up, and
+    the documents' ids are gathered from them in one pass.
+    """
 
     def __init__(self, path: str, end_id: int | None, splits_on_space: bool = True):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
@@ -56,36 +75,82 @@ class Encoder:
 
         self.tokenizer = Tokenizer.from_file(path)
         self.width = 2 if max(self.tokenizer.get_vocab_size(), (end_id or 0) + 1) <= 1 << 16 else 4
-        self.kind = "<u2" if self.width == 2 else "<u4"
-        self.end = b"" if end_id is None else np.array([end_id], self.kind).tobytes()
+        self.code = "H" if self.width == 2 else "I"
+        self.end = b"" if end_id is None else array(self.code, [end_id]).tobytes()
         self.splits = splits_on_space
-        self.cache: dict[str, bytes] = {}
+        self.pieces: dict[str, bytes] = {}
 
     def _ids(self, texts: list[str]) -> list[bytes]:
-        return [np.array(e.ids, dtype=self.kind).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        return [array(self.code, e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Encode pieces. Lower-case words in normal form are one piece that only changes its byte alphabet."""
+        model, rest = self.tokenizer.model.tokenize, []
+        for p in pieces:
+            if p.isalpha() and (p.islower() if p.isascii() else p == p.lower() and is_normalized("NFC", p)):
+                word = p if p.isascii() else "".join([_ALPHABET[b] for b in p.encode()])
+                self.pieces[p] = array(self.code, [t.id for t in model(word)]).tobytes()
+            else:
+                rest.append(p)
+        for k in range(0, len(rest), 10_000):
+            part = rest[k : k + 10_000]
+            self.pieces.update(zip(part, self._ids(part), strict=True))
+
+    def _known(self, pieces: pa.Array) -> pa.Array:
+        """The ids of pieces, by their distinct ones."""
+        coded = pieces.dictionary_encode()
+        distinct, known = coded.dictionary.to_pylist(), self.pieces
+        if len(known) > CACHE_PIECES:
+            known.clear()
+        self._learn([p for p in distinct if p not in known])
+        out = pa.array([known[p] for p in distinct], pa.large_binary()).take(coded.indices)
+        for p in distinct:
+            if len(p) > CACHE_CHARS:
+                del known[p]
+        return out
 
-    def __call__(self, texts: list[str | None]) -> list[bytes]:
+    def _words(self, words: pa.Array) -> pa.Array:
+        """The ids of distinct words. Letters before full stops and commas are two pieces to the tokenizer."""
+        base = pc.utf8_rtrim(words, ".,")
+        alone = pc.utf8_is_alpha(base)
+        base = pc.if_else(alone, base, words)
+        plain = pc.and_(alone, pc.string_is_ascii(base))
+        head = self._known(pc.if_else(plain, pc.ascii_lower(base), base))
+        cut = pc.greater(pc.binary_length(words), pc.binary_length(base))
+        if not pc.any(cut).as_py():
+            return head
+        tails = pc.if_else(cut, pc.replace_substring_regex(words, r"^.*?([.,]+)$", r"\1"), "")
+        return pc.binary_join_element_wise(head, self._known(tails), pa.scalar(b"", pa.large_binary()))
+
+    def __call__(self, texts: pa.Array) -> list[bytes]:
+        texts = texts.fill_null("")
         if not self.splits:
-            return [b + self.end for b in self._ids([t or "" for t in texts])]
-        out = []
-        for text in texts:
-            words = (text or "").replace("\n", " ").replace("\t", " ").replace("\r", " ").split(" ")
-            known = self.cache
-            if missing := [w for w in dict.fromkeys(words) if w not in known]:
-                if len(known) + len(missing) > CACHE_WORDS:
-                    known.clear()
-                    missing = list(dict.fromkeys(words))
-                for k in range(0, len(missing), 20_000):
-                    part = missing[k : k + 20_000]
-                    known.update(zip(part, self._ids(part), strict=True))
-            out.append(b"".join(map(known.__getitem__, words)) + self.end)
-            if max(map(len, missing), default=0) > CACHE_CHARS:
-                for w in missing:
-                    if len(w) > CACHE_CHARS:
-                        del known[w]
+            return [b + self.end for b in self._ids(texts.to_pylist())]
+        # Arrow also cuts at four separators that aren't white space to tokenizers: such texts go whole
+        odd = pc.match_substring_regex(texts, "[\\x1c-\\x1f]")
+        lists = pc.utf8_split_whitespace(pc.if_else(odd, "", texts))
+        coded = lists.flatten().dictionary_encode()
+        ids = self._words(coded.dictionary).take(coded.indices)
+        data = ids.buffers()[2]
+        data = memoryview(data) if data is not None else memoryview(b"")
+        at = np.frombuffer(ids.buffers()[1], np.int64, len(ids) + 1, 8 * ids.offset)[np.asarray(lists.offsets)].tolist()
+        out = [bytes(data[a:b]) + self.end for a, b in zip(at[:-1], at[1:], strict=True)]
+        for k in np.flatnonzero(odd.to_numpy(zero_copy_only=False)).tolist():
+            out[k] = self._ids([texts[k].as_py()])[0] + self.end
         return out
 
 
+def slices(batch: pa.RecordBatch, column: int, size: int = 8 << 20):
+    """Parts of a batch with at most about `size` bytes in a string column each."""
+    ends = np.cumsum(pc.binary_length(batch.column(column)).fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64))
+    begin = 0
+    while begin < batch.num_rows:
+        done = ends[begin - 1] if begin else 0
+        end = max(begin + 1, int(np.searchsorted(ends, done + size, side="right")))
+        yield batch.slice(begin, end - begin)
+        begin = end
+
+
 _ENCODERS: dict[tuple, Encoder] = {}
 
 
@@ -109,7 +174,7 @@ def train_dictionary(df: DataFrame, id_col: str, text_col: str, tokenizer: str,
     share = min(1.0, 2.0 * sample_docs / n)
     drawn = F.pmod(F.xxhash64(id_col), F.lit(1 << 30))
     rows = df.select(F.col(text_col).alias("t"), drawn.alias("h")).filter(F.col("h") < int(share * (1 << 30)) + 1).orderBy("h").limit(sample_docs).collect()
-    texts = [r["t"] for r in rows if r["t"]]
+    texts = pa.array([r["t"] for r in rows if r["t"]], pa.string())
     samples = [x for x in encoder(tokenizer, end_id, splits_on_space)(texts) if len(x) >= 8]
     try:
         return zstandard.train_dictionary(size, samples).as_bytes()
@@ -158,10 +223,10 @@ def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int | None =
         enc = encoder(tokenizer, end_id, splits_on_space)
         writer = zstandard.ZstdCompressor(level=LEVEL, dict_data=zstandard.ZstdCompressionDict(sent.value)) if sent.value else zstandard.ZstdCompressor(level=LEVEL)
         for batch in batches:
-            for k in range(0, batch.num_rows, 1000):
-                part = batch.slice(k, 1000)
+            for part in slices(batch, 1):
                 ids = part.column(0).to_pylist()
-                raws = enc(part.column(1).to_pylist())
+                raws = enc(part.column(1))
+                pa.default_memory_pool().release_unused()
                 place = [0 if i is None else int(np.searchsorted(cuts, i, side="left")) for i in ids]
                 yield pa.RecordBatch.from_arrays([pa.array(place, pa.int32()), pa.array(ids, pa.int64()), pa.array([len(r) // enc.width for r in raws], pa.int64()), pa.array([writer.compress(r) for r in raws], pa.binary())], ["bucket", "id", "n_tokens", "frame"])
 
