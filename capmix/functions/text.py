@@ -24,8 +24,13 @@ def tokens(text: Column | str) -> Column:
 def ngrams(words: Column | str, n: int, joiner: str = " ") -> Column:
     """All runs of n tokens of one caption, with repeats; empty if it is shorter."""
     words = F.col(words) if isinstance(words, str) else words
-    last = F.size(words) - F.lit(n - 1)
-    return F.when(last >= 1, F.transform(F.sequence(F.lit(1), last), lambda k: F.array_join(F.slice(words, k, n), joiner))).otherwise(F.array().cast("array<string>"))
+
+    def runs(w: Column) -> Column:
+        last = F.size(w) - F.lit(n - 1)
+        return F.when(last >= 1, F.transform(F.sequence(F.lit(1), last), lambda k: F.array_join(F.slice(w, k, n), joiner))).otherwise(F.array().cast("array<string>"))
+
+    # bound once by a lambda: an expression in `words` must not be evaluated again for each run
+    return F.transform(F.array(words), runs)[0]
 
 
 def sentences(text: Column | str) -> Column:

@@ -71,7 +71,7 @@ def source_rates(docs: DataFrame, labels: DataFrame) -> DataFrame:
 
 def reliable_sources(docs: DataFrame, labels: DataFrame, threshold: float = 0.85) -> DataFrame:
     rates = source_rates(docs, labels).filter(F.col("rate") >= threshold)
-    return docs.join(rates, "source", "left_semi")
+    return docs.join(rates, "source")
 
 
 def mentions_objects(captions: DataFrame, assigned: DataFrame, concepts: int = 20) -> DataFrame:

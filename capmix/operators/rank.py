@@ -32,11 +32,12 @@ class Cut:
         """Is a row among the best k? Ties at the cut are split by id."""
         if self.sim is None:
             return F.lit(False)
+        sim = F.when(~F.isnan(sim), sim)
         return F.coalesce((sim > self.sim) | ((sim == self.sim) & (pair_id <= self.id)), F.lit(False))
 
     def covers_value(self, sim: Column) -> Column:
         """Does a score reach the cut's value? The id plays no part; without a cut nothing does."""
-        return F.lit(False) if self.sim is None else F.coalesce(sim >= self.sim, F.lit(False))
+        return F.lit(False) if self.sim is None else F.coalesce(F.when(~F.isnan(sim), sim) >= self.sim, F.lit(False))
 
 
 def rows_wanted(x: float, n: int) -> int:

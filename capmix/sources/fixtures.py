@@ -76,7 +76,9 @@ def evaluation_set(spark: SparkSession, sf_dir: str, weight: float = EVAL_WEIGHT
 
 def page_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
     """W: title as raw caption, paragraph text as content, url host as source, first path part as lang."""
-    html = F.regexp_replace("html", r"(?is)<(script|style|nav)[^>]*>.*?</\1>", " ")
+    html = F.col("html")
+    for tag in ("script", "style", "nav"):
+        html = F.regexp_replace(html, rf"(?is)<{tag}[^>]*>.*?</{tag}>", " ")
     paragraphs = F.regexp_extract_all(html, F.lit(r"(?is)<p[^>]*>(.*?)</p>"), F.lit(1))
     return load(spark, sf_dir, "pages").select(
         F.col("page_id").alias("pair_id"),
