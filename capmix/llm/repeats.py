@@ -38,8 +38,8 @@ from .words import spaced_bounds, spaced_words
 
 MIN_WORDS, ANCHOR_WORDS = 50, 8
 #: Words of a map chunk, in which copies are settled before anything is sent.
-CHUNK_WORDS = 2_000_000
-_CACHE_WORDS = 400_000
+CHUNK_WORDS = 600_000
+_CACHE_WORDS = 200_000
 _P, _Q = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)  # fixed odd multipliers
 
 MATCH = "doc_id bigint, start bigint, n_words bigint, source_doc_id bigint, source_start bigint"
