@@ -8,7 +8,7 @@ The model is fitted on the driver from at most `sample_rows` labelled rows outsi
 not texts, are fetched); it is a few KB and is sent to every task.
 
 Defined cases: null and empty texts have all statistics zero and get a score like any other; without
-training rows of both labels the score is the share of label 1 (0 without rows); repeated rows get equal
+training rows of both labels the score is the share of label 1 (about 0 without rows); repeated rows get equal
 scores; a column of documents with the name of a result is replaced; empty tables work.
 """
 
