@@ -1,5 +1,8 @@
 """Streams: exactly-once sink, late rows, live histogram cut."""
 
+import glob
+import os
+
 from pyspark.sql import functions as F
 
 from capmix.streaming import arrivals as st
@@ -9,10 +12,12 @@ def write_events(spark, path, batches):
     for k, data in enumerate(batches):
         df = spark.createDataFrame(data, "event_id bigint, ts string, user_id bigint, event_type string, value double").withColumn("ts", F.col("ts").cast("timestamp_ntz")).withColumn("props", F.lit("{}"))
         df.coalesce(1).write.parquet(f"{path}/b{k}")
+        for f in glob.glob(f"{path}/b{k}/*.parquet"):
+            os.utime(f, (1_700_000_000 + 10 * k,) * 2)  # files are taken in order of their times
 
 
 def test_late_rows_are_dropped(spark, tmp_path):
-    write_events(spark, tmp_path, [[(1, "2024-01-02 10:00:00", 1, "view", 1.0)], [(2, "2024-01-02 18:00:00", 1, "view", 1.0)], [(3, "2024-01-02 10:30:00", 1, "view", 1.0), (4, "2024-01-03 10:00:00", 1, "view", 1.0)]])
+    write_events(spark, tmp_path, [[(1, "2024-01-02 10:00:00", 1, "view", 1.0)], [(2, "2024-01-02 18:00:00", 1, "view", 1.0)], [(5, "2024-01-02 18:10:00", 1, "view", 1.0)], [(3, "2024-01-02 10:30:00", 1, "view", 1.0), (4, "2024-01-03 10:00:00", 1, "view", 1.0)]])
     stream = st.event_stream(spark, f"{tmp_path}/b*", files_per_batch=1)
     got = st.run_to_table(st.tumbling(stream, "1 hour"), "late", "append").collect()
     seen = {(str(r["start"]), r["n"]) for r in got}
