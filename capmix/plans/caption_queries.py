@@ -6,8 +6,10 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import text as tx
+from ..functions import vectors as vx
 from ..operators import alignment, captioners, diversity, recipes
 from ..operators import reference_metrics as rm
+from ..operators.encoders import HashedEncoder
 from ..sources.tables import load
 from . import ctes as q
 
@@ -162,13 +164,25 @@ def _configs(spark, d) -> dict[str, DataFrame]:
 
 
 def captioner_table(spark, d):
-    """(captioner, n_rows, mean_words, n_unique) of five captioner configurations."""
+    """(captioner, n_rows, mean_words, mean_sim, ref_free, n_grams, n_unique, bleu2, consensus) of five configurations.
+
+    Similarity is the hashed-text cosine of a caption with its document; references are the passages that the
+    raw captions overlap most.
+    """
     every = None
     for name, c in _configs(spark, d).items():
         one = c.select("pair_id", F.lit(name).alias("origin"), "words")
         every = one if every is None else every.union(one)
+    every = every.cache()
+    text = every.select("pair_id", "origin", F.array_join("words", " ").alias("text")).withColumn("row", F.xxhash64("pair_id", "origin"))
+    vecs = HashedEncoder().encode_arrow(text, "row", "text").withColumnRenamed("key", "row")
+    sims = text.join(vecs, "row").join(pool(spark, d).select("pair_id", "content_vec"), "pair_id").select("origin", vx.cosine_arrow("vec", "content_vec").alias("sim"))
+    noise = sims.groupBy("origin").agg(F.avg("sim").alias("mean_sim")).join(alignment.reference_free(sims), "origin")
     sizes = every.groupBy("origin").agg(F.count("*").alias("n_rows"), F.avg(F.size("words")).alias("mean_words"))
-    return sizes.join(diversity.unique_grams(every), "origin").withColumnRenamed("origin", "captioner")
+    refs = _matched(spark, d).cache()
+    corpus = load(spark, d, "benchmark").select("item_id", tx.tokens("text").alias("words"))
+    scores = rm.bleu(every, refs, ["pair_id"], max_n=2).withColumnRenamed("bleu", "bleu2").join(rm.consensus(every, refs, ["pair_id"], corpus), "origin")
+    return sizes.join(noise, "origin").join(diversity.unique_grams(every), "origin").join(scores, "origin").withColumnRenamed("origin", "captioner")
 
 
 def temp_sweep(spark, d):

@@ -2,12 +2,16 @@
 
 from __future__ import annotations
 
+import tempfile
+
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
+from ..functions import tables
 from ..functions import text as tx
 from ..functions import vectors as vx
 from ..operators import relational as rel
+from ..operators.encoders import HashedEncoder, StoredEncoder
 from ..sources import fixtures as fx
 from ..sources.tables import load
 from . import ctes as q
@@ -202,8 +206,43 @@ def rel_sort_within(spark, d):
     return load(spark, d, "part").repartitionByRange(4, "p_retailprice").sortWithinPartitions("p_retailprice", "p_partkey").select("p_partkey", "p_retailprice").orderBy("p_retailprice", "p_partkey").limit(30)
 
 
+def rel_udtf(spark, d):
+    """Trigrams of benchmark texts by a table function in a lateral join."""
+    tables.register(spark)
+    load(spark, d, "benchmark").createOrReplaceTempView("capmix_benchmark")
+    return spark.sql("SELECT item_id, count(*) AS n_grams, count(DISTINCT gram) AS n_unique FROM capmix_benchmark, LATERAL capmix_ngrams(text, 3) GROUP BY item_id")
+
+
+def rel_formats(spark, d):
+    """Nations through every text format: written and read with declared schemas, and counted."""
+    import uuid
+
+    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp(prefix='capmix_formats_')}"
+    path = f"{base.rstrip('/')}/formats-{uuid.uuid4().hex}"
+    nations = load(spark, d, "nation").select(F.col("n_nationkey").cast("bigint").alias("k"), F.col("n_name").alias("name"))
+    out = None
+    for kind in ("csv", "json", "orc", "parquet"):
+        nations.write.format(kind).save(f"{path}/{kind}")
+        one = spark.read.schema("k bigint, name string").format(kind).load(f"{path}/{kind}").agg(F.count("*").alias("n"), F.sum("k").alias("total"), F.max("name").alias("last")).select(F.lit(kind).alias("kind"), "*")
+        out = one if out is None else out.union(one)
+    nations.select("name").write.text(f"{path}/text")
+    return out.union(spark.read.text(f"{path}/text").agg(F.count("*").alias("n"), F.lit(None).cast("bigint").alias("total"), F.max("value").alias("last")).select(F.lit("text").alias("kind"), "*"))
+
+
+def enc_hashed(spark, d):
+    vecs = HashedEncoder().encode(load(spark, d, "benchmark"), "item_id", "text")
+    return vecs.select(F.col("key").alias("item_id"), F.posexplode("vec").alias("dim", "value")).filter("value <> 0").select("item_id", F.col("dim").cast("bigint").alias("dim"), F.round("value", 6).alias("value"))
+
+
+def enc_stored(spark, d):
+    """The stored-vector encoder: pool images of the first documents and their vectors' sums."""
+    pairs = fx.planted_pairs(spark, d).select("pair_id", "image_id")
+    got = StoredEncoder(load(spark, d, "embeddings"), "vec_id", "embedding").encode(pairs, "image_id")
+    return got.groupBy("key").agg(F.count("*").alias("n"), F.round(F.first(vx.norm("vec")), 4).alias("norm")).withColumnRenamed("key", "image_id")
+
+
 def queries():
-    return {k: v for k, v in globals().items() if k.startswith("rel_")}
+    return {k: v for k, v in globals().items() if k.startswith(("rel_", "enc_"))}
 
 
 def oracle_sql():
@@ -242,5 +281,9 @@ def oracle_sql():
         "rel_filters": "SELECT doc_id, CASE WHEN n_chars > 1500 THEN 'long' ELSE 'short' END AS size FROM documents WHERE lang IN ('en', 'de') AND n_chars BETWEEN 500 AND 3000 AND regexp_matches(source, '^src[0-4]$') AND source IS DISTINCT FROM 'src2'",
         "rel_sample_lang": f"SELECT doc_id, lang FROM documents WHERE {q.salted('doc_id', 'strata')} / 4294967296.0 < CASE lang WHEN 'en' THEN 0.1 WHEN 'de' THEN 0.5 ELSE 1.0 END",
         "rel_mean_vector": "WITH m AS (SELECT label, dim, avg(x) AS x FROM (SELECT label, unnest(range(64)) AS dim, unnest(embedding::DOUBLE[]) AS x FROM embeddings) GROUP BY ALL) SELECT label::BIGINT AS label, round(sqrt(sum(x * x)), 6) AS norm FROM m GROUP BY label",
+        "rel_udtf": r"SELECT item_id, count(*) AS n_grams, count(DISTINCT gram) AS n_unique FROM (SELECT item_id, array_to_string(t[k : k + 2], ' ') AS gram FROM (SELECT item_id, t, unnest(range(1, len(t) - 1)) AS k FROM (SELECT item_id, regexp_extract_all(lower(text), '\p{L}+') AS t FROM benchmark) WHERE len(t) >= 3)) GROUP BY item_id",
+        "rel_formats": "SELECT kind, count(*) AS n, CASE WHEN kind <> 'text' THEN sum(n_nationkey)::BIGINT END AS total, max(n_name) AS last FROM nation CROSS JOIN (VALUES ('csv'), ('json'), ('orc'), ('parquet'), ('text')) f(kind) GROUP BY kind",
+        "enc_hashed": r"WITH b AS (SELECT item_id, unnest(regexp_extract_all(lower(text), '\p{L}+')) AS t FROM benchmark), c AS (SELECT item_id, ('0x' || substr(md5(t), 1, 8))::BIGINT % 64 AS dim, count(*) AS n FROM b GROUP BY ALL) SELECT item_id, dim, round(n / sqrt(sum(n * n) OVER (PARTITION BY item_id)), 6) AS value FROM c",
+        "enc_stored": f"WITH {q.VECTORS.strip()} SELECT image_id, count(*) AS n, round(sqrt(list_inner_product(any_value(v), any_value(v))), 4) AS norm FROM pairs JOIN e ON vec_id = image_id GROUP BY image_id",
         "rel_sort_within": "SELECT p_partkey, p_retailprice FROM part ORDER BY p_retailprice, p_partkey LIMIT 30",
     }
