@@ -111,14 +111,15 @@ def top_successors(table: DataFrame, k: int) -> DataFrame:
 class NgramSampler:
     """Draws captions from a bigram table of bounded size (`max_words` commonest contexts)."""
 
-    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig(), max_words: int = 50_000):
+    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig(), max_words: int = 20_000):
         common = table.groupBy("w1").agg(F.sum("n").alias("total")).orderBy(F.desc("total"), "w1").limit(max_words)
         kept = top_successors(table.join(F.broadcast(common), "w1", "left_semi"), cfg.top_k)
         self.cfg, self.successors = cfg, {}
-        for r in kept.orderBy("w1", "rank").toLocalIterator():  # at most max_words * top_k rows
-            self.successors.setdefault(r["w1"], ([], []))
-            self.successors[r["w1"]][0].append(r["w2"])
-            self.successors[r["w1"]][1].append(float(r["n"]))
+        rows = kept.select("w1", "rank", "w2", F.col("n").cast("double").alias("n")).toArrow()  # at most max_words * top_k rows
+        for w1, _, w2, n in sorted(zip(*(c.to_pylist() for c in rows.columns), strict=True)):
+            self.successors.setdefault(w1, ([], []))
+            self.successors[w1][0].append(w2)
+            self.successors[w1][1].append(n)
         self.successors = {w: (a, np.array(n) ** (1 / cfg.temperature)) for w, (a, n) in self.successors.items()}
 
     def caption(self, key: int) -> list[str]:
@@ -148,10 +149,12 @@ class NgramSampler:
     def generate(self, pairs: DataFrame, captioner: str = "sampler") -> DataFrame:
         """CaptionSheet: pair_id, captioner, temperature, text, of a DataFrame with pair_id."""
         temperature = self.cfg.temperature
+        sent = pairs.sparkSession.sparkContext.broadcast(self)  # at most max_words * top_k entries
 
         def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            own = sent.value
             for pdf in batches:
-                yield pd.DataFrame({"pair_id": pdf.pair_id, "captioner": captioner, "temperature": temperature, "text": [" ".join(self.caption(k)) for k in pdf.pair_id]})
+                yield pd.DataFrame({"pair_id": pdf.pair_id, "captioner": captioner, "temperature": temperature, "text": [" ".join(own.caption(k)) for k in pdf.pair_id]})
 
         return pairs.select("pair_id").mapInPandas(work, "pair_id bigint, captioner string, temperature double, text string")
 
