@@ -25,6 +25,7 @@ from dataclasses import dataclass, field
 import ahocorasick
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -128,7 +129,7 @@ def _fit(total: np.ndarray, n: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -
     return tuple(float(v) for v in w)
 
 
-def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 12.0, prefix_chars: tuple[int, int] = (4, 9), max_entries: int = 5_000) -> Lexicon:
+def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30.0, prefix_chars: tuple[int, int] = (4, 9), max_entries: int = 5_000) -> Lexicon:
     """Learn entries, weights and the logistic model from (text, label) rows of bounded number.
 
     `max_entries` bounds the lexicon, not the rows that are scored: the entries in most toxic
@@ -196,8 +197,28 @@ def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 12
     return lexicon
 
 
+def one_of_each_family(rows: DataFrame, shingle: int = 5) -> DataFrame:
+    """Training rows without most near copies: rows that share the least hash of their shingles, under either
+    of two hashes, count once. Copies would pass for evidence that each of their words is toxic."""
+
+    def least(text: bytes | None, seed: int) -> int:
+        words = fold((text or b"").decode()).split()
+        grams = [b" ".join(words[k : k + shingle]) for k in range(max(1, len(words) - shingle + 1))]
+        return min(xxhash.xxh64_intdigest(g, seed) for g in grams) - (1 << 63)
+
+    def keyed(batches):
+        for batch in batches:
+            texts = batch.column(0).to_pylist()
+            yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array([least(t, s) for t in texts], pa.int64()) for s in (1, 2))], ["text", "label", "k1", "k2"])
+
+    keys = rows.mapInArrow(keyed, "text binary, label int, k1 bigint, k2 bigint")
+    first = keys.groupBy("label", "k1").agg(F.min(F.struct("k2", "text")).alias("r")).select("label", "r.*")
+    return first.groupBy("label", "k2").agg(F.min("text").alias("text")).select("text", "label")
+
+
 def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, modulus: int = MODULUS, held_out: int = HELD_OUT, id_col: str = "doc_id", text_col: str = "text", label: str = "toxic") -> Lexicon:
-    rows = materialise(training_rows(docs, labels, label, modulus, held_out, sample_rows, id_col, text_col), "toxicity").repartition(docs.sparkSession.sparkContext.defaultParallelism)
+    drawn = training_rows(docs, labels, label, modulus, held_out, sample_rows, id_col, text_col)
+    rows = materialise(one_of_each_family(drawn), "toxicity").repartition(docs.sparkSession.sparkContext.defaultParallelism)
     return learn_lexicon(rows)
 
 
