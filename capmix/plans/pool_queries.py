@@ -172,6 +172,22 @@ def tune_grid(spark, d):
     return evaluate.tune(evaluate.sweep_curves(sheet(spark, d), XS))
 
 
+def tune_transfer(spark, d):
+    """Percents tuned on the medium subpool, reused at every scale: (scale, curve, x, n_rows, mean_sim).
+
+    The percent is what is carried over; each scale finds its own cut for it.
+    """
+    s = sheet(spark, d).withColumn("_u", fx.salted("pair_id", "scale"))
+    parts = {name: s.filter(F.col("_u") < int(share * (1 << 32))) if share < 1 else s for name, share in SCALES}
+    tuned = {r["curve"]: r["x"] for r in evaluate.tune(evaluate.sweep_curves(parts["medium"], XS)).collect()}  # one row a curve
+    keep = F.create_map(*[F.lit(v) for kv in tuned.items() for v in kv])
+    out = None
+    for name, part in parts.items():
+        one = evaluate.sweep_curves(part, sorted(set(tuned.values()))).filter(F.col("x") == F.element_at(keep, F.col("curve"))).select(F.lit(name).alias("scale"), "curve", "x", "n_rows", "mean_sim")
+        out = one if out is None else out.unionByName(one)
+    return _r6(out, "mean_sim")
+
+
 def _scaled(spark, d):
     """The gated sheet with the scales that each row belongs to: nested, from one salted number."""
     s = gated(spark, d).withColumn("_u", fx.salted("pair_id", "scale"))
@@ -314,7 +330,7 @@ def queries():
     out = {f"sel_{n}": partial(_select, n) for n in REGISTRY}
     names = (
         "sim_rows sim_rows_arrow cut_points sweep_cuts topk_pairs discarded_sample recipe_sheet recipe_pivot sel_best_of sel_multi gate_assign gate_assign_expression gate_centres_iter1 gate_hits gate_report gate_nearest2 gate_two_level "
-        "kmeans_gate noise_mean sim_hist sim_hist_sample sim_quantiles ref_free sim_paired sweep_curves tune_grid scale_grid noise_by_scale budget_draws gram retr_rk retr_r1 retr_mean zs_label zs_cluster suite_avg "
+        "kmeans_gate noise_mean sim_hist sim_hist_sample sim_quantiles ref_free sim_paired sweep_curves tune_grid tune_transfer scale_grid noise_by_scale budget_draws gram retr_rk retr_r1 retr_mean zs_label zs_cluster suite_avg "
         "task_delta gain_vs_base metric_agreement enrich_quality cluster_entropy retention_group approx_cut"
     )
     out |= {n: globals()[n] for n in names.split()}
@@ -328,6 +344,13 @@ def _union_sheets() -> str:
     return q.everything(f" x AS ({rows})") + " SELECT recipe, count(*) AS n_rows, count(*) FILTER (origin = 'raw') AS n_raw, count(*) FILTER (origin = 'gen') AS n_gen, round(avg(sim), 6) AS mean_sim, round(count(*) / (SELECT count(*) FROM s), 6) AS rel_size FROM x GROUP BY recipe"
 
 
+def _transfer() -> str:
+    body = _sweep(XS).split(", c AS (", 1)[1]
+    full = q.SHEET.strip().replace("\ns AS (", "\nfull_s AS (")
+    parts = [f"SELECT '{name}' AS scale, * FROM (WITH s AS (SELECT * FROM full_s WHERE {q.salted('pair_id', 'scale')} < {int(share * (1 << 32))}), c AS ({body.replace('round(avg(sim), 6)', 'avg(sim)')})" for name, share in SCALES]
+    return f"WITH {full}, every AS ({' UNION ALL '.join(parts)}), best AS (SELECT curve, x FROM every WHERE scale = 'medium' AND mean_sim IS NOT NULL QUALIFY row_number() OVER (PARTITION BY curve ORDER BY round(mean_sim * sqrt(n_rows), 9) DESC, x) = 1) SELECT scale, curve, x, n_rows, round(mean_sim, 6) AS mean_sim FROM every JOIN best USING (curve, x)"
+
+
 def _sweep(xs) -> str:
     parts = []
     for x in xs:
@@ -394,6 +417,7 @@ def oracle_sql():
         "sim_paired": f"{S} SELECT count(*) AS n_rows, count(*) FILTER (gen_sim > raw_sim) AS n_better, round(avg(gen_sim - raw_sim), 6) AS mean_diff, round(stddev_samp(gen_sim - raw_sim), 6) AS sd_diff FROM s",
         "sweep_curves": _sweep(XS),
         "tune_grid": f"SELECT curve, x FROM (SELECT curve, x, row_number() OVER (PARTITION BY curve ORDER BY round(mean_sim * sqrt(n_rows), 9) DESC, x) AS rn FROM ({_sweep(XS).replace('round(avg(sim), 6)', 'avg(sim)')})) WHERE rn = 1",
+        "tune_transfer": _transfer(),
         "scale_grid": _scale_grid(),
         "noise_by_scale": f"{S}, {_LONG} " + " UNION ALL ".join(f"SELECT '{n}' AS scale, origin, count(*) AS n_rows, round(avg(sim), 6) AS mean_sim FROM long WHERE {q.salted('pair_id', 'scale')} < {int(share * (1 << 32))} GROUP BY origin" for n, share in SCALES),
         "budget_draws": f"{q.everything()}, sel AS ({q.RECIPES['mix30_filtered']}), m AS (SELECT count(*) AS m, (SELECT count(*) FROM s) AS total FROM sel) SELECT pair_id, (total // m + CASE WHEN row_number() OVER (ORDER BY {q.salted('pair_id', 'budget')}, pair_id) <= total % m THEN 1 ELSE 0 END)::BIGINT AS copies FROM sel, m QUALIFY copies > 0",
