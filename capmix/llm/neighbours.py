@@ -165,7 +165,7 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
     stored = materialise(entries.select("v", "ids").mapInArrow(put, "list int, ids array<bigint>, v array<double>, code binary"), "index")
     sizes = {r["list"]: r["count"] for r in stored.groupBy("list").count().collect()}  # a row for each list
     first_block, parts_of = shelve(sizes, block_rows)
-    by_list = lambda d: F.element_at(F.create_map(*[F.lit(v) for kv in d.items() for v in kv]), F.col("list"))
+    by_list = lambda d: F.get(F.lit([d.get(c, 1) for c in range(max(sizes, default=0) + 1)]), F.col("list"))
     stored = stored.withColumn("block", (by_list(first_block) + F.pmod(F.xxhash64("v"), by_list(parts_of))).cast("int"))
     q_parts = max(1, asked.count() // QUERY_ROWS)
 

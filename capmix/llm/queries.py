@@ -32,7 +32,7 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = tokenizer_path("byte_bpe_50k.json")
     demo = spark.range(2).select(F.lit(-1).cast("bigint").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(DEMO).alias("text"))
     rows = _read(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(demo)
-    return chat.read_back(chat.format_chat(rows, path), path)
+    return chat.read_back(chat.format_chat(rows, path), path).drop("n_tokens", "n_loss_tokens")
 
 
 def op2(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -60,6 +60,12 @@ def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
     return repeats.repeated_passages(_read(spark, sf_dir, "documents"))
 
 
+def repeat_coverage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """(doc_id, n_redundant): words of each document that op6's matches cover. SQL can state this part."""
+    spans = repeats.redundant_spans(repeats.repeated_passages(_read(spark, sf_dir, "documents")))
+    return spans.select("doc_id", F.aggregate("spans", F.lit(0).cast("bigint"), lambda n, s: n + s["end"] - s["start"]).alias("n_redundant"))
+
+
 def op7(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(_read(spark, sf_dir, "documents"))
     return found.select(F.col("id").alias("doc_id"), F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
@@ -100,6 +106,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op9_quality": op9,
         "op10_toxicity": op10,
         "pipeline": _pipeline,
+        "repeat_coverage": repeat_coverage,
     }
 
 
@@ -143,5 +150,13 @@ FROM d LEFT JOIN words ON d.doc_id = words.doc_id LEFT JOIN items ON d.doc_id =
 """
 
 
+_COVERAGE = rf"""
+WITH d AS (SELECT doc_id, regexp_extract_all({_LOWER}, '[^\x20\x09-\x0D]+') AS w FROM documents),
+windows AS (SELECT doc_id, k, md5(array_to_string(w[k : k + 49], ' ')) AS h FROM (SELECT doc_id, w, unnest(range(1, len(w) - 48)) AS k FROM d WHERE len(w) >= 50)),
+later AS (SELECT doc_id, k FROM windows QUALIFY row_number() OVER (PARTITION BY h ORDER BY doc_id, k) > 1)
+SELECT doc_id, count(DISTINCT p) AS n_redundant FROM (SELECT doc_id, unnest(range(k, k + 50)) AS p FROM later) GROUP BY doc_id
+"""
+
+
 def oracle_sql() -> dict[str, str]:
-    return {"op1_chat_format": _OP1, "op4_decontaminate": _OP4}
+    return {"op1_chat_format": _OP1, "op4_decontaminate": _OP4, "repeat_coverage": _COVERAGE}

@@ -29,6 +29,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -233,7 +234,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
         def suffixes():
             for batch in batches:
                 there = batch.column(0).is_valid()
-                settled = batch.filter(pa.compute.invert(there))
+                settled = batch.filter(pc.invert(there))
                 if settled.num_rows:
                     passed.append(pa.RecordBatch.from_arrays([settled.column(k) for k in (1, 2, 4, 5, 6)], schema=_MATCH))
                 yield batch.filter(there)

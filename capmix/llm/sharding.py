@@ -33,6 +33,8 @@ from .common import width
 
 ROUNDS = 4
 STEPS = 64
+#: About so many rows are numbered by one task at most.
+RANGE_ROWS = 5_000_000
 
 
 def domain(n: int) -> tuple[int, int]:
@@ -113,25 +115,28 @@ def number_rows(df: DataFrame, order: list[str], name: str = "row_number") -> tu
     """
     spark = df.sparkSession
     first = order[0]
-    ranges = width(spark, df.select(first).count(), 200_000)
+    ranges = width(spark, df.select(first).count(), RANGE_ROWS)
     shares = [k / ranges for k in range(1, ranges)]
-    bounds = df.select(F.percentile_approx(first, shares, 10_000)).first()[0] if shares else None
+    bounds = df.select(F.percentile_approx(first, shares, max(10_000, 20 * ranges))).first()[0] if shares else None
     bounds = sorted(set(bounds or []))
     place = F.lit(0)
     if bounds:
-        # binary search over the literal bounds: their number is that of the ranges, not of the rows
-        edges = F.lit(bounds).cast(T.ArrayType(T.LongType()))
-        place = F.coalesce(F.size(F.filter(edges, lambda e: e < F.col(first).cast("bigint"))), F.lit(0))
-        place = F.when(F.col(first).isNull(), F.lit(0)).otherwise(place)
-    ranged = df.withColumn("_range", place)
-    rows = ranged.groupBy("_range").count().collect()  # one row for each range
-    offsets, total = {}, 0
-    for r in sorted(rows, key=lambda r: r["_range"]):
-        offsets[r["_range"]] = total
-        total += r["count"]
-    if not offsets:
+        # search in two steps over literal bounds: whole strides below the value, then within one stride
+        value, stride = F.col(first).cast("bigint"), math.isqrt(len(bounds)) + 1
+        below = lambda found: F.size(F.filter(found, lambda e: e < value))
+        longs = lambda x: F.lit(x).cast(T.ArrayType(T.LongType()))
+        heads = bounds[stride - 1 :: stride]
+        whole = below(longs(heads)) * stride if heads else F.lit(0)
+        place = F.when(value.isNull(), F.lit(0)).otherwise(whole + below(F.slice(longs(bounds), whole + 1, stride)))
+    ranged = df.withColumn("_range", place.cast("int"))
+    rows = {r["_range"]: r["count"] for r in ranged.groupBy("_range").count().collect()}  # one row for each range
+    if not rows:
         return ranged.withColumn(name, F.lit(0).cast("bigint")).drop("_range"), 0
-    base = F.element_at(F.create_map(*[F.lit(v) for kv in offsets.items() for v in kv]), F.col("_range")).cast("bigint")
+    offsets, total = [], 0
+    for k in range(max(rows) + 1):
+        offsets.append(total)
+        total += rows.get(k, 0)
+    base = F.get(F.lit(offsets).cast(T.ArrayType(T.LongType())), F.col("_range"))
     local = F.row_number().over(Window.partitionBy("_range").orderBy(*[F.col(c).asc_nulls_first() for c in order]))
     return ranged.withColumn(name, base + local - 1).drop("_range"), total
 

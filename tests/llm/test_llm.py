@@ -255,6 +255,11 @@ def test_repeats_query_brute_force(spark, documents):
     assert covered(queries.op6(spark, ORACLE)) == brute_redundant(documents.text, documents.doc_id)
 
 
+def test_repeat_coverage_sql(spark, duck):
+    got = queries.repeat_coverage(spark, ORACLE).toPandas()
+    assert rows(got) == rows(duck.sql(queries.oracle_sql()["repeat_coverage"]).df())
+
+
 def test_remove_repeats(spark):
     passage = " ".join(f"p{k}" for k in range(60))
     texts = [f"one {passage} end", f"two  {passage}\n tail", passage, "clean", None, ""]
