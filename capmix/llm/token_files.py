@@ -26,6 +26,7 @@ import os
 import struct
 import zlib
 from array import array
+from string import punctuation
 from unicodedata import is_normalized
 
 import numpy as np
@@ -99,27 +100,28 @@ class Encoder:
     def _known(self, pieces: pa.Array) -> pa.Array:
         """The ids of pieces, by their distinct ones."""
         coded = pieces.dictionary_encode()
-        distinct, known = coded.dictionary.to_pylist(), self.pieces
-        if len(known) > CACHE_PIECES:
-            known.clear()
-        self._learn([p for p in distinct if p not in known])
-        out = pa.array([known[p] for p in distinct], pa.large_binary()).take(coded.indices)
-        for p in distinct:
-            if len(p) > CACHE_CHARS:
-                del known[p]
-        return out
+        distinct = coded.dictionary.to_pylist()
+        if len(self.pieces) > CACHE_PIECES:
+            self.pieces.clear()
+        ids = list(map(self.pieces.get, distinct))
+        if missing := [k for k, v in enumerate(ids) if v is None]:
+            self._learn([distinct[k] for k in missing])
+            for k in missing:
+                ids[k] = self.pieces[distinct[k]]
+                if len(distinct[k]) > CACHE_CHARS:
+                    del self.pieces[distinct[k]]
+        return pa.array(ids, pa.large_binary()).take(coded.indices)
 
     def _words(self, words: pa.Array) -> pa.Array:
-        """The ids of distinct words. Letters before full stops and commas are two pieces to the tokenizer."""
-        base = pc.utf8_rtrim(words, ".,")
-        alone = pc.utf8_is_alpha(base)
-        base = pc.if_else(alone, base, words)
-        plain = pc.and_(alone, pc.string_is_ascii(base))
-        head = self._known(pc.if_else(plain, pc.ascii_lower(base), base))
+        """The ids of distinct words. Letters before ASCII punctuation are two pieces to the tokenizer."""
+        base = pc.utf8_rtrim(words, punctuation)
+        base = pc.if_else(pc.utf8_is_alpha(base), base, words)
+        # the tokenizer lower-cases; in these letters that is the same everywhere
+        head = self._known(pc.if_else(pc.match_substring_regex(base, "^[A-Za-zÀ-ÖØ-öø-ÿ]+$"), pc.utf8_lower(base), base))
         cut = pc.greater(pc.binary_length(words), pc.binary_length(base))
         if not pc.any(cut).as_py():
             return head
-        tails = pc.if_else(cut, pc.replace_substring_regex(words, r"^.*?([.,]+)$", r"\1"), "")
+        tails = pc.if_else(cut, pc.replace_substring_regex(words, r"^[^!-/:-@\[-`{-~]*", ""), "")
         return pc.binary_join_element_wise(head, self._known(tails), pa.scalar(b"", pa.large_binary()))
 
     def __call__(self, texts: pa.Array) -> list[bytes]:
@@ -214,8 +216,8 @@ def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int | None =
     raw = train_dictionary(df, id_col, text_col, tokenizer, end_id, splits_on_space, sample_docs, dictionary_bytes)
     h = dictionary_hash(raw)
     spark.createDataFrame([(h - (1 << 64) if h >> 63 else h, bytearray(raw))], "hash bigint, raw binary").coalesce(1).write.parquet(f"{path}/dictionary")
-    buckets = width(spark, df.select(F.lit(1)).count())
-    cuts = df.select(F.percentile_approx(F.col(id_col).cast("bigint"), [k / buckets for k in range(1, buckets)], 10_000)).first()[0] if buckets > 1 else None
+    buckets = width(spark, df.select(F.lit(1)).count(), 500_000)
+    cuts = df.select(F.percentile_approx(F.col(id_col).cast("bigint"), [k / buckets for k in range(1, buckets)], max(10_000, 20 * buckets))).first()[0] if buckets > 1 else None
     cuts = np.array(sorted(set(cuts or [])), dtype=np.int64)
     sent = spark.sparkContext.broadcast(raw)  # of dictionary_bytes at most
 
