@@ -21,15 +21,18 @@ NAMES = [r for r in REGISTRY if r not in ("raw_min", "gen_min")]
 
 
 def sheet(spark: SparkSession, d: str) -> DataFrame:
-    """The score sheet of the planted pool, with labels, lang and source."""
+    """The score sheet of the planted pool, with labels, lang and source.
+
+    It is narrow and read several times (histogram, boundary bins, recipe), so it is kept; a lost part is computed again.
+    """
     pool = fx.planted_pool(spark, d)
-    return pool.select("pair_id", "image_id", vx.cosine("image_vec", "raw_vec").alias("raw_sim"), vx.cosine("image_vec", "gen_vec").alias("gen_sim"), "quality", "toxic", "lang", "source")
+    return pool.select("pair_id", "image_id", vx.cosine("image_vec", "raw_vec").alias("raw_sim"), vx.cosine("image_vec", "gen_vec").alias("gen_sim"), "quality", "toxic", "lang", "source").cache()
 
 
 def gated(spark: SparkSession, d: str) -> DataFrame:
     images = fx.pool_images(spark, d)
     centres = gate.seeded_centres(images, fx.centre_count(load(spark, d, "documents").count()))
-    return gate.gated_sheet(sheet(spark, d), gate.assign(images, centres), gate.reference_hits(fx.reference_images(spark, d), centres))
+    return gate.gated_sheet(sheet(spark, d), gate.assign(images, centres), gate.reference_hits(fx.reference_images(spark, d), centres)).cache()
 
 
 def _centres(spark: SparkSession, d: str, iterations: int = 0) -> DataFrame:
