@@ -17,7 +17,11 @@ TEMPERATURES = (0.5, 0.75, 1.0, 1.5)
 
 
 def pool(spark, d) -> DataFrame:
-    return captioners.hashed_pool(load(spark, d, "documents"))
+    """H, kept while a query reads it several times; a small single file is spread over the cores first."""
+    docs, cores = load(spark, d, "documents"), spark.sparkContext.defaultParallelism
+    if docs.rdd.getNumPartitions() < cores:
+        docs = docs.select("doc_id", "text").repartition(cores, "doc_id")
+    return captioners.hashed_pool(docs).cache()
 
 
 def long(spark, d) -> DataFrame:
