@@ -54,3 +54,10 @@ def remove(spark: SparkSession, path: str) -> None:
 def width(spark: SparkSession, rows: int = 0, rows_per_task: int = 50_000) -> int:
     """How many partitions to deal to: the session's number, and more as the rows ask for it."""
     return max(int(spark.conf.get("spark.sql.shuffle.partitions")), rows // rows_per_task + 1)
+
+
+def small(batches, rows: int = 500):
+    """Arrow batches in parts of few rows, so that few texts are Python objects at a time."""
+    for batch in batches:
+        for k in range(0, batch.num_rows, rows):
+            yield batch.slice(k, rows)

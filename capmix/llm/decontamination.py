@@ -23,7 +23,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise
+from .common import materialise, small
 from .words import alnum_bounds, alnum_words
 
 WINDOW = 13
@@ -178,7 +178,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, c
 
         def scan(batches, sent=sent):
             own = sent.value
-            for batch in batches:
+            for batch in small(batches):
                 sizes, spans, items = [], [], []
                 for text, old, had in zip(batch.column(source).cast(pa.binary()).to_pylist(), batch.column("_spans").to_pylist(), batch.column("_items").to_pylist(), strict=True):
                     words = alnum_words(text)
@@ -197,7 +197,7 @@ def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, c
     out = spark.createDataFrame([], added).schema
 
     def judge(batches):
-        for batch in batches:
+        for batch in small(batches):
             rows = []
             texts = batch.column(source).cast(pa.binary()).to_pylist() if clean else repeat(None, batch.num_rows)
             for text, n, flat, items in zip(texts, batch.column("_n").to_pylist(), batch.column("_spans").to_pylist(), batch.column("_items").to_pylist(), strict=True):

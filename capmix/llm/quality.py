@@ -22,6 +22,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import small
 from .labelled import remainder, training_rows
 
 MODULUS, HELD_OUT, SAMPLE_ROWS = 3, 1, 20_000
@@ -151,7 +152,7 @@ def train(docs: DataFrame, labels: DataFrame, sample_rows: int = SAMPLE_ROWS, mo
     """Fit on at most `sample_rows` labelled rows whose id is not held out."""
 
     def measure(batches):
-        for batch in batches:
+        for batch in small(batches):
             yield pa.RecordBatch.from_arrays([pa.array([statistics(t) for t in batch.column(0).to_pylist()], pa.list_(pa.float64())), batch.column(1)], ["x", "y"])
 
     rows = training_rows(docs, labels, label, modulus, held_out, sample_rows, id_col, text_col).mapInArrow(measure, "x array<double>, y int").toArrow()
@@ -169,7 +170,7 @@ def score_quality(docs: DataFrame, trees: Trees, text_col: str = "text", keep: l
     rows = docs.select(*keep, *([] if source in keep else [F.col(text_col).alias("_text")]))
 
     def work(batches):
-        for batch in batches:
+        for batch in small(batches):
             x = np.array([statistics(t) for t in batch.column(source).cast(pa.binary()).to_pylist()], float).reshape(-1, len(STATISTICS))
             scores = trees.score(x)
             table = {n: batch.column(n) for n in keep} | {"score": pa.array(scores), "predicted": pa.array((scores >= 0.5).astype(np.int32))}

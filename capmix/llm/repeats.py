@@ -34,13 +34,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import width
+from .common import small, width
 from .words import spaced_bounds, spaced_words
 
 MIN_WORDS, ANCHOR_WORDS = 50, 8
 #: Words of a map chunk, in which copies are settled before anything is sent.
-CHUNK_WORDS = 600_000
-_CACHE_WORDS = 200_000
+CHUNK_WORDS = 500_000
+_CACHE_WORDS = 150_000
 _P, _Q = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xD6E8FEB86659FD93)  # fixed odd multipliers
 
 MATCH = "doc_id bigint, start bigint, n_words bigint, source_doc_id bigint, source_start bigint"
@@ -183,7 +183,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
                     yield pa.RecordBatch.from_arrays([*part, *[pa.nulls(len(part[0]), pa.int64())] * 3], names)
 
         held, size = [], 0
-        for batch in batches:
+        for batch in small(batches):
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 words = spaced_words(text)
                 if len(words) < min_words:
@@ -194,6 +194,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
                 if size >= chunk_words:
                     yield from rows(held)
                     held, size = [], 0
+                    pa.default_memory_pool().release_unused()
         if held:
             yield from rows(held)
 
@@ -282,7 +283,7 @@ def remove_repeats(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: int
     names = df.columns
 
     def cut(batches):
-        for batch in batches:
+        for batch in small(batches):
             texts, spans = batch.column(text_col), batch.column("_spans")
             keep, out = [], []
             for text, own in zip(texts.cast(pa.binary()).to_pylist(), spans.to_pylist(), strict=True):

@@ -24,7 +24,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, width
+from .common import materialise, small, width
 from .components import components
 from .words import SPACED
 
@@ -61,7 +61,7 @@ def fingerprints(df: DataFrame, shingle: int = 3, id_col: str = "doc_id", text_c
     """(id, fp bigint: the fingerprint as a signed number) for every row."""
 
     def work(batches):
-        for batch in batches:
+        for batch in small(batches):
             fps = np.array([fingerprint(t, shingle) for t in batch.column(1).to_pylist()], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(fps, pa.int64())], ["id", "fp"])
 

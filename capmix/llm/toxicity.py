@@ -30,7 +30,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import materialise
+from .common import materialise, small
 from .labelled import remainder, training_rows
 
 MODULUS, HELD_OUT, SAMPLE_ROWS = 5, 0, 20_000
@@ -145,7 +145,7 @@ def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30
             grams = list(toxic.keys() | clean.keys())
             yield pa.RecordBatch.from_arrays([pa.array(grams, pa.string()), pa.array([toxic[g] for g in grams], pa.int64()), pa.array([clean[g] for g in grams], pa.int64())], kinds)
 
-        for batch in batches:
+        for batch in small(batches):
             for text, label in zip(batch.column(0).cast(pa.string()).to_pylist(), batch.column(1).to_pylist(), strict=True):
                 grams = set()
                 for w in set(fold(text).decode().split()):
@@ -187,7 +187,7 @@ def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30
     lexicon = Lexicon(kept)
 
     def weigh(batches):
-        for batch in batches:
+        for batch in small(batches):
             got = [lexicon.weigh(fold(t)) for t in batch.column(0).cast(pa.string()).to_pylist()]
             yield pa.RecordBatch.from_arrays([pa.array([g[0] for g in got], pa.float64()), pa.array([g[2] for g in got], pa.int64()), batch.column(1)], ["total", "n", "label"])
 
@@ -207,7 +207,7 @@ def one_of_each_family(rows: DataFrame, shingle: int = 5) -> DataFrame:
         return min(xxhash.xxh64_intdigest(g, seed) for g in grams) - (1 << 63)
 
     def keyed(batches):
-        for batch in batches:
+        for batch in small(batches):
             texts = batch.column(0).to_pylist()
             yield pa.RecordBatch.from_arrays([*batch.columns, *(pa.array([least(t, s) for t in texts], pa.int64()) for s in (1, 2))], ["text", "label", "k1", "k2"])
 
@@ -229,7 +229,7 @@ def score_toxicity(docs: DataFrame, lexicon: Lexicon, text_col: str = "text", ke
     rows = docs.select(*keep, *([] if source in keep else [F.col(text_col).alias("_text")]))
 
     def work(batches):
-        for batch in batches:
+        for batch in small(batches):
             got = [lexicon.weigh(fold(t)) for t in batch.column(source).to_pylist()]
             scores = [lexicon.score(total, n) for total, _, n in got]
             table = {n: batch.column(n) for n in keep} | {"score": pa.array(scores, pa.float64()), "predicted": pa.array([int(s >= 0.5) for s in scores], pa.int32()), "hits": pa.array([g[1] for g in got], pa.int64()), "n_words": pa.array([g[2] for g in got], pa.int64())}
