@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from capmix.llm import decontamination, packing, repeats, simhash, toxicity
+from capmix.llm import decontamination, near_copies, packing, repeats, toxicity
 from capmix.llm.common import materialise
 
 
@@ -25,13 +25,16 @@ def _without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def _without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each SimHash component the document with the smallest id stays, once.
+    """Of documents linked by a five-word Jaccard similarity of 0.8 and more the one with the smallest id stays, once.
 
     Rows without an id stay only if some component has no id at all.
     """
-    stay = simhash.near_duplicates(docs).filter(F.col("id").eqNullSafe(F.col("component_id"))).select(F.col("id").alias("_id")).distinct()
-    left = docs.join(stay, F.col("doc_id").eqNullSafe(F.col("_id")), "left_semi")
-    return left.dropDuplicates(["doc_id", "text"])
+    stay = near_copies.near_duplicates(docs).filter(F.col("id").eqNullSafe(F.col("component_id"))).select(F.col("id").alias("_id")).distinct()
+    stay = materialise(stay, "stay")
+    # Apart, so that the texts of rows with an id are shuffled once for the join and the distinct rows.
+    known = docs.filter("doc_id IS NOT NULL").join(stay, F.col("doc_id") == F.col("_id"), "left_semi").dropDuplicates(["doc_id", "text"])
+    nameless = docs.filter("doc_id IS NULL").join(stay.filter("_id IS NULL"), how="left_semi").dropDuplicates(["doc_id", "text"])
+    return known.union(nameless)
 
 
 def _without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
