@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import text as tx
 from ..functions import vectors as vx
 from ..sources.fixtures import salted
+from . import near_copies
 
 
 def drop_unsafe(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -21,23 +22,30 @@ def dedup_exact(docs: DataFrame, text_col: str = "text", id_col: str = "doc_id")
     return docs.join(keepers.select(id_col), id_col, "left_semi")
 
 
+def _classes(docs: DataFrame, shingle: int, bands: int, rows: int) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """The tokens as text, the sketches of documents with an id and a token, and (cls, rep) of their classes."""
+    texts = docs.select("doc_id", F.array_join(tx.tokens("text"), " ").alias("text")).filter("doc_id IS NOT NULL")
+    own = near_copies.sketches(texts, shingle=shingle, bands=bands, rows=rows).filter("size > 0").cache()
+    return texts, own, own.groupBy("cls").agg(F.min("id").alias("rep"))
+
+
 def near_duplicates(docs: DataFrame, shingle: int = 5, bands: int = 16, rows: int = 4, threshold: float = 0.8) -> DataFrame:
     """(a, b, jaccard): MinHash-banded pairs of documents whose shingle sets have similarity >= threshold.
 
-    A pair is a document with the smallest id of its band bucket, so a bucket of n yields n - 1 pairs.
+    Documents of equal shingle sets are a class, its smallest id stands for it: all pairs between classes are
+    given by these, and each other member with its own at 1. A text shorter than a shingle is one shingle.
     """
-    sh = docs.select("doc_id", F.array_distinct(tx.ngrams(tx.tokens("text"), shingle)).alias("g")).filter(F.size("g") > 0)
-    sets = sh.select("doc_id", F.transform("g", lambda g: F.xxhash64(g)).alias("h"))
-    mins = sets.select("doc_id", *[_min_hash(i).alias(f"m{i}") for i in range(bands * rows)])
-    keys = mins.select("doc_id", F.explode(F.array(*[F.xxhash64(F.lit(b), *[F.col(f"m{b * rows + r}") for r in range(rows)]) for b in range(bands)])).alias("band"))
-    heads = keys.groupBy("band").agg(F.min("doc_id").alias("a"), F.count("*").alias("n")).filter("n > 1").select("band", "a")
-    pairs = keys.join(heads, "band").filter("doc_id <> a").select("a", F.col("doc_id").alias("b")).distinct()
-    scored = pairs.join(sets.select(F.col("doc_id").alias("a"), F.col("h").alias("ha")), "a").join(sets.select(F.col("doc_id").alias("b"), F.col("h").alias("hb")), "b")
-    return scored.select("a", "b", (F.size(F.array_intersect("ha", "hb")) / F.size(F.array_union("ha", "hb"))).alias("jaccard")).filter(F.col("jaccard") >= threshold)
-
-
-def _min_hash(i: int):
-    return F.array_min(F.transform("h", lambda x: F.xxhash64(x, F.lit(i))))
+    texts, own, reps = _classes(docs, shingle, bands, rows)
+    found = near_copies.pairs(texts, own, lambda df, _: df.cache(), shingle=shingle, threshold=threshold)
+    named = found.join(reps.select(F.col("cls").alias("a"), F.col("rep").alias("x")), "a").join(reps.select(F.col("cls").alias("b"), F.col("rep").alias("y")), "b")
+    copies = own.join(reps, "cls").filter("id <> rep").select("rep", "id", F.lit(1.0))
+    return named.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b"), "jaccard").union(copies)
+
+
+def near_duplicate_members(docs: DataFrame, shingle: int = 5) -> DataFrame:
+    """(doc_id, rep): the document that stands for each one in the pairs of near_duplicates."""
+    _, own, reps = _classes(docs, shingle, near_copies.BANDS, near_copies.ROWS)
+    return own.join(reps, "cls").select(F.col("id").alias("doc_id"), "rep")
 
 
 def overlapping(docs: DataFrame, items: DataFrame, n: int = 13) -> DataFrame:

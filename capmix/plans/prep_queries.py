@@ -55,6 +55,10 @@ def near_dups(spark, d):
     return prep.near_duplicates(_docs(spark, d))
 
 
+def near_dup_members(spark, d):
+    return prep.near_duplicate_members(_docs(spark, d))
+
+
 def _raw(spark, d):
     return captioners.hashed_pool(_docs(spark, d)).select("pair_id", F.col("raw_text").alias("words"))
 
@@ -122,7 +126,7 @@ def pages_sel(spark, d):
 
 
 def queries():
-    names = "prep_safe prep_dedup prep_decontam prep_decontam_vec prep_subpool prep_sample prep_mask prep_titles near_dups heur_length heur_noun heur_complexity heur_aspect heur_min_size heur_source heur_objects heur_discard pages_pool pages_sel"
+    names = "prep_safe prep_dedup prep_decontam prep_decontam_vec prep_subpool prep_sample prep_mask prep_titles near_dups near_dup_members heur_length heur_noun heur_complexity heur_aspect heur_min_size heur_source heur_objects heur_discard pages_pool pages_sel"
     return {n: globals()[n] for n in names.split()}
 
 
