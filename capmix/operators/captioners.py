@@ -109,54 +109,85 @@ def top_successors(table: DataFrame, k: int) -> DataFrame:
 
 
 class NgramSampler:
-    """Draws captions from a bigram table of bounded size (`max_words` commonest contexts)."""
-
-    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig(), max_words: int = 20_000):
-        common = table.groupBy("w1").agg(F.sum("n").alias("total")).orderBy(F.desc("total"), "w1").limit(max_words)
-        kept = top_successors(table.join(F.broadcast(common), "w1", "left_semi"), cfg.top_k)
-        self.cfg, self.successors = cfg, {}
-        rows = kept.select("w1", "rank", "w2", F.col("n").cast("double").alias("n")).toArrow()  # at most max_words * top_k rows
-        for w1, _, w2, n in sorted(zip(*(c.to_pylist() for c in rows.columns), strict=True)):
-            self.successors.setdefault(w1, ([], []))
-            self.successors[w1][0].append(w2)
-            self.successors[w1][1].append(n)
-        self.successors = {w: (a, np.array(n) ** (1 / cfg.temperature)) for w, (a, n) in self.successors.items()}
+    """Draws captions from the whole bigram table: the top_k successors of every context.
 
-    def caption(self, key: int) -> list[str]:
-        """The caption of a pair: the same whenever and wherever it is drawn."""
-        out, word, cfg = [], START, self.cfg
-        while len(out) < cfg.max_len:
-            words, weights = self.successors.get(word) or self.successors.get(START, ([], np.zeros(0)))
-            if len(out) < cfg.min_len and END in words:
-                at = words.index(END)
-                words, weights = words[:at] + words[at + 1 :], np.delete(weights, at)
+    The model is a table of one row for each context and grows with the corpus; captions are drawn word by word,
+    each step joining the current words with it. Only the successors of the sentence start reach the driver.
+    """
+
+    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig()):
+        kept = top_successors(table, cfg.top_k).groupBy("w1").agg(F.array_sort(F.collect_list(F.struct("rank", "w2", F.col("n").cast("double").alias("n")))).alias("s"))
+        self.cfg, self.all = cfg, None
+        self.model = kept.select("w1", F.col("s.w2").alias("words"), F.col("s.n").alias("counts")).cache()  # at most top_k entries a row
+        first = self.model.filter(F.col("w1") == START).first()
+        self.start = self._weighted(first["words"], first["counts"]) if first else ([], np.zeros(0))
+
+    def _weighted(self, words, counts) -> tuple[list[str], np.ndarray]:
+        return list(words), np.array(counts, float) ** (1 / self.cfg.temperature)
+
+    @staticmethod
+    def _draw(cfg: GenConfig, start: tuple, key: int, at: int, own: tuple) -> str | None:
+        """The word at position `at`; END or None: the caption is over."""
+        words, weights = own
+        while True:
+            if at < cfg.min_len and END in words:
+                k = words.index(END)
+                words, weights = words[:k] + words[k + 1 :], np.delete(weights, k)
                 if not words:
-                    words, weights = self.successors[START]
+                    words, weights = start
                     if words == [END]:
-                        break
+                        return None
             if not len(words):
-                break
-            u = int(hashlib.md5(f"{key}:{len(out)}:{cfg.seed}".encode()).hexdigest()[:12], 16) / 16**12
+                return None
+            u = int(hashlib.md5(f"{key}:{at}:{cfg.seed}".encode()).hexdigest()[:12], 16) / 16**12
             word = words[min(int(np.searchsorted(weights.cumsum(), u * weights.sum(), side="right")), len(words) - 1)]
-            if word == END:
-                if len(out) >= cfg.min_len:
-                    break
-                word = START
-                continue
+            if word != END or at >= cfg.min_len:
+                return word
+            words, weights = start
+
+    def caption(self, key: int) -> list[str]:
+        """The caption of a pair: the same whenever and wherever it is drawn. For tests: it collects the model."""
+        if self.all is None:
+            self.all = {r["w1"]: self._weighted(r["words"], r["counts"]) for r in self.model.collect()}
+        out: list[str] = []
+        while len(out) < self.cfg.max_len:
+            word = self._draw(self.cfg, self.start, key, len(out), self.all.get(out[-1] if out else START, self.start))
+            if word is None or word == END:
+                break
             out.append(word)
         return out
 
     def generate(self, pairs: DataFrame, captioner: str = "sampler") -> DataFrame:
         """CaptionSheet: pair_id, captioner, temperature, text, of a DataFrame with pair_id."""
-        temperature = self.cfg.temperature
-        sent = pairs.sparkSession.sparkContext.broadcast(self)  # at most max_words * top_k entries
-
-        def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            own = sent.value
-            for pdf in batches:
-                yield pd.DataFrame({"pair_id": pdf.pair_id, "captioner": captioner, "temperature": temperature, "text": [" ".join(own.caption(k)) for k in pdf.pair_id]})
-
-        return pairs.select("pair_id").mapInPandas(work, "pair_id bigint, captioner string, temperature double, text string")
+        cfg, start, draw, weighted = self.cfg, self.start, self._draw, 1 / self.cfg.temperature
+
+        def step(at: int):
+            def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+                for batch in batches:
+                    keys, so_far, words, counts = (c.to_pylist() for c in batch.columns)
+                    drawn = [draw(cfg, start, k, at, start if w is None else (w, np.array(c, float) ** weighted)) for k, w, c in zip(keys, words, counts, strict=True)]
+                    drawn = [None if w == END else w for w in drawn]
+                    texts = [t if w is None else f"{t} {w}" if t else w for t, w in zip(so_far, drawn, strict=True)]
+                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), pa.array(drawn, pa.string())], ["pair_id", "text", "word"])
+
+            return work
+
+        schema, none = "pair_id bigint, text string, word string", F.lit(None).cast("array<string>")
+        given = pairs.select(F.col("pair_id").cast("bigint"), F.lit("").alias("text"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
+        parts = []
+        for at in range(cfg.max_len):
+            if at:
+                going = state.filter("word IS NOT NULL")
+                if not going.limit(1).count():
+                    break
+                given = going.join(self.model.withColumnRenamed("w1", "word"), "word", "left").select("pair_id", "text", "words", "counts")
+            state = given.mapInArrow(step(at), schema).localCheckpoint()
+            parts.append(state.filter("word IS NULL").select("pair_id", "text"))
+        parts.append(state.filter("word IS NOT NULL").select("pair_id", "text"))
+        every = parts[0]
+        for part in parts[1:]:
+            every = every.union(part)
+        return every.select("pair_id", F.lit(captioner).alias("captioner"), F.lit(cfg.temperature).alias("temperature"), "text")
 
 
 class ExternalCaptioner:
