@@ -115,6 +115,17 @@ def topk_successors(spark, d):
     return got.filter("n >= 3").select("w1", "w2", "n", F.col("rank").cast("bigint").alias("rank"))
 
 
+def cap_bigrams_whole(spark, d):
+    """The whole table; cap_bigrams and its SQL list what occurs three times and more."""
+    return captioners.bigrams(load(spark, d, "documents"))
+
+
+def topk_successors_whole(spark, d):
+    """Five successors of every word, however rare."""
+    got = captioners.top_successors(captioners.bigrams(load(spark, d, "documents")), 5)
+    return got.select("w1", "w2", "n", F.col("rank").cast("bigint").alias("rank"))
+
+
 def _references(spark, d, captions: DataFrame) -> DataFrame:
     """(pair_id, words): the passage each document's raw caption overlaps most."""
     bench = load(spark, d, "benchmark")
@@ -217,7 +228,7 @@ def conv_richness(spark, d):
 
 def queries():
     names = (
-        "cap_extract words_hist grounding grounding_rows uniq_trigrams uniq_trigrams_hashed approx_trigrams uniq_nouns div_curve div_slope coverage noise_div hashed_paired cap_bigrams topk_successors "
+        "cap_extract words_hist grounding grounding_rows uniq_trigrams uniq_trigrams_hashed approx_trigrams uniq_nouns div_curve div_slope coverage noise_div hashed_paired cap_bigrams topk_successors cap_bigrams_whole topk_successors_whole "
         "matched_refs bleu4 bleu2 consensus tuple_f1 rouge captioner_table temp_sweep conv_richness"
     )
     return {n: globals()[n] for n in names.split()} | {"sel_gen_all_ft": gen_all_ft}
