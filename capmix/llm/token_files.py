@@ -11,23 +11,24 @@ as rows of Parquet files, written by Spark's own committed writer: a lost execut
 leaves no half files, any store that Spark can write holds them, and the columns first_id / last_id
 let a lookup skip the files that can't hold an id.
 
-The dictionary is trained on the serialized ids of a bounded sample (`sample_docs` documents with the
-smallest hash of their id); every document is encoded and written.
+The dictionary serves short documents, so it is trained on a bounded sample of them: the `sample_docs` documents of at
+most SAMPLE_BYTES with the smallest hash of their id. Every document, short or long, is encoded and written whole.
 
 Defined cases: null text is an empty document (the end id alone); null ids come first; rows with equal
 ids all stay, ordered by their frames; an empty table gives a folder without blocks, read as no rows;
-extra columns are ignored. Documents are cut at white space before the tokenizer sees them, which
-is exact for tokenizers that drop white space (`splits_on_space`); others get the whole text.
+extra columns are ignored. Where the tokenizer's own file says that it splits at white space and at the end
+of a run of letters (`word_splitter`), distinct words are encoded once; every other tokenizer gets whole texts.
 """
 
 from __future__ import annotations
 
+import json
 import os
+import re
 import struct
 import zlib
 from array import array
 from string import punctuation
-from unicodedata import is_normalized
 
 import numpy as np
 import pyarrow as pa
@@ -46,6 +47,8 @@ LEVEL = 3
 BLOCK_BYTES, BLOCK_DOCS = 4 << 20, 4096
 #: Pieces kept by a worker's cache, and the longest piece that stays there.
 CACHE_PIECES, CACHE_CHARS = 400_000, 48
+#: A document of the dictionary's sample has so many bytes at most, which bounds what the driver fetches.
+SAMPLE_BYTES = 1 << 16
 
 ENCODED = "bucket int, id bigint, n_tokens bigint, frame binary"
 BLOCKS = "bucket int, block int, first_id bigint, last_id bigint, n_docs int, start_in_bucket bigint, n_tokens bigint, ids array<bigint>, sizes array<bigint>, payload binary"
@@ -61,16 +64,41 @@ def _byte_alphabet() -> list[str]:
 
 
 _ALPHABET = _byte_alphabet()
+#: Letters whose normal form and lower case are one letter each, at every place in a word.
+_SAFE = "^[A-Za-zÀ-ÖØ-öø-ÿ]+$"
+_LOWER_SAFE = re.compile("[a-zß-öø-ÿ]+")
+
+
+def word_splitter(spec: dict) -> bool:
+    """Does a tokenizer file state that white space is dropped and letters are a piece of their own?
+
+    Only then are words, and words without the ASCII punctuation behind them, encoded apart: NFC and lower case (which
+    never cross white space), a split that keeps runs of letters, single numbers and runs of other signs, bytes as letters
+    without an added space, plain BPE, and no added token that swallows the space around it or holds one.
+    """
+    normal = (spec.get("normalizer") or {}).get("normalizers") or []
+    steps = (spec.get("pre_tokenizer") or {}).get("pretokenizers") or []
+    model = spec.get("model") or {}
+    if [n.get("type") for n in normal] != ["NFC", "Replace", "Lowercase"] or [s.get("type") for s in steps] != ["Split", "ByteLevel"]:
+        return False
+    split, octets = steps
+    pattern = (split.get("pattern") or {}).get("Regex", "").split("|")
+    runs = pattern[-3:] == [r"[\p{L}]+", r"[\p{N}]", r"[^\s\p{L}\p{N}]+"] and all(p[:1] == "'" and p[1:].isalpha() for p in pattern[:-3])
+    spaces = (normal[1].get("pattern") or {}).get("Regex") == r"\s+" and normal[1].get("content") == " "
+    plain = model.get("type") == "BPE" and not model.get("dropout") and not model.get("unk_token") and not model.get("ignore_merges") and not model.get("continuing_subword_prefix")
+    tokens = all(not (t["lstrip"] or t["rstrip"] or t["single_word"]) and not t["normalized"] and t["content"].isascii() and not any(c.isspace() for c in t["content"]) and t["content"][-1] in punctuation and not t["content"].rstrip(punctuation).isalpha() for t in spec.get("added_tokens", []))
+    return runs and spaces and plain and tokens and split.get("behavior") == "Removed" and split.get("invert") is True and not octets.get("add_prefix_space") and octets.get("use_regex") is False
 
 
 class Encoder:
     """Whole texts to serialized ids, by the tokenizers library, with a bounded cache of pieces.
 
-    A batch is cut at white space and its distinct words are found by Arrow; only those are looked up, and
-    the documents' ids are gathered from them in one pass.
+    Of a word splitter, a batch is cut at white space and its distinct words are found by Arrow; only those are looked
+    up, and the documents' ids are gathered from them in one pass. Words of safe letters lose the ASCII punctuation behind
+    them, which is a piece of its own; every other word is given to the tokenizer as it is.
     """
 
-    def __init__(self, path: str, end_id: int | None, splits_on_space: bool = True):
+    def __init__(self, path: str, end_id: int | None, splits_on_space: bool | None = None):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
@@ -78,6 +106,9 @@ class Encoder:
         self.width = 2 if max(self.tokenizer.get_vocab_size(), (end_id or 0) + 1) <= 1 << 16 else 4
         self.code = "H" if self.width == 2 else "I"
         self.end = b"" if end_id is None else array(self.code, [end_id]).tobytes()
+        if splits_on_space is None:
+            with open(path, encoding="utf-8") as f:
+                splits_on_space = word_splitter(json.load(f))
         self.splits = splits_on_space
         self.pieces: dict[str, bytes] = {}
 
@@ -85,10 +116,10 @@ class Encoder:
         return [array(self.code, e.ids).tobytes() for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
 
     def _learn(self, pieces: list[str]) -> None:
-        """Encode pieces. Lower-case words in normal form are one piece that only changes its byte alphabet."""
+        """Encode pieces. A lower-case word of safe letters is one piece that only changes its byte alphabet."""
         model, rest = self.tokenizer.model.tokenize, []
         for p in pieces:
-            if p.isalpha() and (p.islower() if p.isascii() else p == p.lower() and is_normalized("NFC", p)):
+            if _LOWER_SAFE.fullmatch(p):
                 word = p if p.isascii() else "".join([_ALPHABET[b] for b in p.encode()])
                 self.pieces[p] = array(self.code, [t.id for t in model(word)]).tobytes()
             else:
@@ -113,12 +144,11 @@ class Encoder:
         return pa.array(ids, pa.large_binary()).take(coded.indices)
 
     def _words(self, words: pa.Array) -> pa.Array:
-        """The ids of distinct words. Letters before ASCII punctuation are two pieces to the tokenizer."""
+        """The ids of distinct words. Safe letters before ASCII punctuation are a piece to the tokenizer."""
         base = pc.utf8_rtrim(words, punctuation)
-        base = pc.if_else(pc.utf8_is_alpha(base), base, words)
-        # the tokenizer lower-cases; in these letters that is the same everywhere
-        head = self._known(pc.if_else(pc.match_substring_regex(base, "^[A-Za-zÀ-ÖØ-öø-ÿ]+$"), pc.utf8_lower(base), base))
-        cut = pc.greater(pc.binary_length(words), pc.binary_length(base))
+        safe = pc.match_substring_regex(base, _SAFE)
+        head = self._known(pc.if_else(safe, pc.utf8_lower(base), words))
+        cut = pc.and_(safe, pc.greater(pc.binary_length(words), pc.binary_length(base)))
         if not pc.any(cut).as_py():
             return head
         tails = pc.if_else(cut, pc.replace_substring_regex(words, r"^[^!-/:-@\[-`{-~]*", ""), "")
@@ -156,7 +186,7 @@ def slices(batch: pa.RecordBatch, column: int, size: int = 8 << 20):
 _ENCODERS: dict[tuple, Encoder] = {}
 
 
-def encoder(path: str, end_id: int | None, splits_on_space: bool = True) -> Encoder:
+def encoder(path: str, end_id: int | None, splits_on_space: bool | None = None) -> Encoder:
     """The worker's encoder: kept, with its cache, from task to task."""
     key = (path, end_id, splits_on_space)
     if key not in _ENCODERS:
@@ -168,14 +198,15 @@ def dictionary_hash(raw: bytes) -> int:
     return xxhash.xxh64_intdigest(raw) if raw else 0
 
 
-def train_dictionary(df: DataFrame, id_col: str, text_col: str, tokenizer: str, end_id: int | None, splits_on_space: bool, sample_docs: int, size: int) -> bytes:
+def train_dictionary(df: DataFrame, id_col: str, text_col: str, tokenizer: str, end_id: int | None, splits_on_space: bool | None, sample_docs: int, size: int) -> bytes:
     """A zstandard dictionary of at most `size` bytes from the ids of `sample_docs` documents; empty if they are too few."""
-    n = df.select(F.lit(1)).count()
+    short = df.filter((F.octet_length(text_col) > 0) & (F.octet_length(text_col) <= SAMPLE_BYTES))
+    n = short.select(F.lit(1)).count()
     if n == 0:
         return b""
     share = min(1.0, 2.0 * sample_docs / n)
     drawn = F.pmod(F.xxhash64(id_col), F.lit(1 << 30))
-    rows = df.select(F.col(text_col).alias("t"), drawn.alias("h")).filter(F.col("h") < int(share * (1 << 30)) + 1).orderBy("h").limit(sample_docs).collect()
+    rows = short.select(F.col(text_col).alias("t"), drawn.alias("h")).filter(F.col("h") < int(share * (1 << 30)) + 1).orderBy("h").limit(sample_docs).collect()
     texts = pa.array([r["t"] for r in rows if r["t"]], pa.string())
     samples = [x for x in encoder(tokenizer, end_id, splits_on_space)(texts) if len(x) >= 8]
     try:
@@ -210,7 +241,7 @@ class Block:
         return np.frombuffer(self.reader.decompress(frame), "<u2" if self.width == 2 else "<u4").astype("<u4")
 
 
-def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int | None = None, id_col: str = "doc_id", text_col: str = "text", splits_on_space: bool = True, sample_docs: int = 500, dictionary_bytes: int = 1 << 16) -> None:
+def write_tokens(df: DataFrame, path: str, tokenizer: str, end_id: int | None = None, id_col: str = "doc_id", text_col: str = "text", splits_on_space: bool | None = None, sample_docs: int = 500, dictionary_bytes: int = 1 << 16) -> None:
     """Encode df's texts and write them below `path` in ascending id order: blocks/ and dictionary/."""
     spark = df.sparkSession
     raw = train_dictionary(df, id_col, text_col, tokenizer, end_id, splits_on_space, sample_docs, dictionary_bytes)
