@@ -2,20 +2,26 @@
 
 One automaton over words holds every substring of every item. Document words stream through it; the
 state and the longest matching length are tracked, so whether the last 13 words occur in an item is
-read off at each word (length >= 13). Items of fewer words count only as a whole: their end states are
-marked and looked up along the suffix links. Words outside the items' vocabulary reset the match, so
-only runs of known words of at least the shortest window's length enter the automaton.
+read off at each word (length >= 13). For each state the one that holds its last 13 words, and the nearest whole
+short item on its suffix links, are known beforehand, so a scan is linear in the document however
+repetitive items and document are. Items of fewer words count only as a whole. Words outside the items'
+vocabulary reset the match, so only runs of known words of at least the shortest window's length are followed.
 
-Items are broadcast as automata of at most `max_bytes` bytes of text each; a larger benchmark is dealt
-to several automata by the hash of its item_id, one pass each, and what they hit is merged.
+An automaton lies in flat arrays, with a table of the states that have several successors, and is built of at most
+about `max_bytes` of item text (some 100 bytes for each byte of text while the driver builds it, a tenth of that
+when broadcast). A larger benchmark is dealt to several by the hash of its item_id; up to `pass_parts` are scanned in
+one pass over the documents, and only a benchmark beyond that takes further passes.
 
 Defined cases: null or wordless texts and items have no words and hit nothing; repeated items and rows
-all stay; a column of documents with the name of a result column is replaced; empty tables work.
+all stay; rows are carried as one struct, so no column's name can clash with a result's, and a column of documents
+with the name of a result is replaced; empty tables work.
 """
 
 from __future__ import annotations
 
 import hashlib
+from array import array
+from fractions import Fraction
 from itertools import repeat
 
 import numpy as np
@@ -27,38 +33,19 @@ from .common import materialise, small
 from .words import alnum_bounds, alnum_words
 
 WINDOW = 13
+#: Bytes of item text in one automaton, and automata scanned in one pass.
+MAX_BYTES, PASS_PARTS = 2 << 20, 8
 ADDED = ("n_words", "n_hit", "n_items", "item_ids", "items_sha256", "contaminated", "hit_spans", "clean_text")
 
 
-class Automaton:
-    """A generalised suffix automaton over word ids, with the items at each window's state."""
+class _Growing:
+    """The automaton while it is built: a dictionary of successors for each state."""
 
-    def __init__(self, items: list[tuple[object, bytes | None]], window: int = WINDOW):
-        self.window, self.vocabulary = window, {}
+    def __init__(self):
         self.next: list[dict[int, int]] = [{}]
         self.link, self.length = [-1], [0]
-        self.items = [str(i) for i, _ in items]
-        coded = []
-        for _, text in items:
-            words = alnum_words(text)
-            coded.append([self.vocabulary.setdefault(w, len(self.vocabulary)) for w in words])
-        for words in coded:
-            last = 0
-            for w in words:
-                last = self._extend(last, w)
-        self.shortest = min((min(len(c), window) for c in coded if c), default=window)
-        self.full: dict[int, set[int]] = {}  # state of a window of full length -> items
-        self.short: dict[int, set[int]] = {}  # state of a whole short item -> items
-        for k, words in enumerate(coded):
-            state, size = 0, 0
-            for w in words:
-                state, size = self.step(state, size, w)
-                if size >= window:
-                    self.full.setdefault(self.window_state(state), set()).add(k)
-            if 0 < len(words) < window:
-                self.short.setdefault(state, set()).add(k)
 
-    def _extend(self, last: int, w: int) -> int:
+    def extend(self, last: int, w: int) -> int:
         if (old := self.next[last].get(w)) is not None:
             return old if self.length[old] == self.length[last] + 1 else self._split(last, w, old)
         new = self._state(self.length[last] + 1, {})
@@ -87,20 +74,68 @@ class Automaton:
             p = self.link[p]
         return copy
 
+
+class Automaton:
+    """A generalised suffix automaton over word ids in flat arrays, with the items at each window's state."""
+
+    def __init__(self, items: list[tuple[object, bytes | None]], window: int = WINDOW):
+        self.window, self.vocabulary = window, {}
+        self.items = [str(i) for i, _ in items]
+        coded = []
+        for _, text in items:
+            words = alnum_words(text)
+            coded.append([self.vocabulary.setdefault(w, len(self.vocabulary)) for w in words])
+        grown = _Growing()
+        for words in coded:
+            last = 0
+            for w in words:
+                last = grown.extend(last, w)
+        self.shortest = min((min(len(c), window) for c in coded if c), default=window)
+        self.link, self.length = array("i", grown.link), array("i", grown.length)
+        n, self.size = len(grown.next), max(len(self.vocabulary), 1)
+        # a state's only successor and its word; states with several are in one table
+        self.word, self.then, self.more = array("i", [-1]) * n, array("i", [0]) * n, {}
+        for s, edges in enumerate(grown.next):
+            if len(edges) == 1:
+                [(self.word[s], self.then[s])] = edges.items()
+            else:
+                self.more.update((s * self.size + w, t) for w, t in edges.items())
+        del grown
+        order = np.argsort(np.asarray(self.length), kind="stable").tolist()
+        # the state that holds the last `window` words of a longer match
+        self.held = array("i", [0]) * n
+        for s in order:
+            up = self.link[s]
+            self.held[s] = self.held[up] if up >= 0 and self.length[up] >= window else s
+        full: dict[int, set[int]] = {}  # state of a window of full length -> items
+        short: dict[int, set[int]] = {}  # state of a whole short item -> items
+        for k, words in enumerate(coded):
+            state, size = 0, 0
+            for w in words:
+                state, size = self.step(state, size, w)
+                if size >= window:
+                    full.setdefault(self.held[state], set()).add(k)
+            if 0 < len(words) < window:
+                short.setdefault(state, set()).add(k)
+        self.full, self.short = ({s: array("i", sorted(v)) for s, v in d.items()} for d in (full, short))
+        # the nearest whole short item at or above a state; such chains are shorter than a window
+        self.nearest = array("i", [-1]) * n if short else None
+        if short:
+            for s in order:
+                up = self.link[s]
+                self.nearest[s] = s if s in short else self.nearest[up] if up >= 0 else -1
+
     def step(self, state: int, size: int, w: int) -> tuple[int, int]:
         """The state and the longest matching length after one more word."""
-        while state and w not in self.next[state]:
+        while True:
+            if self.word[state] == w:
+                return self.then[state], size + 1
+            if (t := self.more.get(state * self.size + w)) is not None:
+                return t, size + 1
+            if not state:
+                return 0, 0
             state = self.link[state]
             size = self.length[state]
-        if w in self.next[state]:
-            return self.next[state][w], size + 1
-        return 0, 0
-
-    def window_state(self, state: int) -> int:
-        """The state that holds the last `window` words of a longer match."""
-        while self.length[self.link[state]] >= self.window:
-            state = self.link[state]
-        return state
 
     def scan(self, words: list[bytes]) -> tuple[np.ndarray, set[int]]:
         """Spans (start, end) of windows that occur in `words`, and the items that they are of."""
@@ -108,21 +143,39 @@ class Automaton:
         edge = np.diff(np.concatenate([[False], ids >= 0, [False]]).astype(np.int8))
         begins, ends = np.flatnonzero(edge == 1), np.flatnonzero(edge == -1)
         long = ends - begins >= self.shortest
-        spans, found = [], set()
+        window, word, then, more, width, link, length = self.window, self.word, self.then, self.more.get, self.size, self.link, self.length
+        spans, whole, parts = array("q"), set(), set()
         for begin, end in zip(begins[long].tolist(), ends[long].tolist(), strict=True):
             state, size = 0, 0
             for at, w in enumerate(ids[begin:end].tolist(), begin + 1):
-                state, size = self.step(state, size, w)
-                if size >= self.window:
-                    spans.append((at - self.window, at))
-                    found |= self.full[self.window_state(state)]
-                if self.short:
-                    s = state
-                    while s > 0:
-                        if s in self.short and self.length[s] <= size:
-                            spans.append((at - self.length[s], at))
-                            found |= self.short[s]
-                        s = self.link[s]
+                while True:
+                    if word[state] == w:
+                        state, size = then[state], size + 1
+                        break
+                    if (t := more(state * width + w)) is not None:
+                        state, size = t, size + 1
+                        break
+                    if not state:
+                        size = 0
+                        break
+                    state = link[state]
+                    size = length[state]
+                if size >= window:
+                    spans.extend((at - window, at))
+                    whole.add(self.held[state])
+                if self.nearest is not None:
+                    s = self.nearest[state]
+                    if s >= 0 and length[s] > size:
+                        s = self.nearest[link[s]]
+                    if s >= 0:
+                        spans.extend((at - length[s], at))
+                        parts.add(s)
+        found = {k for s in whole for k in self.full[s]}
+        while parts:
+            s = parts.pop()
+            found.update(self.short[s])
+            if (up := self.nearest[self.link[s]]) >= 0:
+                parts.add(up)
         return np.array(spans, np.int64).reshape(-1, 2), found
 
 
@@ -137,7 +190,7 @@ def merged(spans: np.ndarray) -> np.ndarray:
     return np.stack([spans[first, 0], reach[np.concatenate([first[1:], [len(spans)]]) - 1]], axis=1)
 
 
-def automata(benchmark: DataFrame, window: int = WINDOW, item_col: str = "item_id", text_col: str = "text", max_bytes: int = 32 << 20) -> list[Automaton]:
+def automata(benchmark: DataFrame, window: int = WINDOW, item_col: str = "item_id", text_col: str = "text", max_bytes: int = MAX_BYTES) -> list[Automaton]:
     """Automata over all items; none is built of more than about max_bytes of text."""
     size = benchmark.select(F.sum(F.octet_length(text_col))).first()[0] or 0
     parts = size // max_bytes + 1
@@ -159,60 +212,61 @@ def cut_spans(text: bytes, spans: np.ndarray) -> bytes:
     return b"".join([*out, text[at:]])
 
 
-def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, coverage: float = 0.05, min_span: int = WINDOW, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", keep: list[str] | None = None, clean: bool = False, max_bytes: int = 32 << 20) -> DataFrame:
+def decontaminate(docs: DataFrame, benchmark: DataFrame, window: int = WINDOW, coverage: float = 0.05, min_span: int = WINDOW, text_col: str = "text", item_col: str = "item_id", item_text: str = "text", keep: list[str] | None = None, clean: bool = False, max_bytes: int = MAX_BYTES, pass_parts: int = PASS_PARTS) -> DataFrame:
     """Add to docs what the benchmark's windows hit in each whole text.
 
     n_words, n_hit, n_items bigint; item_ids array<string>, sorted; items_sha256 of them, comma-joined;
-    contaminated: n_hit > 0 and n_hit >= coverage * n_words; hit_spans: merged spans as word positions.
-    With `clean`: clean_text, null where contaminated (the document goes), else the text without the
-    merged spans of at least `min_span` words. `keep` names the columns of docs to carry (all).
+    contaminated: n_hit > 0 and n_hit >= coverage * n_words, by the decimal fraction that `coverage` reads as;
+    hit_spans: merged spans as word positions. With `clean`: clean_text, null where contaminated (the document goes),
+    else the text without the merged spans of at least `min_span` words. `keep` names the columns of docs to carry (all).
     """
-    denominator = round(1 / coverage)
-    keep = [c for c in (docs.columns if keep is None else keep) if c not in ADDED]
-    source = text_col if text_col in keep else "_text"
-    state = docs.select(*keep, *([] if text_col in keep else [F.col(text_col).alias("_text")]), F.lit(0).cast("bigint").alias("_n"), F.lit(None).cast("array<bigint>").alias("_spans"), F.array().cast("array<string>").alias("_items"))
+    share = Fraction(str(coverage))
+    added = ADDED if clean else ADDED[:-1]
+    names = docs.columns if keep is None else keep
+    carried = F.struct(*[docs[c] for c in names if c.lower() not in added] or [F.lit(0).alias("_")]).alias("row")
+    state = docs.select(carried, F.col(text_col).cast("binary").alias("text"), F.lit(0).cast("bigint").alias("n"), F.array().cast("array<bigint>").alias("spans"), F.array().cast("array<string>").alias("items"))
     spark = docs.sparkSession
     parts = automata(benchmark, window, item_col, item_text, max_bytes)
-    for k, automaton in enumerate(parts):
-        sent = spark.sparkContext.broadcast(automaton)
+    for k in range(0, len(parts), pass_parts):
+        sent = spark.sparkContext.broadcast(parts[k : k + pass_parts])  # of pass_parts * max_bytes of item text
 
         def scan(batches, sent=sent):
-            own = sent.value
             for batch in small(batches):
                 sizes, spans, items = [], [], []
-                for text, old, had in zip(batch.column(source).cast(pa.binary()).to_pylist(), batch.column("_spans").to_pylist(), batch.column("_items").to_pylist(), strict=True):
-                    words = alnum_words(text)
-                    got, found = own.scan(words)
+                for text, old, had in zip(batch.column(1).to_pylist(), batch.column(3).to_pylist(), batch.column(4).to_pylist(), strict=True):
+                    words, got, found = alnum_words(text), [np.array(old, np.int64).reshape(-1, 2)], set(had)
+                    for own in sent.value:
+                        some, which = own.scan(words)
+                        got.append(some)
+                        found.update(own.items[i] for i in which)
                     sizes.append(len(words))
-                    spans.append(merged(np.concatenate([got, np.array(old or [], np.int64).reshape(-1, 2)])).ravel())
-                    items.append(sorted({*had, *(own.items[i] for i in found)}))
-                table = {n: batch.column(n) for n in batch.schema.names} | {"_n": pa.array(sizes, pa.int64()), "_spans": pa.array(spans, pa.list_(pa.int64())), "_items": pa.array(items, pa.list_(pa.string()))}
-                yield pa.RecordBatch.from_arrays(list(table.values()), list(table))
+                    spans.append(merged(np.concatenate(got)).ravel())
+                    items.append(sorted(found))
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sizes, pa.int64()), pa.array(spans, pa.list_(pa.int64())), pa.array(items, pa.list_(pa.string()))], batch.schema.names)
 
         state = state.mapInArrow(scan, state.schema)
-        if k + 1 < len(parts):
+        if k + pass_parts < len(parts):
             state = materialise(state, "decontamination")
 
-    added = "n_words bigint, n_hit bigint, n_items bigint, item_ids array<string>, items_sha256 string, contaminated boolean, hit_spans array<struct<start:bigint,end:bigint>>" + (", clean_text string" if clean else "")
-    out = spark.createDataFrame([], added).schema
+    results = "n_words bigint, n_hit bigint, n_items bigint, item_ids array<string>, items_sha256 string, contaminated boolean, hit_spans array<struct<start:bigint,end:bigint>>" + (", clean_text string" if clean else "")
+    kinds = {"n_words": pa.int64(), "n_hit": pa.int64(), "n_items": pa.int64(), "item_ids": pa.list_(pa.string()), "items_sha256": pa.string(), "contaminated": pa.bool_(), "hit_spans": pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))} | ({"clean_text": pa.string()} if clean else {})
 
     def judge(batches):
         for batch in small(batches):
             rows = []
-            texts = batch.column(source).cast(pa.binary()).to_pylist() if clean else repeat(None, batch.num_rows)
-            for text, n, flat, items in zip(texts, batch.column("_n").to_pylist(), batch.column("_spans").to_pylist(), batch.column("_items").to_pylist(), strict=True):
+            texts = batch.column("text").to_pylist() if clean else repeat(None, batch.num_rows)
+            for text, n, flat, items in zip(texts, batch.column("n").to_pylist(), batch.column("spans").to_pylist(), batch.column("items").to_pylist(), strict=True):
                 spans = np.array(flat, np.int64).reshape(-1, 2)
                 hit = int((spans[:, 1] - spans[:, 0]).sum())
-                bad = hit > 0 and denominator * hit >= n
+                bad = hit > 0 and hit * share.denominator >= share.numerator * n
                 row = {"n_words": n, "n_hit": hit, "n_items": len(items), "item_ids": items, "items_sha256": hashlib.sha256(",".join(items).encode()).hexdigest(), "contaminated": bad, "hit_spans": [{"start": a, "end": b} for a, b in spans.tolist()]}
                 if clean:
                     row["clean_text"] = None if bad or text is None else cut_spans(text, spans[spans[:, 1] - spans[:, 0] >= min_span]).decode()
                 rows.append(row)
-            table = {n: batch.column(n) for n in keep} | {n: pa.array([r[n] for r in rows], kinds[n]) for n in kinds}
-            yield pa.RecordBatch.from_arrays(list(table.values()), list(table))
+            yield pa.RecordBatch.from_arrays([batch.column("row"), *(pa.array([r[c] for r in rows], kinds[c]) for c in kinds)], ["row", *kinds])
 
-    kinds = {"n_words": pa.int64(), "n_hit": pa.int64(), "n_items": pa.int64(), "item_ids": pa.list_(pa.string()), "items_sha256": pa.string(), "contaminated": pa.bool_(), "hit_spans": pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))} | ({"clean_text": pa.string()} if clean else {})
-    schema = docs.select(*keep).schema
-    for f in out:
+    schema = state.select("row").schema
+    for f in spark.createDataFrame([], results).schema:
         schema = schema.add(f)
-    return (state if clean or source in keep else state.drop(source)).mapInArrow(judge, schema)
+    judged = (state if clean else state.drop("text")).mapInArrow(judge, schema)
+    return judged.select(*[F.col(f"row.`{c}`") for c in names if c.lower() not in added], *kinds)
