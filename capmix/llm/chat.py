@@ -12,10 +12,14 @@ exactly. The loss mask follows from prefix sums of the segment lengths: position
 first id to its last in turns of the trained roles.
 
 `format_chat` gives one row for each turn: conv_id, seq, token_start (ids of all earlier turns), ids,
-mask. A conversation is the concatenation of its rows, so no row grows with a conversation's length.
-`read_back` reads only ids and masks and rebuilds turns and digests in one streaming pass; a
-conversation of any length needs the memory of one batch (its SHA-256 is sequential by nature, so
-one task must see the turns in order, but encoding is done before, wherever the rows lie).
+mask. A conversation is the concatenation of its rows in order of seq, so no row grows with a conversation's length.
+`read_back` takes such rows in any order and partitioning, as a stored table gives them, reads only ids and masks,
+and rebuilds turns and digests in one streaming pass; a conversation of any length needs the memory of
+one batch (its SHA-256 is sequential by nature, so one task must see the turns in order, but encoding is
+done before, wherever the rows lie). Between tasks ids travel packed to their width and masks as the text's bounds.
+
+A byte-level tokenizer with a rank file of the same name beside it is run by tiktoken, which gives the same ids
+(texts with very long runs of white space, on which it fails, go to the tokenizers library).
 
 Defined cases: null role or text is empty; null turns come first; equal turns are ordered by role and
 ids and repeated rows all count; rows with null conv_id form one conversation; no rows, no output;
@@ -24,12 +28,14 @@ extra columns are ignored.
 
 from __future__ import annotations
 
+import base64
 import hashlib
 import os
 import re
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -38,6 +44,10 @@ from .common import width
 # The marks of the template, in the order of their ids.
 MARKS = ("<|im_start|>", "<|im_sep|>", "<|im_end|>")
 
+# Fixed value: the public pattern by which byte-level tokenizers of this kind cut a text.
+PIECES = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+_LONG_SPACE = re.compile(r"\s{10000}")
+
 _NAMES = "im_start|im_sep|im_end|endoftext"
 _ESCAPE = re.compile(rf"<\|(\\*)({_NAMES})\|>")
 _UNESCAPE = re.compile(rf"<\|\\(\\*)({_NAMES})\|>")
@@ -60,12 +70,26 @@ class ChatTokenizer:
         self.tokenizer.encode_special_tokens = True
         first = self.tokenizer.get_vocab_size()
         self.start, self.sep, self.end = range(first, first + len(MARKS))
+        self.kind = np.dtype("<u2") if self.end < 1 << 16 else np.dtype("<u4")
+        self.ranks = None
+        ranks = os.path.splitext(path)[0] + ".tiktoken"
+        if os.path.exists(ranks):
+            import tiktoken
+
+            with open(ranks, "rb") as f:
+                table = {base64.b64decode(piece): int(rank) for piece, rank in map(bytes.split, f)}
+            self.ranks = tiktoken.Encoding("chat", pat_str=PIECES, mergeable_ranks=table, special_tokens={})
 
     def encode(self, texts: list[str]) -> list[list[int]]:
-        return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        if self.ranks is None:
+            return [e.ids for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+        plain = self.ranks.encode_ordinary
+        return [self.tokenizer.encode(t, add_special_tokens=False).ids if len(t) > 10_000 and _LONG_SPACE.search(t) else plain(t) for t in texts]
 
     def decode(self, parts: list[list[int]]) -> list[str]:
-        return self.tokenizer.decode_batch(parts, skip_special_tokens=False)
+        if self.ranks is None:
+            return self.tokenizer.decode_batch(parts, skip_special_tokens=False)
+        return [self.ranks.decode_bytes(p).decode("utf-8", "replace") for p in parts]
 
 
 _LOADED: dict[str, ChatTokenizer] = {}
@@ -78,11 +102,13 @@ def tokenizer_at(path: str) -> ChatTokenizer:
 
 
 def assemble(role_ids: list[int], text_ids: list[int], trained: bool, tok: ChatTokenizer) -> tuple[np.ndarray, np.ndarray]:
-    """Splice one turn's ids and derive its mask from the segments' prefix sums."""
+    """Splice one turn's ids; of its segments' prefix sums, (begin, end) of what the loss covers."""
     segments = ([tok.start], role_ids, [tok.sep], text_ids, [tok.end])
     ends = np.cumsum([len(s) for s in segments])
-    at = np.arange(ends[-1])
-    return np.concatenate([np.asarray(s, dtype=np.int32) for s in segments]), (at >= ends[2]) & (at < ends[3]) & trained
+    out = np.empty(ends[-1], tok.kind)
+    for segment, end in zip(segments, ends.tolist(), strict=True):
+        out[end - len(segment) : end] = segment
+    return out, ends[2:4] if trained else ends[[2, 2]]
 
 
 def format_chat(df: DataFrame, tokenizer: str, trained_roles: tuple[str, ...] = ("assistant",)) -> DataFrame:
@@ -98,41 +124,55 @@ def format_chat(df: DataFrame, tokenizer: str, trained_roles: tuple[str, ...] =
                 raw_roles = [r or "" for r in roles.to_pylist()]
                 known = {r: ids for r, ids in zip(dict.fromkeys(raw_roles), tok.encode([escape(r) for r in dict.fromkeys(raw_roles)]), strict=True)}
                 rows = [assemble(known[r], ids, r in trained, tok) for r, ids in zip(raw_roles, tok.encode([escape(t or "") for t in texts.to_pylist()]), strict=True)]
-                yield pa.RecordBatch.from_arrays([conv, turn, pa.array([r[0] for r in rows], pa.list_(pa.int32())), pa.array([r[1] for r in rows], pa.list_(pa.bool_())), pa.array(raw_roles, pa.string())], ["conv_id", "turn", "ids", "mask", "role"])
+                bounds = np.array([r[1] for r in rows], np.int64).reshape(-1, 2)
+                yield pa.RecordBatch.from_arrays([conv, turn, pa.array([r[0].tobytes() for r in rows], pa.binary()), pa.array(bounds[:, 0]), pa.array(bounds[:, 1]), pa.array(raw_roles, pa.string())], ["conv_id", "turn", "packed", "begin", "end", "role"])
 
     def number(batches):
+        kind = tokenizer_at(tokenizer).kind
         conv, seq, start, begun = None, 0, 0, False
-        for batch in batches:
-            convs, sizes = batch.column(0).to_pylist(), batch.column(1).value_lengths().to_pylist()
-            seqs, starts = [], []
-            for c, n in zip(convs, sizes, strict=True):
-                if not begun or c != conv:
-                    conv, seq, start, begun = c, 0, 0, True
-                seqs.append(seq)
-                starts.append(start)
-                seq, start = seq + 1, start + n
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(seqs, pa.int64()), pa.array(starts, pa.int64()), batch.column(1), batch.column(2)], ["conv_id", "seq", "token_start", "ids", "mask"])
+        for whole in batches:
+            for k in range(0, whole.num_rows, 512):
+                batch = whole.slice(k, 512)
+                sizes = np.asarray(pc.binary_length(batch.column(1))).astype(np.int64) // kind.itemsize
+                begins, ends = batch.column(2).to_numpy(), batch.column(3).to_numpy()
+                seqs, starts = [], []
+                for c, n in zip(batch.column(0).to_pylist(), sizes.tolist(), strict=True):
+                    if not begun or c != conv:
+                        conv, seq, start, begun = c, 0, 0, True
+                    seqs.append(seq)
+                    starts.append(start)
+                    seq, start = seq + 1, start + n
+                offsets = np.concatenate([[0], np.cumsum(sizes)])
+                flat = np.frombuffer(b"".join(batch.column(1).to_pylist()), kind).astype(np.int32)
+                at = np.arange(len(flat)) - np.repeat(offsets[:-1], sizes)
+                mask = (at >= np.repeat(begins, sizes)) & (at < np.repeat(ends, sizes))
+                ids = pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(flat))
+                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(seqs, pa.int64()), pa.array(starts, pa.int64()), ids, pa.ListArray.from_arrays(pa.array(offsets, pa.int32()), pa.array(mask))], ["conv_id", "seq", "token_start", "ids", "mask"])
 
     rows = df.select(F.col("conv_id").cast("bigint"), F.col("turn").cast("bigint"), F.col("role").cast("string"), F.col("text").cast("string"))
-    encoded = rows.mapInArrow(encode, "conv_id bigint, turn bigint, ids array<int>, mask array<boolean>, role string")
-    ordered = encoded.repartition(width(df.sparkSession), "conv_id").sortWithinPartitions(F.col("conv_id").asc_nulls_first(), F.col("turn").asc_nulls_first(), "role", "ids")
-    return ordered.select("conv_id", "ids", "mask").mapInArrow(number, "conv_id bigint, seq bigint, token_start bigint, ids array<int>, mask array<boolean>")
+    encoded = rows.mapInArrow(encode, "conv_id bigint, turn bigint, packed binary, begin bigint, end bigint, role string")
+    ordered = encoded.repartition(width(df.sparkSession), "conv_id").sortWithinPartitions(F.col("conv_id").asc_nulls_first(), F.col("turn").asc_nulls_first(), "role", "packed")
+    return ordered.select("conv_id", "packed", "begin", "end").mapInArrow(number, "conv_id bigint, seq bigint, token_start bigint, ids array<int>, mask array<boolean>")
 
 
-def parse_turns(rows: list[np.ndarray], masks: list[np.ndarray], tok: ChatTokenizer) -> list[tuple[str, str, str, int]]:
-    """(role, text, masked text, rendered length) of each turn, from ids and masks alone."""
+def parse_turns(rows: list[np.ndarray], bounds: list[tuple[int, int]], tok: ChatTokenizer) -> list[tuple[str, str, str, int]]:
+    """(role, text, masked text, rendered length) of each turn, from ids and the mask's bounds alone."""
     roles, texts, masked = [], [], []
-    for ids, mask in zip(rows, masks, strict=True):
+    for ids, (begin, end) in zip(rows, bounds, strict=True):
         cut = int(np.flatnonzero(ids == tok.sep)[0])
         if ids[0] != tok.start or ids[-1] != tok.end:
             raise ValueError("a turn must begin and end with its marks")
-        roles.append(ids[1:cut].tolist())
+        roles.append(tuple(ids[1:cut].tolist()))
         texts.append(ids[cut + 1 : -1].tolist())
-        masked.append(ids[mask].tolist())
+        # the mask's ids are decoded on their own unless they are exactly the text's
+        masked.append(None if (begin, end) == (cut + 1, len(ids) - 1) else ids[begin:end].tolist())
     out = []
     marks = sum(map(len, MARKS))
-    for role, text, loss in zip(tok.decode(roles), tok.decode(texts), tok.decode(masked), strict=True):
-        out.append((unescape(role), unescape(text), unescape(loss), marks + len(role) + len(text)))
+    names = dict(zip(names := list(dict.fromkeys(roles)), tok.decode([list(r) for r in names]), strict=True))
+    for role, text, some in zip(roles, tok.decode(texts), masked, strict=True):
+        plain, shown = unescape(text), names[role]
+        loss = plain if some is None else unescape(tok.decode([some])[0]) if some else ""
+        out.append((unescape(shown), plain, loss, marks + len(shown) + len(text)))
     return out
 
 
@@ -148,8 +188,31 @@ def render(ids: list[int], tok: ChatTokenizer) -> str:
     return "".join(out)
 
 
-def read_back(formatted: DataFrame, tokenizer: str) -> DataFrame:
-    """Digests of each conversation, rebuilt from the rows that format_chat gave, in their order."""
+def read_back(formatted: DataFrame, tokenizer: str, in_order: bool = False) -> DataFrame:
+    """Digests of each conversation, rebuilt from the rows that format_chat gave, wherever and in whatever order they lie.
+
+    `in_order` says that the rows come straight from format_chat, together and in order of seq, and spares a
+    shuffle; rows that don't raise an error.
+    """
+
+    def packed(batches):
+        """Ids to their width, the mask as (begin, end) of its one run."""
+        kind = tokenizer_at(tokenizer).kind
+        for whole in batches:
+            for k in range(0, whole.num_rows, 512):
+                batch = whole.slice(k, 512)
+                ids, masks = batch.column(2), batch.column(3)
+                offsets = np.asarray(ids.offsets).astype(np.int64)
+                flat = np.asarray(ids.values)[offsets[0] : offsets[-1]].astype(kind).tobytes()
+                bounds = (offsets - offsets[0]).tolist()
+                rows = [flat[a * kind.itemsize : b * kind.itemsize] for a, b in zip(bounds[:-1], bounds[1:], strict=True)]
+                on = masks.values.to_numpy(zero_copy_only=False)[offsets[0] : offsets[-1]].astype(bool)
+                at, row = np.flatnonzero(on), np.repeat(np.arange(len(rows)), np.diff(offsets))
+                held = np.bincount(row[at], minlength=len(rows))
+                begin = np.zeros(len(rows), np.int64)
+                first = at[np.concatenate([[True], np.diff(row[at]) > 0])] if len(at) else at
+                begin[row[first]] = first - (offsets[:-1] - offsets[0])[row[first]]
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(rows, pa.binary()), pa.array(begin), pa.array(begin + held)], ["conv_id", "seq", "packed", "begin", "end"])
 
     def digest(batches):
         tok = tokenizer_at(tokenizer)
@@ -164,16 +227,18 @@ def read_back(formatted: DataFrame, tokenizer: str) -> DataFrame:
             done = []
             for k in range(0, batch.num_rows, 512):
                 part = batch.slice(k, 512)
-                ids = [np.asarray(x.values) for x in part.column(3)]
-                masks = [np.asarray(x.values.to_numpy(zero_copy_only=False)) for x in part.column(4)]
-                for c, i, m, (role, text, loss, chars) in zip(part.column(0).to_pylist(), ids, masks, parse_turns(ids, masks, tok), strict=True):
+                ids = [np.frombuffer(x, tok.kind) for x in part.column(2).to_pylist()]
+                bounds = list(zip(part.column(3).to_pylist(), part.column(4).to_pylist(), strict=True))
+                for c, seq, i, (a, b), (role, text, loss, chars) in zip(part.column(0).to_pylist(), part.column(1).to_pylist(), ids, bounds, parse_turns(ids, bounds, tok), strict=True):
+                    if seq != (0 if state is None or c != conv else state["n"]):
+                        raise ValueError("the turns of a conversation must lie together in order of seq")
                     if state is None or c != conv:
                         if state is not None:
                             done.append(emit())
                         conv, state = c, {"turns": hashlib.sha256(), "loss": hashlib.sha256(), "n": 0, "chars": 0, "formatted": 0, "tokens": 0, "masked": 0}
                     state["turns"].update(f"{role}\n{text}\n".encode())
                     state["loss"].update(loss.encode())
-                    for name, v in (("n", 1), ("chars", len(loss)), ("formatted", chars), ("tokens", len(i)), ("masked", int(m.sum()))):
+                    for name, v in (("n", 1), ("chars", len(loss)), ("formatted", chars), ("tokens", len(i)), ("masked", b - a)):
                         state[name] += v
             if done:
                 yield pa.RecordBatch.from_pylist([dict(zip(fields, d, strict=True)) for d in done], schema=schema)
@@ -181,4 +246,6 @@ def read_back(formatted: DataFrame, tokenizer: str) -> DataFrame:
             yield pa.RecordBatch.from_pylist([dict(zip(fields, emit(), strict=True))], schema=schema)
 
     schema = pa.schema([(n, pa.string() if n.endswith("sha256") else pa.int64()) for n in ("conv_id", "n_turns", "turns_sha256", "loss_chars", "loss_sha256", "formatted_chars", "n_tokens", "n_loss_tokens")])
-    return formatted.mapInArrow(digest, "conv_id bigint, n_turns bigint, turns_sha256 string, loss_chars bigint, loss_sha256 string, formatted_chars bigint, n_tokens bigint, n_loss_tokens bigint")
+    rows = formatted.select("conv_id", "seq", "ids", "mask").mapInArrow(packed, "conv_id bigint, seq bigint, packed binary, begin bigint, end bigint")
+    ordered = rows if in_order else rows.repartition(width(formatted.sparkSession), "conv_id").sortWithinPartitions(F.col("conv_id").asc_nulls_first(), "seq")
+    return ordered.mapInArrow(digest, "conv_id bigint, n_turns bigint, turns_sha256 string, loss_chars bigint, loss_sha256 string, formatted_chars bigint, n_tokens bigint, n_loss_tokens bigint")

@@ -32,7 +32,7 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = tokenizer_path("byte_bpe_50k.json")
     demo = spark.range(2).select(F.lit(-1).cast("bigint").alias("conv_id"), F.col("id").alias("turn"), F.when(F.col("id") == 0, "user").otherwise("assistant").alias("role"), F.lit(DEMO).alias("text"))
     rows = _read(spark, sf_dir, "conversations").select("conv_id", "turn", "role", "text").unionByName(demo)
-    return chat.read_back(chat.format_chat(rows, path), path).drop("n_tokens", "n_loss_tokens")
+    return chat.read_back(chat.format_chat(rows, path), path, in_order=True).drop("n_tokens", "n_loss_tokens")
 
 
 def op2(spark: SparkSession, sf_dir: str) -> DataFrame:
