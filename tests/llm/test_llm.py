@@ -236,8 +236,8 @@ def covered(df):
     return {(r["doc_id"], p) for r in df.collect() for p in range(r["start"], r["start"] + r["n_words"])}
 
 
-@pytest.mark.parametrize("chunk", [200, 10_000_000])
-def test_repeats_brute_force(spark, chunk):
+@pytest.mark.parametrize(("chunk", "heavy"), [(200, 20_000), (10_000_000, 20_000), (200, 0), (10_000_000, 1)])
+def test_repeats_brute_force(spark, chunk, heavy):
     rng = random.Random(2)
     word = lambda: f"w{rng.randrange(4000)}"
     passage = [word() for _ in range(70)]
@@ -247,7 +247,7 @@ def test_repeats_brute_force(spark, chunk):
         at = rng.randrange(len(body))
         texts.append(" ".join(body[:at] + (passage[rng.randrange(15) :] if k % 2 else []) + body[at:]))
     texts += [texts[3], texts[3].upper(), "x " * 300, None, "", "y"]
-    got = covered(repeats.repeated_passages(docs_of(spark, texts).repartition(5, "doc_id"), chunk_words=chunk))
+    got = covered(repeats.repeated_passages(docs_of(spark, texts).repartition(5, "doc_id"), chunk_words=chunk, heavy=heavy))
     assert got == brute_redundant(texts, range(len(texts)))
 
 
@@ -265,6 +265,12 @@ def test_remove_repeats(spark):
     texts = [f"one {passage} end", f"two  {passage}\n tail", passage, "clean", None, ""]
     got = {r["doc_id"]: r["text"] for r in repeats.remove_repeats(docs_of(spark, texts)).collect()}
     assert got == {0: texts[0], 1: "two  \n tail", 3: "clean", 4: None, 5: ""}
+    # rows that share an id, or have none, keep their own words
+    other = " ".join(f"u{k}" for k in range(200))
+    shared = [r["text"] for r in repeats.remove_repeats(docs_of(spark, [texts[0], texts[1], other, "short text stays", f"x {passage}", None], [1, 2, 2, 2, None, None])).collect()]
+    assert sorted(map(str, shared)) == sorted(map(str, ["one  end", "two  \n tail", other, "short text stays", f"x {passage}", None]))
+    clash = docs_of(spark, texts).selectExpr("doc_id", "text", "1 as _id", "2 as spans", "3 as row", "4 as row_key", "5 as id", "6 as own_key")
+    assert repeats.remove_repeats(clash).filter("_id = 1 AND spans = 2 AND row = 3 AND row_key = 4 AND id = 5 AND own_key = 6").count() == 5
     same = docs_of(spark, [texts[0], texts[0]], [4, 4])
     assert [r["text"] for r in repeats.remove_repeats(same).collect()] == [texts[0]] * 2
     assert repeats.remove_repeats(docs_of(spark, texts).limit(0)).count() == 0
@@ -279,6 +285,34 @@ def test_rolling_hash_equality(values):
     assert all((r[i] == r[j]) == (grams[i] == grams[j]) for i in range(len(grams)) for j in range(i))
 
 
+def test_matches_are_maximal(spark):
+    passage = " ".join(f"p{k}" for k in range(400))
+    got = repeats.repeated_passages(docs_of(spark, [f"a b c {passage} d", f"e {passage} f g"])).collect()
+    assert [(r["doc_id"], r["start"], r["n_words"], r["source_doc_id"], r["source_start"]) for r in got] == [(1, 1, 400, 0, 3)]
+
+
+@given(st.lists(st.lists(st.integers(0, 2), max_size=60), min_size=2, max_size=5))
+@settings(max_examples=60, deadline=None)
+def test_compare_equals_brute_force(texts):
+    size, anchor = 8, 3
+    chunk = repeats._Chunk(size, anchor)
+    for i, t in enumerate(texts):
+        chunk.add(i, 0, " ".join(map(str, t)).encode())
+    if not chunk.docs:
+        return
+    doc, row, at, low, high, base = chunk.flat()
+    words = np.concatenate([d[2] for d in chunk.docs]).astype(np.uint32)
+    s = repeats.Suffixes(chunk.anchors(), doc, row, at, low, high, repeats._around(words, base + at, low, high, size, size - anchor))
+    i, o, j = repeats.compare(s, size)
+    seen, want = {}, set()
+    for d, t in enumerate(texts):
+        for k in range(len(t) - size + 1):
+            first = seen.setdefault(tuple(t[k : k + size]), (d, k))
+            if first != (d, k):
+                want.add((d, k, *first))
+    assert {(int(s.doc[a]), int(s.at[a] + b), int(s.doc[c]), int(s.at[c] + b)) for a, b, c in zip(i, o, j, strict=True)} == want
+
+
 # SimHash
 
 
