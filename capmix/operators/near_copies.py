@@ -58,15 +58,16 @@ def band_keys(own: np.ndarray, bands: int = BANDS, rows: int = ROWS) -> np.ndarr
 
 
 def _texts(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    return df.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("binary").alias("text"))
+    return df.select(F.col(id_col).cast("bigint").alias("id"), F.col(text_col).cast("binary").alias("text"), F.xxhash64(text_col).alias("row_key"))
 
 
 def _class(own: np.ndarray) -> int:
     return xxhash.xxh64_intdigest(own.tobytes(), 7) - (1 << 63)
 
 
-def sketches(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
-    """(id, cls, size, keys) of every row: its class, the size of its set, its band values."""
+def sketches(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shingle: int = SHINGLE, bands: int = BANDS, rows: int = ROWS, mark: Callable[[np.ndarray], int] | None = None) -> DataFrame:
+    """(id, row_key, cls, size, keys, mark) of every row: the hash of its text, its class, the size of its set, its band
+    values, and a number that `mark` makes of its set (0 without)."""
 
     def work(batches):
         for whole in batches:
@@ -74,9 +75,10 @@ def sketches(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shin
                 batch = whole.slice(at, 500)
                 sets = [shingle_set(t, shingle) for t in batch.column(1).to_pylist()]
                 keys = [band_keys(s, bands, rows).view(np.int64) if len(s) else [] for s in sets]
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([_class(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64()))], ["id", "cls", "size", "keys"])
+                marks = np.array([mark(s) if mark else 0 for s in sets], np.uint64).view(np.int64)
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([_class(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64())), pa.array(marks)], ["id", "row_key", "cls", "size", "keys", "mark"])
 
-    return _texts(df, id_col, text_col).mapInArrow(work, "id bigint, cls bigint, size int, keys array<bigint>")
+    return _texts(df, id_col, text_col).mapInArrow(work, "id bigint, row_key bigint, cls bigint, size int, keys array<bigint>, mark bigint")
 
 
 def _sets(df: DataFrame, text_col: str, shingle: int) -> DataFrame:
@@ -122,13 +124,15 @@ def similar(sets: list[np.ndarray], side: np.ndarray | None, threshold: float, s
     return out
 
 
-def pairs(df: DataFrame, rows: DataFrame, keep: Callable[[DataFrame, str], DataFrame], text_col: str = "text", shingle: int = SHINGLE, threshold: float = THRESHOLD, spanning: bool = False, block_rows: int = BLOCK_ROWS) -> DataFrame:
+def pairs(df: DataFrame, rows: DataFrame, keep: Callable[[DataFrame, str], DataFrame], text_col: str = "text", shingle: int = SHINGLE, threshold: float = THRESHOLD, spanning: bool = False, block_rows: int = BLOCK_ROWS, also: DataFrame | None = None) -> DataFrame:
     """(a, b, jaccard): pairs of classes whose sets reach the threshold; `rows` are the sketches of df.
 
     With `spanning`, of each block only as many pairs as join what it links. `keep` holds a table that is read twice.
+    `also` names further candidates: (cls, band), classes with a common value are compared.
     """
     classes = rows.groupBy("cls").agg(F.first("keys").alias("keys"))
     keyed = classes.select("cls", F.explode("keys").alias("band"))
+    keyed = keyed if also is None else keyed.union(also.select("cls", "band"))
     shared = keyed.groupBy("band").agg(F.count("*").alias("n")).filter("n > 1").select("band", F.ceil(F.col("n") / block_rows).cast("int").alias("subs"))
     members = keep(keyed.join(shared, "band"), "members")
     sub = F.pmod(F.xxhash64("cls"), F.col("subs")).cast("int")
