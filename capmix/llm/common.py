@@ -6,10 +6,13 @@ import atexit
 import shutil
 import tempfile
 import uuid
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
 _OWN: dict[str, str] = {}
+#: Paths made inside each open `scratch`.
+_MADE: list[list[str]] = []
 
 
 def shared_folder(spark: SparkSession) -> str:
@@ -28,21 +31,36 @@ def shared_folder(spark: SparkSession) -> str:
     return f"file://{_OWN['dir']}"
 
 
-def shared_path(spark: SparkSession, name: str) -> str:
-    """A fresh path below the shared folder; removed when the application ends."""
+def shared_path(spark: SparkSession, name: str, kept: bool = False) -> str:
+    """A fresh path below the shared folder; removed with the `scratch` that it is made in, unless kept, and at the latest
+    when the application ends."""
     path = f"{shared_folder(spark).rstrip('/')}/capmix/{name}-{uuid.uuid4().hex}"
+    if _MADE and not kept:
+        _MADE[-1].append(path)
     jvm = spark.sparkContext._jvm
     target = jvm.org.apache.hadoop.fs.Path(path)
     target.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).deleteOnExit(target)
     return path
 
 
-def materialise(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage: write df as Parquet to the shared folder and read it back."""
-    path = shared_path(df.sparkSession, name)
+@contextmanager
+def scratch(spark: SparkSession, *paths: str | None):
+    """What is materialised inside, and `paths`, is removed at the end. Nothing that reads it may be left undone."""
+    _MADE.append([p for p in paths if p])
+    try:
+        yield
+    finally:
+        for path in _MADE.pop():
+            remove(spark, path)
+
+
+def materialise(df: DataFrame, name: str, kept: bool = False):
+    """Cut the lineage: write df as Parquet to the shared folder and read it back; of what is kept, the path too."""
+    path = shared_path(df.sparkSession, name, kept)
     schema = df.schema
     df.write.parquet(path)
-    return df.sparkSession.read.schema(schema).parquet(path)
+    found = df.sparkSession.read.schema(schema).parquet(path)
+    return (found, path) if kept else found
 
 
 def remove(spark: SparkSession, path: str) -> None:

@@ -34,20 +34,8 @@ BLOCK_ROWS = 16_384
 _TABLE = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 
 
-def fingerprint(text: bytes | None, shingle: int = 3) -> int:
-    """The SimHash of one text, unsigned."""
-    words = text.translate(SPACED).split() if text else []
-    if not words:
-        return 0
-    line = b" ".join(words)
-    if len(words) <= shingle:
-        hashes = np.array([xxhash.xxh64_intdigest(line, 42)], np.uint64)
-    else:
-        sizes = np.fromiter(map(len, words), np.int64, len(words))
-        ends = np.cumsum(sizes + 1) - 1
-        starts = (ends - sizes)[: len(words) - shingle + 1].tolist()
-        digest = xxhash.xxh64_intdigest
-        hashes = np.array([digest(line[a:b], 42) for a, b in zip(starts, ends[shingle - 1 :].tolist(), strict=True)], np.uint64)
+def majority(hashes: np.ndarray) -> int:
+    """The bits that are set in more than half of 64-bit hashes, unsigned; 0 without any."""
     octets = hashes.view(np.uint8).reshape(-1, 8)  # little endian: octet k holds bits 8k..8k+7
     out = 0
     for k in range(8):
@@ -57,6 +45,21 @@ def fingerprint(text: bytes | None, shingle: int = 3) -> int:
     return out
 
 
+def fingerprint(text: bytes | None, shingle: int = 3) -> int:
+    """The SimHash of one text, unsigned."""
+    words = text.translate(SPACED).split() if text else []
+    if not words:
+        return 0
+    line = b" ".join(words)
+    if len(words) <= shingle:
+        return majority(np.array([xxhash.xxh64_intdigest(line, 42)], np.uint64))
+    sizes = np.fromiter(map(len, words), np.int64, len(words))
+    ends = np.cumsum(sizes + 1) - 1
+    starts = (ends - sizes)[: len(words) - shingle + 1].tolist()
+    digest = xxhash.xxh64_intdigest
+    return majority(np.array([digest(line[a:b], 42) for a, b in zip(starts, ends[shingle - 1 :].tolist(), strict=True)], np.uint64))
+
+
 def fingerprints(df: DataFrame, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(id, fp bigint: the fingerprint as a signed number) for every row."""
 
