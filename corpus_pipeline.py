@@ -2,6 +2,10 @@
 
 Every stage takes (spark, docs, sf_dir) and gives a DataFrame, which is written as Parquet and read again
 as the next stage's docs. All stages but the last return the columns of documents.
+
+Defined cases, for every stage: a null or empty text stays unless a rule below takes it; very long texts are judged whole;
+null ids and ids that several rows share are told apart by their texts, so no row is judged by another's; rows are
+carried as one struct, so extra columns of any name pass unchanged; an empty table gives an empty table.
 """
 
 from __future__ import annotations
@@ -10,7 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from capmix.llm import decontamination, near_copies, packing, repeats, toxicity
-from capmix.llm.common import materialise
+from capmix.llm.common import materialise, scratch
 
 
 def _as_row(docs: DataFrame) -> DataFrame:
@@ -19,37 +23,35 @@ def _as_row(docs: DataFrame) -> DataFrame:
 
 
 def _without_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents whose toxicity score is 0.5 or more go."""
+    """Documents whose toxicity score is 0.5 or more go. Null and empty texts have no hits and stay; repeated rows fare alike."""
     lexicon = toxicity.train(spark.read.parquet(f"{sf_dir}/documents.parquet"), spark.read.parquet(f"{sf_dir}/labels.parquet"))
     return toxicity.score_toxicity(_as_row(docs), lexicon, keep=["_row"]).filter("predicted = 0").select("_row.*")
 
 
 def _without_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of documents linked by a five-word Jaccard similarity of 0.8 and more the one with the smallest id stays, once.
+    """Of documents linked by a five-word Jaccard similarity of 0.8 and more the first by id and text key stays, once.
 
-    Rows without an id stay only if some component has no id at all.
+    Null and wordless texts are one group. Of ties in id and text the row whose columns sort first stays.
     """
-    stay = near_copies.near_duplicates(docs).filter(F.col("id").eqNullSafe(F.col("component_id"))).select(F.col("id").alias("_id")).distinct()
-    stay = materialise(stay, "stay")
-    # Apart, so that the texts of rows with an id are shuffled once for the join and the distinct rows.
-    known = docs.filter("doc_id IS NOT NULL").join(stay, F.col("doc_id") == F.col("_id"), "left_semi").dropDuplicates(["doc_id", "text"])
-    nameless = docs.filter("doc_id IS NULL").join(stay.filter("_id IS NULL"), how="left_semi").dropDuplicates(["doc_id", "text"])
-    return known.union(nameless)
+    return near_copies.one_of_each(docs)
 
 
 def _without_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Passages of 50 words and more stay where they occur first; later occurrences are cut out."""
+    """Passages of 50 words and more stay where they occur first; later occurrences are cut out, and a document that
+    loses all its words goes. Null, empty and short texts stay; a repeated row keeps its text."""
     return repeats.remove_repeats(docs)
 
 
 def _without_benchmark(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents of whose words a twentieth or more lies in benchmark windows go."""
-    judged = decontamination.decontaminate(_as_row(docs), spark.read.parquet(f"{sf_dir}/benchmark.parquet"), keep=["_row"])
-    return judged.filter("NOT contaminated").select("_row.*")
+    """Documents of whose words a twentieth or more lies in benchmark windows go; of the others the spans of 13 words and
+    more that windows cover are cut out. Null and wordless texts hit nothing and stay."""
+    judged = decontamination.decontaminate(_as_row(docs), spark.read.parquet(f"{sf_dir}/benchmark.parquet"), keep=["_row"], clean=True)
+    return judged.filter("NOT contaminated").select(*[F.col("clean_text").alias(c) if c == "text" else F.col(f"_row.`{c}`") for c in docs.columns])
 
 
 def _packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Where each kept document lies: bins without two documents of a source or of equal text."""
+    """Where each kept document lies: bins without two documents of a source or of equal text. Null and empty texts have the
+    size of their end mark; a null source conflicts with nothing; repeated rows lie in different bins."""
     return packing.pack(docs)
 
 
@@ -66,8 +68,9 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents; what each returns lies as Parquet in the shared folder."""
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
+    """All stages over documents; what each returns lies as Parquet in the shared folder until the next one is done."""
+    docs, path = spark.read.parquet(f"{sf_dir}/documents.parquet"), None
     for name, stage in STAGES:
-        docs = materialise(stage(spark, docs, sf_dir), f"stage_{name}")
+        with scratch(spark, path):
+            docs, path = materialise(stage(spark, docs, sf_dir), f"stage_{name}", kept=True)
     return docs
