@@ -5,11 +5,12 @@ Index: coarse centroids and the sub-space codebooks are fitted on at most `sampl
 hash of their components); every row is indexed. Rows with equal vectors are one entry that names
 its `top + 1` smallest ids: no further one can be among anybody's nearest, since ties go to smaller ids.
 
-Search: a query scores all centroids and visits the `probe_share` of lists that score best. Lists are dealt to
-tasks in blocks of about `block_rows` entries, so a long list is no long task. In a block a query's lookup table of
-inner products with all codewords ranks the entries (asymmetric: the query isn't quantised); the best
-`shortlist` are scored exactly on the original vectors in double precision, and the block's `top` best are sent on.
-Short lists share a block.
+Search: a query scores all centroids and visits the lists that score best, as many as hold `recall` of the nearest
+neighbours within the sample (measured when fitting: few where vectors cluster, most where they are spread evenly). Lists
+are cut into, or share, blocks of about `block_rows` entries. An entry is shuffled once, to its block; a query goes
+to the blocks of its lists and streams past the block, which alone is held. Lookup tables of a batch of queries' inner
+products with all codewords rank a block's entries (asymmetric: queries aren't quantised); the best `shortlist` are scored
+exactly on the original vectors in double precision, and the block's `top` best are sent on.
 
 Scores are sums in component order, so equal vectors have equal scores and ties go to smaller ids.
 
@@ -27,11 +28,12 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
 from .common import materialise, width
 
-SAMPLE_ROWS, BLOCK_ROWS, QUERY_ROWS = 8_192, 4_096, 512
+SAMPLE_ROWS, BLOCK_ROWS, QUERY_ROWS = 8_192, 4_096, 256
 FOUND = "query_id bigint, vec_id bigint, score double"
 
 
@@ -86,13 +88,29 @@ class Index:
 
 
 def valid_vectors(df: DataFrame, id_col: str, vector_col: str) -> DataFrame:
-    """(vec_id, v array<double>) of the rows that take part, whatever their dimension."""
-    v = F.col(vector_col).cast("array<double>")
+    """(vec_id, v) of the rows that take part, whatever their dimension; v keeps floats as floats."""
+    kind = "array<float>" if df.schema[vector_col].dataType == T.ArrayType(T.FloatType()) else "array<double>"
     finite = F.forall("v", lambda x: x.isNotNull() & ~F.isnan(x) & (F.abs(x) < float("inf")))
-    return df.select(F.col(id_col).cast("bigint").alias("vec_id"), v.alias("v")).filter(F.col("vec_id").isNotNull() & F.col("v").isNotNull() & (F.size("v") > 0)).filter(finite & F.exists("v", lambda x: x != 0))
-
-
-def fit(vectors: DataFrame, lists: int | None, probe_share: float, parts: int, sample_rows: int, rounds: int = 8, seed: int = 7) -> tuple[Index | None, int]:
+    return df.select(F.col(id_col).cast("bigint").alias("vec_id"), F.col(vector_col).cast(kind).alias("v")).filter(F.col("vec_id").isNotNull() & F.col("v").isNotNull() & (F.size("v") > 0)).filter(finite & F.exists("v", lambda x: x != 0))
+
+
+def probes_for(x: np.ndarray, centroids: np.ndarray, recall: float, top: int, asked: int = 512) -> int:
+    """How many lists hold `recall` of the `top` nearest among the rows of x, over `asked` of them."""
+    some = x[:asked]
+    scores = some @ x.T
+    scores[np.arange(len(some)), np.arange(len(some))] = -np.inf
+    k = min(top, len(x) - 1)
+    if k < 1:
+        return len(centroids)
+    near = np.argpartition(-scores, k - 1, axis=1)[:, :k]
+    place = np.empty((len(some), len(centroids)), np.int64)
+    np.put_along_axis(place, np.argsort(-(some @ centroids.T), axis=1, kind="stable"), np.arange(len(centroids))[None, :], axis=1)
+    lists = (x @ centroids.T - 0.5 * (centroids**2).sum(axis=1)).argmax(axis=1)
+    ranks = np.take_along_axis(place, lists[near], axis=1)
+    return int(np.quantile(ranks, recall, method="higher")) + 1
+
+
+def fit(vectors: DataFrame, lists: int | None, recall: float, parts: int, sample_rows: int, top: int, rounds: int = 8, seed: int = 7) -> tuple[Index | None, int]:
     """Fit centroids and codebooks on a bounded sample of (vec_id, v); gives the index and the dimension."""
     n = vectors.count()
     rows = vectors.select("vec_id", "v").orderBy(F.xxhash64("v"), "vec_id").limit(sample_rows).toArrow()
@@ -104,7 +122,7 @@ def fit(vectors: DataFrame, lists: int | None, probe_share: float, parts: int, s
     x = np.array([v for v in got if len(v) == dim], float)
     lists = lists or max(1, min(4096, int(np.sqrt(n) / 4)))
     centroids = k_means(x, lists, rounds, seed)
-    index = Index(centroids, np.zeros((0, 0, 0)), max(1, int(np.ceil(probe_share * len(centroids)))))
+    index = Index(centroids, np.zeros((0, 0, 0)), probes_for(x, centroids, recall, top) if recall < 1 else len(centroids))
     d = -(-dim // parts)
     rest = np.zeros((len(x), parts * d))
     rest[:, :dim] = x - centroids[index.assign(x)]
@@ -131,7 +149,30 @@ def shelve(sizes: dict[int, int], block_rows: int) -> tuple[dict[int, int], dict
     return first, parts
 
 
-def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, probe_share: float = 0.85, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
+def nearest_in_block(x: np.ndarray, codes: np.ndarray, lists: np.ndarray, index: Index, q: np.ndarray, wanted: np.ndarray, top: int, shortlist: int) -> list[tuple[np.ndarray, np.ndarray]]:
+    """(entries, exact scores) of the best of a block for each row of q, best first; wanted: queries x lists, those it visits.
+
+    Of entries that tie with the last place all are given.
+    """
+    tables = index.tables(q).astype(np.float32)
+    near = (q @ index.centroids.T).astype(np.float32)[:, lists]
+    for p in range(codes.shape[1]):
+        near += tables[:, p].take(codes[:, p], axis=1)
+    near[~wanted[:, lists]] = -np.inf
+    take = min(shortlist, len(x))
+    short = np.argpartition(-near, take - 1, axis=1)[:, :take]
+    out = []
+    for k in range(len(q)):
+        own = short[k][np.isfinite(near[k, short[k]])]
+        score = exact_scores(np.broadcast_to(q[k], (len(own), q.shape[1])), x[own])
+        order = np.argsort(-score, kind="stable")
+        if len(order) > top + 1:
+            order = order[score[order] >= score[order[top]]]
+        out.append((own[order], score[order]))
+    return out
+
+
+def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, recall: float = 0.97, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
     """(query_id, rank, vec_id, score): the nearest found of each row of `queries` among all rows of df.
 
     A query's own id is no candidate.
@@ -139,45 +180,46 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
     spark = df.sparkSession
     empty = spark.createDataFrame([], "query_id bigint, rank int, vec_id bigint, score double")
     rows = valid_vectors(df, id_col, vector_col)
-    # the few smallest ids of each distinct vector; counted off before the shuffle
+    # the few smallest ids of each distinct vector; counted off before the shuffle, which the aggregate shares
     smallest = Window.partitionBy("v").orderBy("vec_id")
-    kept = rows.distinct().withColumn("r", F.row_number().over(smallest)).filter(F.col("r") <= top + 1)
-    entries = materialise(kept.groupBy("v").agg(F.array_sort(F.collect_list("vec_id")).alias("ids")), "vectors")
-    index, dim = fit(entries.select(F.element_at("ids", 1).alias("vec_id"), "v"), lists, probe_share, parts, sample_rows)
+    kept = rows.withColumn("r", F.dense_rank().over(smallest)).filter(F.col("r") <= top + 1)
+    entries = materialise(kept.groupBy("v").agg(F.array_sort(F.collect_set("vec_id")).alias("ids")), "vectors")
+    index, dim = fit(entries.select(F.element_at("ids", 1).alias("vec_id"), "v"), lists, recall, parts, sample_rows, top)
     if index is None:
         return empty
     entries = entries.filter(F.size("v") == dim)
     asked = valid_vectors(queries, id_col, vector_col).filter(F.size("v") == dim).distinct()
+    element = entries.schema["v"].dataType.simpleString()
 
     def matrix(column) -> np.ndarray:
-        column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
         return np.asarray(column.flatten()).reshape(-1, dim)
 
+    def assigned(batches):
+        for batch in batches:
+            if batch.num_rows:
+                yield pa.RecordBatch.from_arrays([pa.array(index.assign(matrix(batch.column(0)).astype(float)).astype(np.int32))], ["list"])
+
+    sizes = {r["list"]: r["count"] for r in entries.select("v").mapInArrow(assigned, "list int").groupBy("list").count().collect()}  # a row for each list
+    first_block, parts_of = shelve(sizes, block_rows)
+    sent = "block int, query_id bigint, ids array<bigint>, v " + element + ", lists array<int>, code binary"
+
     def put(batches):
+        """Entries to their blocks, with their list and code."""
         for batch in batches:
             if not batch.num_rows:
                 continue
-            x = matrix(batch.column(0))
+            x = matrix(batch.column(0)).astype(float)
             where = index.assign(x)
             codes = index.encode(x, where)
-            yield pa.RecordBatch.from_arrays([pa.array(where.astype(np.int32)), batch.column(1), batch.column(0), pa.array([c.tobytes() for c in codes], pa.binary())], ["list", "ids", "v", "code"])
-
-    stored = materialise(entries.select("v", "ids").mapInArrow(put, "list int, ids array<bigint>, v array<double>, code binary"), "index")
-    sizes = {r["list"]: r["count"] for r in stored.groupBy("list").count().collect()}  # a row for each list
-    first_block, parts_of = shelve(sizes, block_rows)
-    by_list = lambda d: F.get(F.lit([d.get(c, 1) for c in range(max(sizes, default=0) + 1)]), F.col("list"))
-    stored = stored.withColumn("block", (by_list(first_block) + F.pmod(F.xxhash64("v"), by_list(parts_of))).cast("int"))
-    q_parts = max(1, asked.count() // QUERY_ROWS)
+            blocks = [first_block[c] + (k % parts_of[c]) for c, k in zip(where.tolist(), batch.column(2).to_pylist(), strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(blocks, pa.int32()), pa.nulls(len(x), pa.int64()), batch.column(1), batch.column(0), pa.array(where[:, None].tolist(), pa.list_(pa.int32())), pa.array([c.tobytes() for c in codes], pa.binary())], ["block", "query_id", "ids", "v", "lists", "code"])
 
     def probe(batches):
         """For each query a row for each block that holds lists which it visits."""
         for batch in batches:
             for k in range(0, batch.num_rows, 1024):
                 part = batch.slice(k, 1024)
-                if not part.num_rows:
-                    continue
-                x = matrix(part.column(1))
-                best = np.argsort(-(x @ index.centroids.T), axis=1, kind="stable")[:, : index.probes]
+                best = np.argsort(-(matrix(part.column(1)) @ index.centroids.T), axis=1, kind="stable")[:, : index.probes]
                 at, to, visits = [], [], []
                 for row, lists_ in enumerate(best.tolist()):
                     wanted: dict[int, list[int]] = {}
@@ -187,49 +229,54 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
                     at += [row] * len(wanted)
                     to += wanted.keys()
                     visits += wanted.values()
-                yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), pa.array(visits, pa.list_(pa.int32())), part.column(0).take(pa.array(at, pa.int64())), part.column(1).take(pa.array(at, pa.int64()))], ["block", "lists", "query_id", "q"])
-
-    probes = asked.select("vec_id", "v").repartition(width(spark)).mapInArrow(probe, "block int, lists array<int>, query_id bigint, q array<double>")
-    probes = probes.withColumn("part", F.pmod(F.xxhash64("query_id"), F.lit(q_parts)).cast("int"))
-    entries_by_part = stored.withColumn("part", F.explode(F.sequence(F.lit(0), F.lit(q_parts - 1))))
-    keys = ["block", "part"]
-
-    def visit(left: pa.Table, right: pa.Table) -> pa.Table:
-        got = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
-        if left.num_rows and right.num_rows:
-            left = left.sort_by("list")
-            x, codes = matrix(left.column("v")), np.frombuffer(b"".join(left.column("code").to_pylist()), np.uint8).reshape(left.num_rows, -1)
-            lists_ = left.column("list").to_numpy()
-            here = {c: slice(*np.searchsorted(lists_, [c, c + 1])) for c in np.unique(lists_).tolist()}
-            ids = left.column("ids").to_pylist()
-            n_ids = np.array([len(i) for i in ids])
-            flat, begin = np.array([v for i in ids for v in i], np.int64), np.cumsum(n_ids) - n_ids
-            q, q_ids, wanted = matrix(right.column("q")), right.column("query_id").to_numpy(), right.column("lists").to_pylist()
-            base = q @ index.centroids.T
-            tables = index.tables(q)
-            cells = codes.astype(np.int64) + 256 * np.arange(codes.shape[1])
-            for k in range(len(q)):
-                near = np.full(len(x), -np.inf)
-                flat_table = tables[k].ravel()
-                for c in wanted[k]:
-                    if c in here:
-                        near[here[c]] = base[k, c] + flat_table[cells[here[c]]].sum(axis=1)
-                take = min(shortlist, int((near > -np.inf).sum()))
-                if not take:
+                pick = pa.array(at, pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), part.column(0).take(pick), pa.nulls(len(at), pa.list_(pa.int64())), part.column(1).take(pick), pa.array(visits, pa.list_(pa.int32())), pa.nulls(len(at), pa.binary())], ["block", "query_id", "ids", "v", "lists", "code"])
+
+    placed = entries.select("v", "ids", F.pmod(F.xxhash64("v"), F.lit(1 << 30)).alias("k")).mapInArrow(put, sent)
+    visiting = asked.select("vec_id", "v").repartition(width(spark)).mapInArrow(probe, sent)
+    met = placed.union(visiting).repartition(max(width(spark), len(set(first_block.values()))), "block").sortWithinPartitions("block", F.col("query_id").asc_nulls_first())
+
+    def visit(batches):
+        """A block's entries come first and are held; its queries stream past."""
+        block, held, ready = None, [], None
+
+        def load(parts_):
+            t = pa.Table.from_batches(parts_)
+            ids = t.column("ids").to_pylist()
+            n = np.array([len(i) for i in ids])
+            x = np.concatenate([matrix(c) for c in t.column("v").chunks]).astype(float)
+            codes = np.frombuffer(b"".join(t.column("code").to_pylist()), np.uint8).reshape(t.num_rows, -1)
+            return x, codes, np.array([c[0] for c in t.column("lists").to_pylist()]), np.array([v for i in ids for v in i], np.int64), np.cumsum(n) - n, n
+
+        for batch in batches:
+            blocks = batch.column(0).to_numpy()
+            edges = np.flatnonzero(np.concatenate([[True], blocks[1:] != blocks[:-1]])).tolist() if len(blocks) else []
+            for a, b in zip(edges, [*edges[1:], len(blocks)], strict=True):
+                part = batch.slice(a, b - a)
+                if blocks[a] != block:
+                    block, held, ready = blocks[a], [], None
+                asks = part.column("query_id").is_valid()
+                if some := part.num_rows - asks.true_count:
+                    held.append(part.slice(0, some))
+                part = part.slice(some)
+                if not part.num_rows or not held:
                     continue
-                short = np.argpartition(-near, take - 1)[:take]
-                score = exact_scores(np.broadcast_to(q[k], (take, dim)), x[short])
-                order = np.argsort(-score, kind="stable")
-                if len(order) > top + 1:
-                    order = order[score[order] >= score[order[top]]]
-                for s in order.tolist():
-                    e = int(short[s])
-                    own = flat[begin[e] : begin[e] + n_ids[e]]
-                    own = own[own != q_ids[k]][:top]
-                    got.append((np.full(len(own), q_ids[k]), own, np.full(len(own), score[s])))
-        cols = [np.concatenate(c) for c in zip(*got, strict=True)]
-        return pa.table({"query_id": cols[0], "vec_id": cols[1], "score": cols[2]})
-
-    found = entries_by_part.groupBy(*keys).cogroup(probes.groupBy(*keys)).applyInArrow(visit, FOUND)
+                ready = ready or load(held)
+                x, codes, own_lists, flat, begin, n_ids = ready
+                for k in range(0, part.num_rows, QUERY_ROWS):
+                    group = part.slice(k, QUERY_ROWS)
+                    visits = np.zeros((group.num_rows, len(index.centroids)), bool)
+                    for row, lists_ in enumerate(group.column("lists").to_pylist()):
+                        visits[row, lists_] = True
+                    got = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
+                    found = nearest_in_block(x, codes, own_lists, index, matrix(group.column("v")).astype(float), visits, top, shortlist)
+                    for q, (which, score) in zip(group.column("query_id").to_pylist(), found, strict=True):
+                        for e, s in zip(which.tolist(), score.tolist(), strict=True):
+                            own = flat[begin[e] : begin[e] + n_ids[e]]
+                            own = own[own != q][:top]
+                            got.append((np.full(len(own), q), own, np.full(len(own), s)))
+                    cols = [np.concatenate(c) for c in zip(*got, strict=True)]
+                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["query_id", "vec_id", "score"])
+
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))
-    return found.withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
+    return met.mapInArrow(visit, FOUND).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
