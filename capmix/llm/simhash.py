@@ -3,11 +3,12 @@
 1. Every whole text gets a 64-bit fingerprint: XXH64 (seed 42) of each word shingle, repeats included;
    a bit is set if more than half of the hashes have it. No shingle, fingerprint zero.
 2. Equal fingerprints are one class. Only distinct fingerprints are compared.
-3. Two fingerprints within `radius` bits agree on at least one of radius + 1 bands of bits, so only
-   fingerprints with a common band value meet; no pair is lost. Within such a block, rows lie in order
-   of their bit counts and are compared in tiles of numpy arrays; tile pairs whose bit counts differ
-   beyond the radius are skipped. A block larger than `block_rows` is dealt to tasks by pairs of
-   sub-blocks instead (each of one bit count and bounded size), again only for counts within the radius.
+3. Two fingerprints within `radius` bits agree under one of the masks of `band_masks`, so only fingerprints with a
+   common masked value meet; no pair is lost, and masks get longer as there are more fingerprints. Within such a
+   block, rows lie in order of their bit counts and are compared in tiles of numpy arrays by exclusive-or and bit counts;
+   tiles, and in short blocks pairs, whose counts differ beyond the radius are skipped. A block larger than
+   `block_rows` is dealt to tasks by pairs of sub-blocks instead (each of one bit count and bounded size), again only
+   for counts within the radius.
 4. What a task links becomes a spanning forest (at most one edge for each row it has), and the forests
    are joined by connected components on the cluster.
 
@@ -18,6 +19,8 @@ all its ids are null; repeated rows all stay; an empty table gives no rows.
 
 from __future__ import annotations
 
+from itertools import combinations
+
 import numpy as np
 import pyarrow as pa
 import xxhash
@@ -31,6 +34,8 @@ from .words import SPACED
 BITS = 64
 TILE = 2048
 BLOCK_ROWS = 16_384
+#: Runs of so many rows at most are compared together.
+SHORT_RUN = 64
 _TABLE = ((np.arange(256)[:, None] >> np.arange(8)) & 1).astype(np.int64)
 
 
@@ -116,41 +121,55 @@ def tiled_links(left: np.ndarray, right: np.ndarray | None, radius: int, tile: i
 
 
 def _small_blocks(keys: np.ndarray, fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
-    """Links within runs of equal keys: shifted comparison for short runs, tiles for long ones."""
+    """Links within runs of equal keys, each in order of bit counts: tiles, for many short runs one diagonal at a time.
+
+    On a diagonal rows are compared with those d places on, in all short runs at once; pairs whose counts differ
+    beyond the radius are left out, and later diagonals only hold pairs that differ more.
+    """
+    ones = np.bitwise_count(fps).astype(np.int64)
+    order = np.lexsort((ones, keys))
+    keys, fps, ones = keys[order], fps[order], ones[order]
     edge = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
     sizes = np.diff(np.concatenate([edge, [len(keys)]]))
     a, b = [], []
-    run = np.repeat(sizes, sizes)
-    short = np.flatnonzero(run <= 16)
-    for d in range(1, 16):
-        x = short[short + d < len(keys)]
-        x = x[keys[x] == keys[x + d]]
+    x = np.flatnonzero(np.repeat(sizes, sizes) <= SHORT_RUN)
+    for d in range(1, SHORT_RUN):
+        x = x[x + d < len(keys)]
+        x = x[(keys[x] == keys[x + d]) & (ones[x + d] - ones[x] <= radius)]
         if not len(x):
             break
-        x = x[np.bitwise_count(fps[x] ^ fps[x + d]) <= radius]
-        a.append(fps[x])
-        b.append(fps[x + d])
-    for at, n in zip(edge[sizes > 16].tolist(), sizes[sizes > 16].tolist(), strict=True):
+        y = x[np.bitwise_count(fps[x] ^ fps[x + d]) <= radius]
+        a.append(fps[y])
+        b.append(fps[y + d])
+    for at, n in zip(edge[sizes > SHORT_RUN].tolist(), sizes[sizes > SHORT_RUN].tolist(), strict=True):
         own = fps[at : at + n]
-        own = own[np.argsort(np.bitwise_count(own), kind="stable")]
         if pairs := np.array(tiled_links(own, None, radius), np.int64).reshape(-1, 2).tolist():
-            x, y = zip(*pairs, strict=True)
-            a.append(own[list(x)])
-            b.append(own[list(y)])
+            i, j = zip(*pairs, strict=True)
+            a.append(own[list(i)])
+            b.append(own[list(j)])
     empty = np.empty(0, np.uint64)
     return np.concatenate([empty, *a]), np.concatenate([empty, *b])
 
 
-def links(distinct: DataFrame, radius: int = 2, block_rows: int = BLOCK_ROWS) -> DataFrame:
-    """(a, b): spanning links between distinct fingerprints (column fp) within `radius` bits."""
-    bands = radius + 1
-    cuts = [BITS * k // bands for k in range(bands + 1)]
+def band_masks(n: int, radius: int) -> list[int]:
+    """Masks of bits such that any two numbers within `radius` bits agree under one of them.
+
+    64 bits are cut into m parts, of which a pair can differ in `radius`; every choice of the other m - radius is a mask. More
+    fingerprints take more parts: longer masks, so that a block of unlike fingerprints stays at a few rows.
+    """
+    m = radius + 1
+    while m < radius + 8 and n >> (BITS * (m - radius) // m) > 4:
+        m += 1
+    cuts = [BITS * k // m for k in range(m + 1)]
+    parts = [(1 << cuts[k + 1]) - (1 << cuts[k]) for k in range(m)]
+    return [sum(c) for c in combinations(parts, m - radius)]
 
-    def value(k: int):
-        size = cuts[k + 1] - cuts[k]
-        return F.shiftrightunsigned("fp", cuts[k]).bitwiseAND(F.lit((1 << size) - 1 if size < 64 else -1))
 
-    rows = distinct.select("fp", F.explode(F.array(*[F.struct(F.lit(k).alias("band"), value(k).alias("value")) for k in range(bands)])).alias("v")).select("fp", F.xxhash64("v.band", "v.value").alias("block"), F.bit_count("fp").alias("ones"))
+def links(distinct: DataFrame, radius: int = 2, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """(a, b): spanning links between distinct fingerprints (column fp) within `radius` bits."""
+    masks = [m - (1 << 64) if m >> 63 else m for m in band_masks(distinct.count(), radius)]
+    keys = F.array(*[F.struct(F.lit(k).alias("band"), F.col("fp").bitwiseAND(F.lit(m).cast("bigint")).alias("value")) for k, m in enumerate(masks)])
+    rows = distinct.select("fp", F.explode(keys).alias("v")).select("fp", F.xxhash64("v.band", "v.value").alias("block"), F.bit_count("fp").alias("ones"))
     # How many rows a block and bit count has, counted before the shuffle; only large blocks are kept.
     counts = rows.groupBy("block", "ones").count()
     large = counts.groupBy("block").agg(F.sum("count").alias("n")).filter(F.col("n") > block_rows).select("block")

@@ -91,7 +91,7 @@ def test_neighbour_edges(spark):
     data += [(100 + k, data[0][1]) for k in range(50)]  # copies: ties go to smaller ids
     data += [(200, None), (201, [0.0] * 8), (202, [float("nan")] * 8), (203, [None] * 8), (204, []), (220, [1.0, 2.0]), (None, data[1][1])]
     df = spark.createDataFrame(data, "vec_id bigint, embedding array<double>")
-    got = neighbours.search(df, df.filter("vec_id % 20 = 0"), 20, probe_share=1.0, block_rows=16).toPandas()
+    got = neighbours.search(df, df.filter("vec_id % 20 = 0"), 20, recall=1.0, block_rows=16).toPandas()
     kept = [(i, v) for i, v in data if i is not None and (i < 60 or 100 <= i < 150)]
     want = brute_neighbours(np.array([i for i, _ in kept]), np.array([v for _, v in kept]))
     for q, g in got.groupby("query_id"):
