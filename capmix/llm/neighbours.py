@@ -33,15 +33,15 @@ from pyspark.sql.window import Window
 
 from .common import materialise, width
 
-SAMPLE_ROWS, BLOCK_ROWS, QUERY_ROWS = 8_192, 4_096, 256
+SAMPLE_ROWS, BLOCK_ROWS, QUERY_ROWS = 8_192, 4_096, 128
 FOUND = "query_id bigint, vec_id bigint, score double"
 
 
 def exact_scores(queries: np.ndarray, vectors: np.ndarray) -> np.ndarray:
-    """Inner products of rows with rows in double precision, summed in component order."""
-    total = np.zeros(len(queries))
-    for k in range(queries.shape[1]):
-        total += queries[:, k] * vectors[:, k]
+    """Inner products along the last axis in double precision, summed in component order."""
+    total = np.zeros(np.broadcast_shapes(queries.shape, vectors.shape)[:-1])
+    for k in range(queries.shape[-1]):
+        total += queries[..., k] * vectors[..., k]
     return total
 
 
@@ -149,27 +149,22 @@ def shelve(sizes: dict[int, int], block_rows: int) -> tuple[dict[int, int], dict
     return first, parts
 
 
-def nearest_in_block(x: np.ndarray, codes: np.ndarray, lists: np.ndarray, index: Index, q: np.ndarray, wanted: np.ndarray, top: int, shortlist: int) -> list[tuple[np.ndarray, np.ndarray]]:
-    """(entries, exact scores) of the best of a block for each row of q, best first; wanted: queries x lists, those it visits.
+def nearest_in_block(x: np.ndarray, codes: np.ndarray, lists: np.ndarray, index: Index, q: np.ndarray, wanted: np.ndarray, top: int, shortlist: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(row of q, entry, exact score): the best of a block for each row of q; wanted: queries x lists, those it visits.
 
-    Of entries that tie with the last place all are given.
+    top + 1 entries (a query's own may be one), and all that tie with the last of them.
     """
     tables = index.tables(q).astype(np.float32)
-    near = (q @ index.centroids.T).astype(np.float32)[:, lists]
+    near = np.where(wanted, q @ index.centroids.T, -np.inf).astype(np.float32)[:, lists]
     for p in range(codes.shape[1]):
         near += tables[:, p].take(codes[:, p], axis=1)
-    near[~wanted[:, lists]] = -np.inf
     take = min(shortlist, len(x))
     short = np.argpartition(-near, take - 1, axis=1)[:, :take]
-    out = []
-    for k in range(len(q)):
-        own = short[k][np.isfinite(near[k, short[k]])]
-        score = exact_scores(np.broadcast_to(q[k], (len(own), q.shape[1])), x[own])
-        order = np.argsort(-score, kind="stable")
-        if len(order) > top + 1:
-            order = order[score[order] >= score[order[top]]]
-        out.append((own[order], score[order]))
-    return out
+    score = exact_scores(q[:, None, :], x[short])
+    score[~np.isfinite(np.take_along_axis(near, short, axis=1))] = -np.inf
+    least = -np.partition(-score, top, axis=1)[:, top] if take > top + 1 else np.full(len(q), -np.inf)
+    row, at = np.nonzero((score >= least[:, None]) & (score > -np.inf))
+    return row, short[row, at], score[row, at]
 
 
 def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, recall: float = 0.97, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
@@ -268,15 +263,12 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
                     visits = np.zeros((group.num_rows, len(index.centroids)), bool)
                     for row, lists_ in enumerate(group.column("lists").to_pylist()):
                         visits[row, lists_] = True
-                    got = [(np.empty(0, np.int64), np.empty(0, np.int64), np.empty(0))]
-                    found = nearest_in_block(x, codes, own_lists, index, matrix(group.column("v")).astype(float), visits, top, shortlist)
-                    for q, (which, score) in zip(group.column("query_id").to_pylist(), found, strict=True):
-                        for e, s in zip(which.tolist(), score.tolist(), strict=True):
-                            own = flat[begin[e] : begin[e] + n_ids[e]]
-                            own = own[own != q][:top]
-                            got.append((np.full(len(own), q), own, np.full(len(own), s)))
-                    cols = [np.concatenate(c) for c in zip(*got, strict=True)]
-                    yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["query_id", "vec_id", "score"])
+                    rows_, which, score = nearest_in_block(x, codes, own_lists, index, matrix(group.column("v")).astype(float), visits, top, shortlist)
+                    many = n_ids[which]
+                    ids = flat[np.repeat(begin[which] - (np.cumsum(many) - many), many) + np.arange(many.sum())]
+                    q_ids = np.repeat(group.column("query_id").to_numpy()[rows_], many)
+                    other = ids != q_ids
+                    yield pa.RecordBatch.from_arrays([pa.array(c[other]) for c in (q_ids, ids, np.repeat(score, many))], ["query_id", "vec_id", "score"])
 
     best = Window.partitionBy("query_id").orderBy(F.desc("score"), F.asc("vec_id"))
     return met.mapInArrow(visit, FOUND).withColumn("rank", F.row_number().over(best)).filter(F.col("rank") <= top).select("query_id", "rank", "vec_id", "score")
