@@ -18,6 +18,7 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import text as tx
+from ..storage import materialise
 
 WIDTH = 64
 START, END = "<s>", "</s>"
@@ -55,10 +56,10 @@ def _cos(a: np.ndarray, b: np.ndarray) -> float | None:
     return float(a @ b / size) if size > 0 else None
 
 
-def hashed_pool(docs: DataFrame, cfg: GenConfig = GenConfig(), raw_limit: int = 40) -> DataFrame:
+def hashed_pool(docs: DataFrame, cfg: GenConfig = GenConfig(), raw_limit: int | None = None) -> DataFrame:
     """H: raw and extractive captions of each document with their hashed-text cosines to its content.
 
-    raw_text: the first line's tokens (at most raw_limit); gen_text: the sentence of min_len..max_len
+    raw_text: the first line's tokens (all, unless raw_limit is given); gen_text: the sentence of min_len..max_len
     tokens of highest cosine (compared after rounding at 6; ties to the earliest), null if there is none.
     One Arrow pass, nothing is shuffled.
     """
@@ -157,37 +158,43 @@ class NgramSampler:
             out.append(word)
         return out
 
-    def generate(self, pairs: DataFrame, captioner: str = "sampler") -> DataFrame:
-        """CaptionSheet: pair_id, captioner, temperature, text, of a DataFrame with pair_id."""
-        cfg, start, draw, weighted = self.cfg, self.start, self._draw, 1 / self.cfg.temperature
+    def generate(self, pairs: DataFrame, captioner: str = "sampler", temperatures: tuple[float, ...] = ()) -> DataFrame:
+        """CaptionSheet: pair_id, captioner, temperature, text, of a DataFrame with pair_id.
+
+        All of several temperatures are drawn in the same rounds.
+        """
+        cfg, draw = self.cfg, self._draw
+        heats = temperatures or (cfg.temperature,)
+        plain = (self.start[0], self.start[1] ** cfg.temperature)  # the counts themselves
+        starts = {t: (plain[0], plain[1] ** (1 / t)) for t in heats}
 
         def step(at: int):
             def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
                 for batch in batches:
-                    keys, so_far, words, counts = (c.to_pylist() for c in batch.columns)
-                    drawn = [draw(cfg, start, k, at, start if w is None else (w, np.array(c, float) ** weighted)) for k, w, c in zip(keys, words, counts, strict=True)]
+                    keys, heat, so_far, words, counts = (c.to_pylist() for c in batch.columns)
+                    drawn = [draw(cfg, starts[t], k, at, starts[t] if w is None else (w, np.array(c, float) ** (1 / t))) for k, t, w, c in zip(keys, heat, words, counts, strict=True)]
                     drawn = [None if w == END else w for w in drawn]
                     texts = [t if w is None else f"{t} {w}" if t else w for t, w in zip(so_far, drawn, strict=True)]
-                    yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(texts, pa.string()), pa.array(drawn, pa.string())], ["pair_id", "text", "word"])
+                    yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array(drawn, pa.string())], ["pair_id", "temperature", "text", "word"])
 
             return work
 
-        schema, none = "pair_id bigint, text string, word string", F.lit(None).cast("array<string>")
-        given = pairs.select(F.col("pair_id").cast("bigint"), F.lit("").alias("text"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
+        schema, none = "pair_id bigint, temperature double, text string, word string", F.lit(None).cast("array<string>")
+        given = pairs.select(F.col("pair_id").cast("bigint"), F.explode(F.array(*map(F.lit, heats))).alias("temperature"), F.lit("").alias("text"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
         parts = []
         for at in range(cfg.max_len):
             if at:
                 going = state.filter("word IS NOT NULL")
                 if not going.limit(1).count():
                     break
-                given = going.join(self.model.withColumnRenamed("w1", "word"), "word", "left").select("pair_id", "text", "words", "counts")
-            state = given.mapInArrow(step(at), schema).localCheckpoint()
-            parts.append(state.filter("word IS NULL").select("pair_id", "text"))
-        parts.append(state.filter("word IS NOT NULL").select("pair_id", "text"))
+                given = going.join(self.model.withColumnRenamed("w1", "word"), "word", "left").select("pair_id", "temperature", "text", "words", "counts")
+            state = materialise(given.mapInArrow(step(at), schema), "captions")
+            parts.append(state.filter("word IS NULL").select("pair_id", "temperature", "text"))
+        parts.append(state.filter("word IS NOT NULL").select("pair_id", "temperature", "text"))
         every = parts[0]
         for part in parts[1:]:
             every = every.union(part)
-        return every.select("pair_id", F.lit(captioner).alias("captioner"), F.lit(cfg.temperature).alias("temperature"), "text")
+        return every.select("pair_id", F.lit(captioner).alias("captioner"), "temperature", "text")
 
 
 class ExternalCaptioner:

@@ -62,25 +62,38 @@ def unique_nouns(captions: DataFrame, nouns: DataFrame) -> DataFrame:
     return found.join(nouns, "token", "left_semi").groupBy("origin").agg(F.count("*").alias("n_nouns"))
 
 
-def diversity_curve(captions: DataFrame, levels: int = 4, salt: str = "subset", n: int = 3) -> DataFrame:
-    """(origin, level, n_captions, n_unique): distinct grams of nested random subsets, in one pass.
-
-    Subset `level` holds captions whose salted number is below 2**level / 2**levels; each gram counts
-    from the smallest subset in which it occurs.
-    """
+def subset_level(key: str = "pair_id", levels: int = 4, salt: str = "subset"):
+    """The smallest of the nested random subsets that a row belongs to; subset k holds a 2**(k - levels) share."""
     from ..sources.fixtures import salted
 
-    number = salted("pair_id", salt)
     level = F.lit(levels)
     for k in reversed(range(levels)):
-        level = F.when(number < (1 << 32) >> (levels - k), F.lit(k)).otherwise(level)
-    placed = captions.withColumn("level", level)
-    firsts = grams(placed, n, "level").groupBy("origin", "gram").agg(F.min("level").alias("level")).groupBy("origin", "level").agg(F.count("*").alias("fresh"))
+        level = F.when(salted(key, salt) < (1 << 32) >> (levels - k), F.lit(k)).otherwise(level)
+    return level
+
+
+def _curve(placed: DataFrame, seen: DataFrame) -> DataFrame:
+    """(origin, level, n_captions, n_unique) from captions with a level and (origin, term, level): each term counts from
+    the smallest subset in which it occurs."""
+    firsts = seen.groupBy("origin", "term").agg(F.min("level").alias("level")).groupBy("origin", "level").agg(F.count("*").alias("fresh"))
     sizes = placed.groupBy("origin", "level").agg(F.count("*").alias("own"))
     w = Window.partitionBy("origin").orderBy("level").rowsBetween(Window.unboundedPreceding, 0)
     return sizes.join(firsts, ["origin", "level"], "left").select("origin", F.col("level").cast("bigint").alias("level"), F.sum("own").over(w).alias("n_captions"), F.sum(F.coalesce("fresh", F.lit(0))).over(w).alias("n_unique"))
 
 
+def diversity_curve(captions: DataFrame, levels: int = 4, salt: str = "subset", n: int = 3) -> DataFrame:
+    """(origin, level, n_captions, n_unique): distinct grams of nested random subsets, in one pass."""
+    placed = captions.withColumn("level", subset_level("pair_id", levels, salt))
+    return _curve(placed, grams(placed, n, "level").withColumnRenamed("gram", "term"))
+
+
+def noun_curve(captions: DataFrame, nouns: DataFrame, levels: int = 4, salt: str = "subset") -> DataFrame:
+    """The same with the distinct tokens that the noun lexicon lists."""
+    placed = captions.withColumn("level", subset_level("pair_id", levels, salt))
+    tokens = placed.select("origin", "level", F.explode("words").alias("token")).groupBy("origin", "token").agg(F.min("level").alias("level"))
+    return _curve(placed, tokens.join(nouns, "token", "left_semi").withColumnRenamed("token", "term"))
+
+
 def diversity_slope(curve: DataFrame) -> DataFrame:
     """(origin, slope): growth exponent of distinct grams over captions, on log-log axes."""
     return curve.filter("n_unique > 0").groupBy("origin").agg(F.regr_slope(F.log("n_unique"), F.log("n_captions")).alias("slope"))

@@ -8,7 +8,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
-#: Centres above this many are assigned in two steps.
+from ..storage import few
+
+#: Centres held and broadcast at a time; more are taken in several passes.
 FLAT_CENTRES = 50_000
 
 
@@ -38,20 +40,31 @@ def kmeans_centres(images: DataFrame, k: int, sample_rows: int = 1_000_000, iter
 
 
 def _matrix(centres: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    rows = centres.orderBy("cid").collect()  # as many as there are centres
+    rows = centres.orderBy("cid").collect()  # at most about FLAT_CENTRES rows
     return np.array([r["cid"] for r in rows], np.int32), np.array([r["centre"] for r in rows], float)
 
 
-def assign(images: DataFrame, centres: DataFrame, metric: str = "dot", nearest: int = 1) -> DataFrame:
+def assign(images: DataFrame, centres: DataFrame, metric: str = "dot", nearest: int = 1, flat: int = FLAT_CENTRES) -> DataFrame:
     """(image_id, cid) of the nearest centre(s) by inner product or squared distance; ties to the lower cid.
 
-    One Arrow pass of block products against the broadcast centres, whose number is checked.
+    An Arrow pass of block products against the broadcast centres; of more than `flat` centres one pass for each
+    part of them, and the best of all passes.
     """
+    parts = centres.count() // flat + 1
+    if parts == 1:
+        return _assign_part(images, centres, metric, nearest).select("image_id", "cid")
+    found = None
+    for k in range(parts):
+        one = _assign_part(images, centres.filter(F.pmod(F.xxhash64("cid"), F.lit(parts)) == k), metric, nearest)
+        found = one if found is None else found.union(one)
+    best = Window.partitionBy("image_id").orderBy(F.desc("score"), "cid")
+    return found.withColumn("r", F.row_number().over(best)).filter(F.col("r") <= nearest).select("image_id", "cid")
+
+
+def _assign_part(images: DataFrame, centres: DataFrame, metric: str, nearest: int) -> DataFrame:
     cids, matrix = _matrix(centres)
-    if len(cids) > FLAT_CENTRES:
-        raise ValueError(f"{len(cids)} centres; use assign_two_level beyond {FLAT_CENTRES}")
     if not len(cids):
-        return images.select("image_id", F.lit(None).cast("int").alias("cid")).limit(0)
+        return images.select("image_id", F.lit(None).cast("int").alias("cid"), F.lit(None).cast("double").alias("score")).limit(0)
     offset = np.zeros(len(cids)) if metric == "dot" else 0.5 * (matrix**2).sum(axis=1)
     m = min(nearest, len(cids))
 
@@ -63,18 +76,22 @@ def assign(images: DataFrame, centres: DataFrame, metric: str = "dot", nearest:
             if not len(ids):
                 continue
             x = np.asarray(column.flatten()).reshape(len(ids), -1)
-            for k in range(0, len(x), 4096):
-                score = x[k : k + 4096] @ matrix.T - offset
+            rows = max(1, min(4096, (1 << 22) // len(cids)))
+            for k in range(0, len(x), rows):
+                score = x[k : k + rows] @ matrix.T - offset
                 best = score.argmax(axis=1)[:, None] if m == 1 else np.argsort(-score, axis=1, kind="stable")[:, :m]
-                yield pa.RecordBatch.from_arrays([ids.slice(k, 4096).take(pa.array(np.repeat(np.arange(len(best)), m))), pa.array(cids[best.ravel()])], ["image_id", "cid"])
+                at = pa.array(np.repeat(np.arange(len(best)), m))
+                yield pa.RecordBatch.from_arrays([ids.slice(k, rows).take(at), pa.array(cids[best.ravel()]), pa.array(np.take_along_axis(score, best, axis=1).ravel())], ["image_id", "cid", "score"])
 
-    return images.select("image_id", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(work, "image_id bigint, cid int")
+    return images.select("image_id", F.col("vec").cast("array<double>").alias("vec")).mapInArrow(work, "image_id bigint, cid int, score double")
 
 
 def assign_expression(images: DataFrame, centres: DataFrame) -> DataFrame:
     """The same in plain DataFrame terms: a join with the few centres and the best of each image."""
     from ..functions.vectors import dot
 
+    if not few(centres, FLAT_CENTRES):
+        raise ValueError(f"more than {FLAT_CENTRES} centres; use assign")
     scored = images.select("image_id", "vec").join(F.broadcast(centres), how="cross").select("image_id", "cid", dot("vec", "centre").alias("s"))
     return scored.groupBy("image_id").agg(F.max_by("cid", F.struct("s", -F.col("cid"))).alias("cid"))
 

@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import text as tx
 from ..functions import vectors as vx
 from ..sources.fixtures import salted
+from ..storage import few
 from . import near_copies
 
 
@@ -48,11 +49,20 @@ def near_duplicate_members(docs: DataFrame, shingle: int = 5) -> DataFrame:
     return own.join(reps, "cls").select(F.col("id").alias("doc_id"), "rep")
 
 
-def overlapping(docs: DataFrame, items: DataFrame, n: int = 13) -> DataFrame:
-    """(doc_id) of documents that share a token n-gram with an evaluation item."""
-    wanted = items.select(F.explode(tx.ngrams(tx.tokens("text"), n)).alias("gram")).distinct()
-    held = docs.select("doc_id", F.explode(tx.ngrams(tx.tokens("text"), n)).alias("gram"))
-    return held.join(wanted, "gram", "left_semi").select("doc_id").distinct()
+def overlapping(docs: DataFrame, items: DataFrame, n: int = 13, most: int = 2_000_000) -> DataFrame:
+    """(doc_id) of documents that share a token n-gram with an evaluation item.
+
+    Grams are compared by 64-bit hashes, the items' broadcast if they are at most `most`; the few documents with a
+    hit are then compared by the grams themselves.
+    """
+    grams = items.select(F.explode(tx.ngrams(tx.tokens("text"), n)).alias("gram")).distinct()
+    hashes = grams.select(F.xxhash64("gram").alias("h")).distinct()
+    hashes = F.broadcast(hashes) if few(hashes, most) else hashes
+    words = docs.select("doc_id", tx.tokens("text").alias("t")).filter(F.size("t") >= n)
+    held = words.select("doc_id", F.explode(F.transform(tx.ngrams("t", n), lambda g: F.xxhash64(g))).alias("h"))
+    likely = held.join(hashes, "h", "left_semi").select("doc_id").distinct()
+    exact = docs.join(likely, "doc_id", "left_semi").select("doc_id", F.explode(tx.ngrams(tx.tokens("text"), n)).alias("gram"))
+    return exact.join(grams, "gram", "left_semi").select("doc_id").distinct()
 
 
 def decontaminate(docs: DataFrame, items: DataFrame, n: int = 13) -> DataFrame:

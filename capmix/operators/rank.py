@@ -51,8 +51,8 @@ def _bin(sim: Column, low: float, high: float) -> Column:
     return F.greatest(F.lit(0), F.least(F.lit(BINS - 1), F.floor((sim - low) * (BINS / (high - low))))).cast("bigint")
 
 
-def cuts(sheet: DataFrame, col: str, xs: list[float], id_col: str = "pair_id", low: float = -1.0, high: float = 1.0, bin_rows: int = BIN_ROWS) -> dict[float, Cut]:
-    """The cuts of all percents, from one histogram and one scan of the boundary bins."""
+def cuts(sheet: DataFrame, col: str, xs: list[float], id_col: str = "pair_id", low: float = -1.0, high: float = 1.0, bin_rows: int = BIN_ROWS, as_rows: bool = False) -> dict[float, Cut]:
+    """The cuts of all percents, from one histogram and one scan of the boundary bins; `as_rows`: xs are numbers of rows."""
     score = F.when(~F.isnan(col), F.col(col))
     rows = sheet.select(F.col(id_col).alias("id"), score.alias("s"))
     counts = rows.groupBy(F.when(F.col("s").isNotNull(), _bin(F.col("s"), low, high)).alias("bin")).count().collect()  # at most BINS + 1 rows
@@ -61,7 +61,7 @@ def cuts(sheet: DataFrame, col: str, xs: list[float], id_col: str = "pair_id", l
     total = sum(c for _, c in there)
     out, need = {}, {}
     for x in xs:
-        k = min(rows_wanted(x, n), total)
+        k = min(x if as_rows else rows_wanted(x, n), total)
         if k == 0:
             out[x] = Cut(x, 0, None, None)
             continue
@@ -90,6 +90,49 @@ def cuts(sheet: DataFrame, col: str, xs: list[float], id_col: str = "pair_id", l
     return out
 
 
+def nested_cuts(sheet: DataFrame, col: str, xs: list[float], level: str, levels: int, id_col: str = "pair_id", low: float = -1.0, high: float = 1.0, bin_rows: int = BIN_ROWS) -> dict[tuple[int, float], Cut]:
+    """The cuts of all percents over nested subsets: subset t holds the rows whose `level` is at most t.
+
+    One histogram by level serves all subsets, one scan orders their boundary bins.
+    """
+    score = F.when(~F.isnan(col), F.col(col))
+    rows = sheet.select(F.col(id_col).alias("id"), score.alias("s"), F.col(level).alias("level"))
+    counts = rows.groupBy("level", F.when(F.col("s").isNotNull(), _bin(F.col("s"), low, high)).alias("bin")).count().collect()  # levels * (BINS + 1) rows at most
+    out: dict[tuple[int, float], Cut] = {}
+    wanted = []
+    for t in range(levels):
+        there: dict[int, int] = {}
+        n = 0
+        for r in counts:
+            if r["level"] <= t:
+                n += r["count"]
+                if r["bin"] is not None:
+                    there[r["bin"]] = there.get(r["bin"], 0) + r["count"]
+        total, order = sum(there.values()), sorted(there, reverse=True)
+        for x in xs:
+            k, above = min(rows_wanted(x, n), total), 0
+            if k == 0:
+                out[t, x] = Cut(x, 0, None, None)
+                continue
+            for b in order:
+                if above + there[b] >= k:
+                    if there[b] <= bin_rows:
+                        wanted.append((t, x, b, k - above, k))
+                    else:
+                        out[t, x] = cuts(sheet.filter(F.col(level) <= t), col, [x], id_col, low, high, bin_rows)[x]
+                    break
+                above += there[b]
+    if wanted:
+        asks = F.array(*[F.struct(F.lit(i).alias("i"), F.lit(t).alias("t"), F.lit(b).cast("bigint").alias("b"), F.lit(r).alias("r")) for i, (t, _, b, r, _) in enumerate(wanted)])
+        edge = rows.withColumn("bin", _bin(F.col("s"), low, high)).filter(F.col("bin").isin(*{w[2] for w in wanted}))
+        own = edge.withColumn("ask", F.explode(F.filter(asks, lambda a: (a["b"] == F.col("bin")) & (F.col("level") <= a["t"]))))
+        ranked = own.withColumn("place", F.row_number().over(Window.partitionBy("ask.i").orderBy(F.desc("s"), F.asc("id"))))
+        for r in ranked.filter(F.col("place") == F.col("ask.r")).select("ask.i", "s", "id").collect():  # one row an ask
+            t, x, _, _, k = wanted[r["i"]]
+            out[t, x] = Cut(x, k, r["s"], r["id"])
+    return out
+
+
 def _kth(df: DataFrame, col: str, r: int, descending: bool):
     """The r-th value of a column and r's place among the rows equal to it, by repeated histograms."""
     while True:

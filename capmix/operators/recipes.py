@@ -7,12 +7,20 @@ itself. `select_many` evaluates any number of recipes in one scan, as bits of tw
 
 from __future__ import annotations
 
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .rank import Cut, cuts
+from .alignment import clean_scores
+from .rank import Cut, cuts, nested_cuts
+
+
+def _score(name: str) -> Column:
+    """A score as recipes see it: NaN, which sorts above every number, is no score."""
+    return F.when(~F.isnan(name), F.col(name))
 
 
 @dataclass(frozen=True)
@@ -64,21 +72,22 @@ def registry(x: float = 30.0) -> dict[str, Recipe]:
 
 @dataclass(frozen=True)
 class Plan:
-    """A recipe with its cuts filled in: two predicates over a score sheet."""
+    """A recipe with its cuts filled in: two predicates over a score sheet, within a scale if a level is given."""
 
     recipe: Recipe
     in_raw: Column
     in_gen: Column
+    raw_cuts: dict[float, Cut]
+    gen_cuts: dict[float, Cut]
+    base: float = 30.0
+    level: int | None = None
 
     def origin(self) -> Column:
         return F.when(self.in_raw, F.lit("raw")).when(self.in_gen, F.lit("gen"))
 
 
-def plan(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0) -> list[Plan]:
-    """Compute all cuts that the recipes need, in two scans for each score, and bind the arms.
-
-    `base` is the percent whose set and cut stand in where a recipe has no raw percent arm of its own.
-    """
+def percents(recipes: list[Recipe], base: float = 30.0) -> tuple[list[float], list[float]]:
+    """The percents of raw and of generated scores that recipes need cuts for."""
     raw_xs, gen_xs = set(), set()
     for r in recipes:
         if r.raw and r.raw.top_percent is not None:
@@ -87,13 +96,39 @@ def plan(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0) -> list[Pl
             (raw_xs if r.gen.rank_by == "raw" else gen_xs).add(r.gen.top_percent)
         if r.gen and (r.gen.min_sim == "inherit" or r.gen.eligible == "remaining") and not (r.raw and r.raw.top_percent is not None):
             raw_xs.add(base)
-    raw_cuts = cuts(sheet, "raw_sim", sorted(raw_xs)) if raw_xs else {}
-    gen_cuts = cuts(sheet, "gen_sim", sorted(gen_xs)) if gen_xs else {}
+    return sorted(raw_xs), sorted(gen_xs)
+
+
+def plan(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0) -> list[Plan]:
+    """Compute all cuts that the recipes need, in two scans for each score, and bind the arms.
+
+    `base` is the percent whose set and cut stand in where a recipe has no raw percent arm of its own.
+    """
+    raw_xs, gen_xs = percents(recipes, base)
+    raw_cuts = cuts(sheet, "raw_sim", raw_xs) if raw_xs else {}
+    gen_cuts = cuts(sheet, "gen_sim", gen_xs) if gen_xs else {}
     return [_bind(r, raw_cuts, gen_cuts, base) for r in recipes]
 
 
+def plan_scales(sheet: DataFrame, recipes: list[Recipe], names: list[str], level: str = "level", base: float = 30.0) -> list[tuple[str, Plan]]:
+    """(scale, plan) of every recipe on every nested subset: scale t holds the rows whose `level` is at most t.
+
+    The cuts of all scales come from two scans for each score.
+    """
+    raw_xs, gen_xs = percents(recipes, base)
+    raw = nested_cuts(sheet, "raw_sim", raw_xs, level, len(names)) if raw_xs else {}
+    gen = nested_cuts(sheet, "gen_sim", gen_xs, level, len(names)) if gen_xs else {}
+    out = []
+    for t, name in enumerate(names):
+        inside = F.col(level) <= t
+        for r in recipes:
+            p = _bind(r, {x: raw[t, x] for x in raw_xs}, {x: gen[t, x] for x in gen_xs}, base)
+            out.append((name, replace(p, in_raw=p.in_raw & inside, in_gen=p.in_gen & inside, level=t)))
+    return out
+
+
 def _bind(r: Recipe, raw_cuts: dict[float, Cut], gen_cuts: dict[float, Cut], base: float) -> Plan:
-    pair, raw, gen, gate = F.col("pair_id"), F.col("raw_sim"), F.col("gen_sim"), F.col("gated")
+    pair, raw, gen, gate = F.col("pair_id"), _score("raw_sim"), _score("gen_sim"), F.col("gated")
     x = r.raw.top_percent if r.raw and r.raw.top_percent is not None else base
     first = raw_cuts.get(x)
     in_raw, in_gen = F.lit(False), F.lit(False)
@@ -112,14 +147,14 @@ def _bind(r: Recipe, raw_cuts: dict[float, Cut], gen_cuts: dict[float, Cut], bas
         if r.gen.min_sim == "inherit":
             in_gen = in_gen & first.covers_value(gen)
         elif r.gen.min_sim is not None:
-            in_gen = in_gen & (gen >= r.gen.min_sim)
+            in_gen = in_gen & F.coalesce(gen >= r.gen.min_sim, F.lit(False))
         if r.gen.eligible == "remaining":
             in_gen = in_gen & ~first.covers_rank(raw, pair)
         elif r.gen.eligible == "not_selected":
             in_gen = in_gen & ~in_raw
         if r.gen.gate:
             in_gen = in_gen & gate
-    return Plan(r, in_raw, in_gen)
+    return Plan(r, in_raw, in_gen, raw_cuts, gen_cuts, base)
 
 
 def select(sheet: DataFrame, recipe: Recipe, base: float = 30.0) -> DataFrame:
@@ -129,37 +164,108 @@ def select(sheet: DataFrame, recipe: Recipe, base: float = 30.0) -> DataFrame:
     return sheet.withColumn("origin", p.origin()).filter("origin IS NOT NULL").select("pair_id", "image_id", "origin", F.when(F.col("origin") == "raw", F.col("raw_sim")).otherwise(F.col("gen_sim")).alias("sim"), *extra)
 
 
-def select_many(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0) -> DataFrame:
-    """The sheet with raw_mask and gen_mask: bit k is set where recipe k takes that caption."""
+def with_masks(sheet: DataFrame, plans: list[Plan]) -> DataFrame:
+    """The sheet with raw_mask and gen_mask: bit k is set where plan k takes that caption (63 plans at most)."""
+    if len(plans) > 63:
+        raise ValueError("a mask has 63 bits")
     raw, gen = F.lit(0).cast("bigint"), F.lit(0).cast("bigint")
-    for k, p in enumerate(plan(sheet, recipes, base)):
+    for k, p in enumerate(plans):
         raw = raw.bitwiseOR(F.when(p.in_raw, F.lit(1 << k)).otherwise(F.lit(0)).cast("bigint"))
         gen = gen.bitwiseOR(F.when(~p.in_raw & p.in_gen, F.lit(1 << k)).otherwise(F.lit(0)).cast("bigint"))
     return sheet.withColumns({"raw_mask": raw, "gen_mask": gen})
 
 
-def recipe_sheet(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0, by: tuple[str, ...] = ()) -> DataFrame:
-    """(recipe, n_rows, n_raw, n_gen, mean_sim, rel_size) of all recipes from one scan."""
-    masks = select_many(sheet, recipes, base)
-    n = F.count(F.lit(1))
-    parts = []
-    for k, r in enumerate(recipes):
+def _evaluate(p: Plan, pair: np.ndarray, raw: np.ndarray, gen: np.ndarray, gate: np.ndarray, level: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Both predicates of a plan over a batch; missing scores are NaN, which no comparison holds for."""
+    r, nobody = p.recipe, np.zeros(len(pair), bool)
+
+    def ranked(cut: Cut, sim: np.ndarray) -> np.ndarray:
+        return nobody if cut.sim is None else (sim > cut.sim) | ((sim == cut.sim) & (pair <= cut.id))
+
+    first = p.raw_cuts.get(r.raw.top_percent if r.raw and r.raw.top_percent is not None else p.base)
+    inside = np.ones(len(pair), bool) if p.level is None else level <= p.level
+    in_raw = in_gen = nobody
+    if r.raw:
+        in_raw = inside & (~np.isnan(raw) if r.raw.min_sim is None or isinstance(r.raw.min_sim, str) else raw >= r.raw.min_sim)
+        if r.raw.top_percent is not None:
+            in_raw = in_raw & ranked(first, raw)
+        if r.raw.gate:
+            in_raw = in_raw & gate
+    if r.gen:
+        in_gen = inside & ~np.isnan(gen)
+        if r.gen.top_percent is not None:
+            by_raw = r.gen.rank_by == "raw"
+            in_gen = in_gen & ranked((p.raw_cuts if by_raw else p.gen_cuts)[r.gen.top_percent], raw if by_raw else gen)
+        if r.gen.min_sim == "inherit":
+            in_gen = in_gen & (nobody if first.sim is None else gen >= first.sim)
+        elif r.gen.min_sim is not None:
+            in_gen = in_gen & (gen >= r.gen.min_sim)
+        if r.gen.eligible == "remaining":
+            in_gen = in_gen & ~ranked(first, raw)
+        elif r.gen.eligible == "not_selected":
+            in_gen = in_gen & ~in_raw
+        if r.gen.gate:
+            in_gen = in_gen & gate
+    return in_raw, in_gen & ~in_raw
+
+
+def arrow_masks(sheet: DataFrame, plans: list[Plan]) -> DataFrame:
+    """(pair_id, raw_sim, gen_sim, raw_mask, gen_mask) of many plans in one Arrow pass, for more predicates than one generated
+    method can hold; the same bits as `with_masks`. Rows that no plan takes are left out."""
+    if len(plans) > 63:
+        raise ValueError("a mask has 63 bits")
+    data = [replace(p, in_raw=None, in_gen=None) for p in plans]
+
+    def work(batches):
+        for batch in batches:
+            pair, level = batch.column(0).to_numpy(), batch.column(4).to_numpy()
+            raw, gen = (batch.column(c).to_numpy(zero_copy_only=False).astype(float) for c in (1, 2))
+            gate = batch.column(3).to_numpy(zero_copy_only=False).astype(bool)
+            masks = [np.zeros(len(pair), np.int64), np.zeros(len(pair), np.int64)]
+            for k, p in enumerate(data):
+                for mask, member in zip(masks, _evaluate(p, pair, raw, gen, gate, level), strict=True):
+                    mask |= member.astype(np.int64) << k
+            some = pa.array((masks[0] | masks[1]) != 0)
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(masks[0]), pa.array(masks[1])], ["pair_id", "raw_sim", "gen_sim", "raw_mask", "gen_mask"]).filter(some)
+
+    level = F.col("level").cast("int") if "level" in sheet.columns else F.lit(0)
+    gate = F.coalesce("gated", F.lit(False)) if "gated" in sheet.columns else F.lit(False)
+    return sheet.select("pair_id", F.col("raw_sim").cast("double"), F.col("gen_sim").cast("double"), gate.alias("gated"), level.alias("level")).mapInArrow(work, "pair_id bigint, raw_sim double, gen_sim double, raw_mask bigint, gen_mask bigint")
+
+
+def select_many(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0) -> DataFrame:
+    """The sheet with raw_mask and gen_mask: bit k is set where recipe k takes that caption."""
+    return with_masks(sheet, plan(sheet, recipes, base))
+
+
+def mask_sheet(masks: DataFrame, names: list[tuple], by: tuple[str, ...] = ()) -> DataFrame:
+    """(scale, recipe, n_rows, n_raw, n_gen, mean_sim, rel_size) of the sets (scale, recipe) of a masked sheet, in one scan."""
+    n, parts = F.count(F.lit(1)), []
+    for k, (scale, recipe) in enumerate(names):
         in_raw, in_gen = F.col("raw_mask").bitwiseAND(F.lit(1 << k).cast("bigint")) != 0, F.col("gen_mask").bitwiseAND(F.lit(1 << k).cast("bigint")) != 0
         sim = F.when(in_raw, F.col("raw_sim")).when(in_gen, F.col("gen_sim"))
-        parts.append(F.struct(F.lit(r.name).alias("recipe"), F.count(sim).alias("n_rows"), F.count_if(in_raw).alias("n_raw"), F.count_if(in_gen).alias("n_gen"), F.avg(sim).alias("mean_sim"), (F.count(sim) / n).alias("rel_size")).alias(f"r{k}"))
+        parts.append(F.struct(F.lit(scale).alias("scale"), F.lit(recipe).alias("recipe"), F.count(sim).alias("n_rows"), F.count_if(in_raw).alias("n_raw"), F.count_if(in_gen).alias("n_gen"), F.avg(sim).alias("mean_sim"), (F.count(sim) / n).alias("rel_size")).alias(f"r{k}"))
     wide = masks.groupBy(*by).agg(*parts) if by else masks.agg(*parts)
-    return wide.select(*by, F.explode(F.array(*[f"r{k}" for k in range(len(recipes))])).alias("r")).select(*by, "r.*")
+    return wide.select(*by, F.explode(F.array(*[f"r{k}" for k in range(len(names))])).alias("r")).select(*by, "r.*")
+
+
+def recipe_sheet(sheet: DataFrame, recipes: list[Recipe], base: float = 30.0, by: tuple[str, ...] = ()) -> DataFrame:
+    """(recipe, n_rows, n_raw, n_gen, mean_sim, rel_size) of all recipes from one scan."""
+    return mask_sheet(select_many(sheet, recipes, base), [(None, r.name) for r in recipes], by).drop("scale")
 
 
 def best_of(sheet: DataFrame) -> DataFrame:
-    """Of each pair the caption of higher alignment; ties stay raw. An extension."""
+    """Of each pair the caption of higher alignment; ties stay raw, NaN is no score. An extension."""
+    sheet = clean_scores(sheet)
     gen = F.coalesce(F.col("gen_sim") > F.col("raw_sim"), F.col("raw_sim").isNull())
     return sheet.select("pair_id", "image_id", F.when(gen, F.lit("gen")).otherwise(F.lit("raw")).alias("origin"), F.when(gen, F.col("gen_sim")).otherwise(F.col("raw_sim")).alias("sim"))
 
 
 def multi_source(long: DataFrame) -> DataFrame:
-    """Of several captioners' (pair_id, origin, sim) the best for each pair; ties to the first name. An extension."""
-    return long.groupBy("pair_id").agg(F.max_by("origin", F.struct("sim", -F.ascii(F.substring("origin", 1, 1)))).alias("origin"), F.max("sim").alias("sim"))
+    """Of any number of captioners' (pair_id, origin, sim) the best for each pair; ties to the first name in order,
+    missing scores and NaN last. An extension."""
+    best = F.struct(-F.coalesce(_score("sim"), F.lit(float("-inf"))), F.col("origin"))
+    return long.groupBy("pair_id").agg(F.min_by("origin", best).alias("origin"), F.max(_score("sim")).alias("sim"))
 
 
 def materialise(selection: DataFrame, captions: DataFrame) -> DataFrame:

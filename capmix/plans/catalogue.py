@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from . import caption_queries, pool_queries, prep_queries, relational_queries, stream_queries
+from . import caption_queries, model_queries, pool_queries, prep_queries, relational_queries, stream_queries
 
-MODULES = (pool_queries, caption_queries, prep_queries, relational_queries, stream_queries)
+MODULES = (pool_queries, model_queries, caption_queries, prep_queries, relational_queries, stream_queries)
 
 
 def queries():

@@ -29,9 +29,9 @@ s AS (
   FROM pairs JOIN e i ON i.vec_id = image_id JOIN e rv ON rv.vec_id = pairs.r JOIN e gv ON gv.vec_id = pairs.g
 )"""
 
-#: assigned, hits, kept: the gate, with nearest centres by a window; k: centres by pool size.
+#: assigned, hits, kept: the gate, with nearest centres by a window; k: centres in proportion to the images.
 GATE = """
-k AS (SELECT CASE WHEN count(*) < 500 THEN 16 WHEN count(*) < 5000 THEN 40 ELSE 80 END AS k FROM documents),
+k AS (SELECT greatest(16, 4 * n // 125) AS k FROM n),
 pool_images AS (SELECT vec_id AS image_id, v FROM e, n WHERE vec_id >= n // 5),
 centres AS (SELECT cid, v FROM (SELECT row_number() OVER (ORDER BY image_id) - 1 AS cid, v FROM pool_images), k WHERE cid < k),
 nearest AS (
@@ -110,7 +110,7 @@ i2t AS (SELECT rn FROM (SELECT text_id, image_id, row_number() OVER (PARTITION B
 HASHED = r"""
 tok AS (SELECT doc_id, coalesce(text, '') AS text, regexp_extract_all(lower(coalesce(text, '')), '\p{L}+') AS t FROM documents),
 content AS (SELECT doc_id, list_transform(range(64), lambda b: len(list_filter(bk, lambda x: x = b))::DOUBLE) AS v FROM (SELECT doc_id, list_transform(t, lambda x: ('0x' || substr(md5(x), 1, 8))::BIGINT % 64) AS bk FROM tok)),
-firsts AS (SELECT doc_id, regexp_extract_all(lower(split_part(text, chr(10), 1)), '\p{L}+')[1:40] AS words FROM tok),
+firsts AS (SELECT doc_id, regexp_extract_all(lower(split_part(text, chr(10), 1)), '\p{L}+') AS words FROM tok),
 parts AS (SELECT doc_id, k, regexp_extract_all(lower(p), '\p{L}+') AS words FROM (SELECT doc_id, unnest(string_split_regex(text, '[.\n]')) AS p, generate_subscripts(string_split_regex(text, '[.\n]'), 1) AS k FROM tok)),
 captions AS (SELECT doc_id, 0 AS k, words FROM firsts WHERE len(words) > 0 UNION ALL SELECT doc_id, k, words FROM parts WHERE len(words) BETWEEN 5 AND 40),
 vecs AS (SELECT doc_id, k, words, list_transform(range(64), lambda b: len(list_filter(bk, lambda x: x = b))::DOUBLE) AS v FROM (SELECT doc_id, k, words, list_transform(words, lambda x: ('0x' || substr(md5(x), 1, 8))::BIGINT % 64) AS bk FROM captions)),

@@ -12,6 +12,7 @@ from ..operators import alignment, diversity, evaluate, gate, rank, recipes
 from ..operators import reference_metrics as rm
 from ..sources import fixtures as fx
 from ..sources.tables import load
+from ..storage import materialise
 from . import ctes as q
 
 XS = [10.0, 20.0, 30.0, 50.0, 75.0, 90.0]
@@ -29,14 +30,23 @@ def sheet(spark: SparkSession, d: str) -> DataFrame:
     return pool.select("pair_id", "image_id", vx.cosine("image_vec", "raw_vec").alias("raw_sim"), vx.cosine("image_vec", "gen_vec").alias("gen_sim"), "quality", "toxic", "lang", "source").cache()
 
 
+#: The specialised captioner's planted captions.
+TUNED = {"gen_weight": fx.TUNED_WEIGHT, "gen_step": fx.TUNED_STEP, "gen_shift": fx.TUNED_SHIFT}
+
+
+def tuned_sheet(spark: SparkSession, d: str) -> DataFrame:
+    """The score sheet with the specialised captioner's text; recipes on it don't use the gate."""
+    return alignment.score_sheet(fx.planted_pool(spark, d, **TUNED)).withColumn("gated", F.lit(True)).cache()
+
+
 def gated(spark: SparkSession, d: str) -> DataFrame:
     images = fx.pool_images(spark, d)
-    centres = gate.seeded_centres(images, fx.centre_count(load(spark, d, "documents").count()))
+    centres = gate.seeded_centres(images, fx.centre_count(fx.image_count(spark, d)))
     return gate.gated_sheet(sheet(spark, d), gate.assign(images, centres), gate.reference_hits(fx.reference_images(spark, d), centres)).cache()
 
 
 def _centres(spark: SparkSession, d: str, iterations: int = 0) -> DataFrame:
-    return gate.seeded_centres(fx.pool_images(spark, d), fx.centre_count(load(spark, d, "documents").count()), iterations)
+    return gate.seeded_centres(fx.pool_images(spark, d), fx.centre_count(fx.image_count(spark, d)), iterations)
 
 
 def _r6(df: DataFrame, *names: str) -> DataFrame:
@@ -132,7 +142,11 @@ def gate_nearest2(spark, d):
 
 
 def gate_two_level(spark, d):
-    return gate.assign_two_level(fx.pool_images(spark, d), _centres(spark, d))
+    """How far the two-level assignment agrees with the flat one: (n_images, n_equal, share)."""
+    images, centres = fx.pool_images(spark, d), _centres(spark, d)
+    flat, near = gate.assign(images, centres), gate.assign_two_level(images, centres).select("image_id", F.col("cid").alias("other"))
+    both = flat.join(near, "image_id").agg(F.count("*").alias("n_images"), F.count_if(F.col("cid") == F.col("other")).alias("n_equal"))
+    return _r6(both.withColumn("share", F.col("n_equal") / F.col("n_images")), "share")
 
 
 def kmeans_gate(spark, d):
@@ -149,10 +163,10 @@ def sim_hist(spark, d):
 
 
 def sim_hist_sample(spark, d):
-    """The same over a one-percent sample (ten percent here, so that small pools have rows)."""
+    """The same over a one-percent sample."""
     from ..operators.prep import subpool
 
-    return alignment.histogram(alignment.long_scores(subpool(sheet(spark, d), 0.1, "one_percent")))
+    return alignment.histogram(alignment.long_scores(subpool(sheet(spark, d), 0.01, "one_percent")))
 
 
 def sim_quantiles(spark, d):
@@ -191,21 +205,24 @@ def tune_transfer(spark, d):
     return _r6(out, "mean_sim")
 
 
-def _scaled(spark, d):
-    """The gated sheet with the scales that each row belongs to: nested, from one salted number."""
-    s = gated(spark, d).withColumn("_u", fx.salted("pair_id", "scale"))
-    return {name: s.filter(F.col("_u") < int(share * (1 << 32))) if share < 1 else s for name, share in SCALES}
+def leveled(s: DataFrame) -> DataFrame:
+    """The sheet with the smallest of the nested scales that each row belongs to, from one salted number."""
+    level = F.lit(len(SCALES) - 1)
+    for k in reversed(range(len(SCALES) - 1)):
+        level = F.when(fx.salted("pair_id", "scale") < int(SCALES[k][1] * (1 << 32)), F.lit(k)).otherwise(level)
+    return s.withColumn("level", level)
 
 
-SCALE_RECIPES = ["raw_all", "gen_all", "raw_top30", "raw_top30_gate", "mix30_filtered", "mix30_filtered_gate"]
+SCALE_RECIPES = ["raw_all", "gen_all", "raw_top30", "gen_top50", "raw_top30_gate", "gen_top75_gate", "mix30_filtered", "mix30_filtered_gate"]
 
 
 def scale_grid(spark, d):
-    out = None
-    for name, part in _scaled(spark, d).items():
-        one = recipes.recipe_sheet(part, [REGISTRY[r] for r in SCALE_RECIPES]).select(F.lit(name).alias("scale"), "recipe", "n_rows", "mean_sim")
-        out = one if out is None else out.unionByName(one)
-    return _r6(out, "mean_sim")
+    """Sizes and mean similarities of recipes over nested subpools, from one scan of masks."""
+    s = leveled(gated(spark, d))
+    plans = recipes.plan_scales(s, [REGISTRY[r] for r in SCALE_RECIPES], [n for n, _ in SCALES])
+    masks = materialise(recipes.arrow_masks(s, [p for _, p in plans]), "masks")
+    found = recipes.mask_sheet(masks, [(n, p.recipe.name) for n, p in plans])
+    return _r6(found.select("scale", "recipe", "n_rows", "mean_sim"), "mean_sim")
 
 
 def noise_by_scale(spark, d):
@@ -241,25 +258,6 @@ def retr_mean(spark, d):
     return _r6(two.agg(F.avg("score").alias("score")), "score")
 
 
-def _trained(spark, d, name):
-    """Retrieval on the evaluation set after training on a recipe's rows, seen as often as the budget says."""
-    s = gated(spark, d)
-    chosen = recipes.select(s, REGISTRY[name])
-    copies = evaluate.budget_copies(chosen, s.count())
-    vecs = fx.planted_pool(spark, d).select("pair_id", "image_vec", "raw_vec", "gen_vec")
-    rows = chosen.select("pair_id", "origin").join(copies, "pair_id").join(vecs, "pair_id").select("image_vec", F.when(F.col("origin") == "raw", F.col("raw_vec")).otherwise(F.col("gen_vec")).alias("text_vec"), "copies")
-    weights = evaluate.train_alignment(rows, weight="copies")
-    return evaluate.retrieval_score(evaluate.apply_map(fx.evaluation_set(spark, d), weights)).select(F.lit(name).alias("recipe"), "score")
-
-
-def _retrieval_of(names, spark, d):
-    out = None
-    for n in names:
-        one = _trained(spark, d, n)
-        out = one if out is None else out.union(one)
-    return out
-
-
 def zs_label(spark, d):
     imgs = fx.images(spark, d)
     n = fx.image_count(spark, d)
@@ -338,7 +336,6 @@ def queries():
     )
     out |= {n: globals()[n] for n in names.split()}
     out |= {"gate_keep": partial(_gate_keep, False), "gate_drop": partial(_gate_keep, True)}
-    out |= {"retr_by_recipe": partial(_retrieval_of, ["raw_all", "raw_top30_gate", "raw_top30", "mix30_filtered", "gen_top75_gate", "gen_top50", "mix30", "gen_all"]), "retr_swap": partial(_retrieval_of, ["raw_top30", "swap30"])}
     return out
 
 
@@ -414,7 +411,7 @@ def oracle_sql():
         "gate_nearest2": f"{G} SELECT cid, count(*) AS n_hits FROM (SELECT e.vec_id, c.cid, row_number() OVER (PARTITION BY e.vec_id ORDER BY list_inner_product(e.v, c.v) DESC, c.cid) AS rn FROM e CROSS JOIN centres c CROSS JOIN n WHERE e.vec_id < n // 10 AND label < 5) WHERE rn <= 2 GROUP BY cid",
         "noise_mean": f"{S}, {_LONG} SELECT origin, round(avg(sim), 6) AS mean_sim, count(sim) AS n_rows FROM long GROUP BY origin",
         "sim_hist": f"{S}, {_LONG} {_HIST.format('')}",
-        "sim_hist_sample": f"{S}, {_LONG} " + _HIST.format(f"AND {q.salted('pair_id', 'one_percent')} < {int(0.1 * (1 << 32))}"),
+        "sim_hist_sample": f"{S}, {_LONG} " + _HIST.format(f"AND {q.salted('pair_id', 'one_percent')} < {int(0.01 * (1 << 32))}"),
         "sim_quantiles": f"{S}, {_LONG} " + " UNION ALL ".join(f"SELECT origin, {p}::DOUBLE AS share, round(quantile_cont(sim, {p}), 6) AS value FROM long GROUP BY origin" for p in (0.1, 0.25, 0.5, 0.75, 0.9)),
         "ref_free": f"{S}, {_LONG} SELECT origin, round(avg(2.5 * greatest(sim, 0)), 6) AS ref_free FROM long GROUP BY origin",
         "sim_paired": f"{S} SELECT count(*) AS n_rows, count(*) FILTER (gen_sim > raw_sim) AS n_better, round(avg(gen_sim - raw_sim), 6) AS mean_diff, round(stddev_samp(gen_sim - raw_sim), 6) AS sd_diff FROM s",

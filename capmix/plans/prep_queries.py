@@ -100,7 +100,7 @@ def heur_source(spark, d):
 
 def heur_objects(spark, d):
     images = fx.pool_images(spark, d)
-    centres = gate.seeded_centres(images, fx.centre_count(_docs(spark, d).count()))
+    centres = gate.seeded_centres(images, fx.centre_count(fx.image_count(spark, d)))
     pairs = fx.planted_pairs(spark, d).select("pair_id", "image_id")
     return heuristics.mentions_objects(_raw(spark, d).join(pairs, "pair_id"), gate.assign(images, centres))
 

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import tempfile
 
 from pyspark.sql import functions as F
 from pyspark.sql.window import Window
@@ -14,6 +13,7 @@ from ..operators import relational as rel
 from ..operators.encoders import HashedEncoder, StoredEncoder
 from ..sources import fixtures as fx
 from ..sources.tables import load
+from ..storage import shared_path
 from . import ctes as q
 
 
@@ -215,10 +215,7 @@ def rel_udtf(spark, d):
 
 def rel_formats(spark, d):
     """Nations through every text format: written and read with declared schemas, and counted."""
-    import uuid
-
-    base = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp(prefix='capmix_formats_')}"
-    path = f"{base.rstrip('/')}/formats-{uuid.uuid4().hex}"
+    path = shared_path(spark, "formats")
     nations = load(spark, d, "nation").select(F.col("n_nationkey").cast("bigint").alias("k"), F.col("n_name").alias("name"))
     out = None
     for kind in ("csv", "json", "orc", "parquet"):

@@ -12,11 +12,14 @@ from .tables import load
 # Fixed values of the planted pool: noise weights by quality, of generated and of evaluation captions.
 RAW_WEIGHT = {1: 3.5, 0: 6.0, None: 4.7}
 GEN_WEIGHT, EVAL_WEIGHT = 3.85, 2.5
+#: The specialised captioner: noisier captions, their noise drawn from another sequence.
+TUNED_WEIGHT, TUNED_STEP, TUNED_SHIFT = 4.15, 13, 31
 
 
-def centre_count(n_pairs: int) -> int:
-    """Centres of the image gate by pool size."""
-    return 16 if n_pairs < 500 else 40 if n_pairs < 5000 else 80
+def centre_count(n_images: int) -> int:
+    """Centres of the image gate: in proportion to the images, as the reference images are, so that the gate cuts alike
+    at every size."""
+    return max(16, 4 * n_images // 125)
 
 
 def image_count(spark: SparkSession, sf_dir: str) -> int:
@@ -38,7 +41,7 @@ def reference_images(spark: SparkSession, sf_dir: str) -> DataFrame:
     return images(spark, sf_dir).filter((F.col("image_id") < n // 10) & (F.col("label") < 5))
 
 
-def planted_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
+def planted_pairs(spark: SparkSession, sf_dir: str, gen_step: int = 11, gen_shift: int = 29) -> DataFrame:
     """The pool without vectors: pair_id, image_id, noise vector ids, raw weight, labels, lang, source."""
     n = image_count(spark, sf_dir)
     first = n // 5
@@ -49,29 +52,39 @@ def planted_pairs(spark: SparkSession, sf_dir: str) -> DataFrame:
         F.col("doc_id").alias("pair_id"),
         (F.lit(first) + F.pmod("doc_id", F.lit(n - first))).cast("bigint").alias("image_id"),
         F.pmod(7 * F.col("doc_id") + 13, F.lit(n)).cast("bigint").alias("raw_noise"),
-        F.pmod(11 * F.col("doc_id") + 29, F.lit(n)).cast("bigint").alias("gen_noise"),
+        F.pmod(gen_step * F.col("doc_id") + gen_shift, F.lit(n)).cast("bigint").alias("gen_noise"),
         weight.alias("raw_weight"), "quality", "toxic", "lang", "source",
     )
 
 
-def planted_pool(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """P with its vectors: image_vec, raw_vec, gen_vec beside the columns of planted_pairs."""
-    pairs, vecs = planted_pairs(spark, sf_dir), images(spark, sf_dir).select("image_id", "vec")
+def planted_pool(spark: SparkSession, sf_dir: str, gen_weight: float = GEN_WEIGHT, gen_step: int = 11, gen_shift: int = 29) -> DataFrame:
+    """P with its vectors: image_vec, raw_vec, gen_vec beside the columns of planted_pairs.
+
+    Another weight, step and shift of the generated captions' noise plant another captioner.
+    """
+    pairs, vecs = planted_pairs(spark, sf_dir, gen_step, gen_shift), images(spark, sf_dir).select("image_id", "vec")
 
     def with_vec(df: DataFrame, key: str, name: str) -> DataFrame:
         return df.join(vecs.select(F.col("image_id").alias(key), F.col("vec").alias(name)), key)
 
     joined = with_vec(with_vec(with_vec(pairs, "image_id", "image_vec"), "raw_noise", "_r"), "gen_noise", "_g")
-    return joined.withColumn("raw_vec", vx.add_scaled("image_vec", "_r", F.col("raw_weight"))).withColumn("gen_vec", vx.add_scaled("image_vec", "_g", GEN_WEIGHT)).drop("_r", "_g")
+    return joined.withColumn("raw_vec", vx.add_scaled("image_vec", "_r", F.col("raw_weight"))).withColumn("gen_vec", vx.add_scaled("image_vec", "_g", gen_weight)).drop("_r", "_g")
+
+
+def captioned(spark: SparkSession, sf_dir: str, low: int, high: int | None, weight: float, step: int = 11, shift: int = 29) -> DataFrame:
+    """(item_id, image_vec, text_vec, label) of the images low..high with evaluation-like captions."""
+    n = image_count(spark, sf_dir)
+    vecs = images(spark, sf_dir)
+    rows = vecs.filter((F.col("image_id") >= low) & ((F.col("image_id") < high) if high is not None else F.lit(True)))
+    items = rows.select(F.col("image_id").alias("item_id"), F.col("vec").alias("image_vec"), "label", F.pmod(step * F.col("image_id") + shift, F.lit(n)).cast("bigint").alias("noise"))
+    noise = vecs.select(F.col("image_id").alias("noise"), F.col("vec").alias("_n"))
+    return items.join(noise, "noise").select("item_id", "image_vec", vx.add_scaled("image_vec", "_n", weight).alias("text_vec"), "label")
 
 
 def evaluation_set(spark: SparkSession, sf_dir: str, weight: float = EVAL_WEIGHT, step: int = 11, shift: int = 29) -> DataFrame:
     """(item_id, image_vec, text_vec) of the evaluation slice."""
     n = image_count(spark, sf_dir)
-    vecs = images(spark, sf_dir).select("image_id", "vec")
-    items = vecs.filter((F.col("image_id") >= n // 10) & (F.col("image_id") < n // 5)).select(F.col("image_id").alias("item_id"), F.col("vec").alias("image_vec"), F.pmod(step * F.col("image_id") + shift, F.lit(n)).cast("bigint").alias("noise"))
-    noise = vecs.select(F.col("image_id").alias("noise"), F.col("vec").alias("_n"))
-    return items.join(noise, "noise").select("item_id", "image_vec", vx.add_scaled("image_vec", "_n", weight).alias("text_vec"))
+    return captioned(spark, sf_dir, n // 10, n // 5, weight, step, shift).drop("label")
 
 
 def page_pool(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-import tempfile
+import uuid
 from collections.abc import Callable, Iterator
 
 import pandas as pd
@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.rank import Cut
+from ..storage import shared_path
 
 SCHEMA = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -87,10 +88,7 @@ def cut_from_histogram(counts: dict[int, int], x: float, bins: int = 64) -> floa
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
     """Run a stream over all that there is now and give what it wrote (in 'update' mode: all versions)."""
     spark = stream.sparkSession
-    folder = spark.conf.get("spark.checkpoint.dir", None) or f"file://{tempfile.mkdtemp(prefix='capmix_stream_')}"
-    import uuid
-
-    at = f"{folder.rstrip('/')}/stream-{name}-{uuid.uuid4().hex}"
+    at = shared_path(spark, f"stream-{name}")
     query = stream.writeStream.format("memory").queryName(f"{name}_{uuid.uuid4().hex}").outputMode(mode).option("checkpointLocation", at).trigger(availableNow=True).start()
     query.awaitTermination()
     if query.exception():

@@ -18,11 +18,11 @@ def test_whole_tables_have_rare_rows(spark):
                 marked = ["<s>", *words, "</s>"]
                 count.update(zip(marked, marked[1:], strict=False))
     queries = caption_queries.queries()
-    got = {(r["w1"], r["w2"]): r["n"] for r in queries["cap_bigrams_whole"](spark, SMOKE).collect()}
+    got = {(r["w1"], r["w2"]): r["n"] for r in queries["cap_bigrams"](spark, SMOKE).collect()}
     assert got == dict(count) and min(count.values()) < 3
     want, after = set(), {}
     for (a, b), n in count.items():
         after.setdefault(a, []).append((-n, b.encode(), b))
     for a, rows in after.items():
         want |= {(a, b, -n, k + 1) for k, (n, _, b) in enumerate(sorted(rows)[:5])}
-    assert {tuple(r) for r in queries["topk_successors_whole"](spark, SMOKE).collect()} == want
+    assert {tuple(r) for r in queries["topk_successors"](spark, SMOKE).collect()} == want

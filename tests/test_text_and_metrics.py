@@ -109,7 +109,7 @@ def test_grounding_of_empty_caption_is_null(spark):
 
 
 def test_hashed_pool_golden(spark):
-    h = captioners.hashed_pool(load(spark, SMOKE, "documents"))
+    h = captioners.hashed_pool(load(spark, SMOKE, "documents"), raw_limit=40)
     r = h.agg(F.count("*").alias("n"), F.count("gen_text").alias("g"), F.avg("raw_sim").alias("a"), F.avg("gen_sim").alias("b")).first()
     assert (r["n"], r["g"], round(r["a"], 3), round(r["b"], 3)) == (200, 189, 0.610, 0.743)
     grams = {x["origin"]: (x["n_unique"], x["n_grams"]) for x in diversity.unique_grams(diversity.long_captions(h)).collect()}
