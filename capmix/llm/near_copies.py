@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from ..operators import near_copies
 from . import simhash
-from .common import materialise
+from .common import few, materialise
 from .components import components
 
 RADIUS = 3
@@ -46,10 +46,10 @@ def near_duplicates(df: DataFrame, shingle: int = 5, threshold: float = 0.8, id_
     return rows.select("id", "row_key", "cls").join(classes, "cls").select("id", "row_key", "component_id", "component_key")
 
 
-def one_of_each(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", few: int = 500_000, **options) -> DataFrame:
+def one_of_each(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", most: int = 500_000, **options) -> DataFrame:
     """df without near copies: of each component its first row stays, once.
 
-    Of rows with one id and one text that one stays whose columns sort first. Texts are shuffled only if more than `few`
+    Of rows with one id and one text that one stays whose columns sort first. Texts are shuffled only if more than `most`
     rows go; else those are broadcast (three numbers each).
     """
     found = materialise(near_duplicates(df, id_col=id_col, text_col=text_col, **options), "near")
@@ -57,7 +57,7 @@ def one_of_each(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", f
     # what goes, and of what stays the rows that are there several times
     marked = found.groupBy("id", "row_key").agg(F.bool_or(stays).alias("stays"), F.count("*").alias("n")).filter("NOT stays OR n > 1")
     marked = materialise(marked.select("id", "row_key", "stays"), "marked")
-    marked = F.broadcast(marked) if marked.limit(few + 1).count() <= few else marked
+    marked = F.broadcast(marked) if few(marked, most) else marked
     rows = df.select(F.struct(*df.columns).alias("row"), F.col(id_col).cast("bigint").alias("own"), F.xxhash64(text_col).alias("own_key"))
     both = rows.join(marked, F.col("own").eqNullSafe(F.col("id")) & (F.col("own_key") == F.col("row_key")), "left").filter("stays IS NULL OR stays").select("row", "own", "own_key", "stays")
     several = both.filter("stays").groupBy("own", "own_key").agg(F.min("row").alias("row"))

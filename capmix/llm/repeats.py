@@ -37,7 +37,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, small, width
+from .common import few, materialise, small, width
 from .words import spaced_bounds, spaced_words
 
 MIN_WORDS, ANCHOR_WORDS = 50, 8
@@ -547,7 +547,7 @@ def remove_repeats(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: int
     """
     spark = df.sparkSession
     spans = materialise(redundant_spans(repeated_passages(df, min_words, anchor_words, id_col, text_col)), "spans")
-    spans = F.broadcast(spans) if spans.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS else spans
+    spans = F.broadcast(spans) if few(spans, BROADCAST_ROWS) else spans
     rows = df.select(F.struct(*df.columns).alias("row"), F.col(id_col).cast("bigint").alias("id"), F.xxhash64(text_col).alias("own_key"), F.col(text_col).cast("binary").alias("text"))
     both = rows.join(spans, F.col("id").eqNullSafe(F.col("doc_id")) & (F.col("own_key") == F.col("row_key")), "left").select("row", "text", "spans")
 
