@@ -8,9 +8,10 @@ compatible bin. Without any, it opens a new one.
 
 A document longer than the capacity fills bins of its own; what remains of it is placed like any other.
 
-Rows are dealt by the hash of the id to packing groups of about `group_rows` rows, each packed on its own, so
-memory and time of a task don't grow with the input, and a hot source or cluster is spread evenly. Only ids,
-sizes, and hashes of source and cluster are shuffled.
+Rows are dealt by their hash to packing groups of about `group_rows` rows, each packed on its own, so
+memory and time of a task don't grow with the input, and a hot source, cluster or row is spread evenly. Only ids,
+sizes, and hashes of source and cluster are shuffled. A piece sees the bins of its own group only, which
+costs a few bins: larger groups come closer to one best-fit run over everything.
 
 Sizes are white-space words of the text plus one for the end mark, or a given column. Duplicate clusters are equal
 texts, or a given column.
@@ -29,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import width
 
-CAPACITY, GROUP_ROWS = 4096, 4096
+CAPACITY, GROUP_ROWS = 4096, 16_384
 PLACED = "doc_id bigint, piece int, piece_start bigint, size bigint, bin_group int, bin int, bin_offset bigint"
 _PLACED = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("piece_start", pa.int64()), ("size", pa.int64()), ("bin_group", pa.int32()), ("bin", pa.int32()), ("bin_offset", pa.int64())])
 _SEARCH = 256
@@ -137,8 +138,11 @@ def pack(df: DataFrame, capacity: int = CAPACITY, group_rows: int = GROUP_ROWS,
         (F.xxhash64(cluster_col) if cluster_col else F.xxhash64(text)).alias("cluster"),
     )
     groups = df.select(F.lit(1)).count() // group_rows + 1
-    # the group follows from the id alone (and, for repeated ids, from the row), so a repeated task agrees
-    dealt = narrow.withColumn("bin_group", F.pmod(F.xxhash64("doc_id", "size", "cluster"), F.lit(groups)).cast("int"))
+    # the group follows from the row alone, so a repeated task agrees; identical rows are counted off before the shuffle and
+    # then dealt by their number, too, so that they don't meet in one group
+    same = narrow.groupBy("doc_id", "size", "source", "cluster").agg(F.count("*").alias("times"))
+    each = same.withColumn("copy", F.explode(F.sequence(F.lit(1).cast("bigint"), F.col("times")))).drop("times")
+    dealt = each.withColumn("bin_group", F.pmod(F.xxhash64("doc_id", "size", "cluster", "copy"), F.lit(groups)).cast("int")).drop("copy")
 
     def work(batches):
         held, group = [], None
