@@ -129,12 +129,8 @@ def _fit(total: np.ndarray, n: np.ndarray, y: np.ndarray, ridge: float = 1e-3) -
     return tuple(float(v) for v in w)
 
 
-def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30.0, prefix_chars: tuple[int, int] = (4, 9), max_entries: int = 5_000) -> Lexicon:
-    """Learn entries, weights and the logistic model from (text, label) rows of bounded number.
-
-    `max_entries` bounds the lexicon, not the rows that are scored: the entries in most toxic
-    training documents stay.
-    """
+def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30.0, prefix_chars: tuple[int, int] = (4, 9)) -> Lexicon:
+    """Learn entries, weights and the logistic model from (text, label) rows of bounded number, which bound the lexicon."""
     low, high = prefix_chars
 
     def count(batches):
@@ -150,7 +146,7 @@ def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30
                 grams = set()
                 for w in set(fold(text).decode().split()):
                     grams.update(w[:k] for k in range(low, min(high, len(w)) + 1))
-                    if 2 < len(w) <= 30:
+                    if len(w) > 2:
                         grams.add(w + " ")
                 (toxic if label else clean).update(grams)
                 if len(toxic) + len(clean) > 300_000:
@@ -170,20 +166,18 @@ def learn_lexicon(rows: DataFrame, min_documents: int = 3, min_ratio: float = 30
     evidence = F.col("toxic") * F.log(F.col("toxic") / (n * p)) + F.when(F.col("clean") > 0, F.col("clean") * F.log(F.col("clean") / (n * (1 - p)))).otherwise(0.0)
     tried = materialise(counts.filter(F.col("toxic") >= min_documents).withColumn("odds", odds).withColumn("evidence", evidence), "grams")
     enough = math.log(max(tried.count(), 1))
-    found = tried.filter((F.col("odds") >= min_ratio) & (F.col("evidence") >= enough)).orderBy(F.desc("toxic"), F.desc("odds"), "gram").limit(20 * max_entries).collect()
+    found = tried.filter((F.col("odds") >= min_ratio) & (F.col("evidence") >= enough)).orderBy(F.desc("toxic"), F.desc("odds"), "gram").collect()  # of the bounded sample's grams
     entries = {r["gram"]: (r["toxic"], math.log(r["odds"])) for r in found}
     longest = {}
     for gram, (n, _) in entries.items():
-        for k in range(low, len(gram)):
+        for k in range(low, min(len(gram), high + 1)):
             if gram[:k] in entries and entries[gram[:k]][0] <= 1.03 * n:
                 longest[gram[:k]] = gram  # hits the same documents as a longer one
     kept: dict[str, float] = {}
     for gram, (_, w) in entries.items():
-        shorter = [gram[:k] for k in range(low, len(gram)) if gram[:k] in entries and gram[:k] not in longest]
+        shorter = [gram[:k] for k in range(low, min(len(gram), high + 1)) if gram[:k] in entries and gram[:k] not in longest]
         if gram not in longest and not any(entries[s][1] >= w - 0.7 for s in shorter):
             kept[" " + gram] = w
-        if len(kept) == max_entries:
-            break
     lexicon = Lexicon(kept)
 
     def weigh(batches):
