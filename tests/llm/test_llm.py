@@ -469,6 +469,176 @@ def test_classifier_edges(spark):
     assert {r["score"] for r in toxicity.score_toxicity(docs, toxicity.train(docs, some)).collect()} == {1.0}
 
 
+def test_toxicity_hits_against_naive_matching(spark):
+    """Aho-Corasick over the learned lexicon against a search for every entry at every word."""
+    lexicon = toxicity.train(spark.read.parquet(f"{ORACLE}/documents.parquet"), spark.read.parquet(f"{ORACLE}/labels.parquet"))
+    some = [e for e in lexicon.weights][:40] + [" aaa", " aa ", " b "]
+    weights = {e: lexicon.weights.get(e, 1.5) for e in some}
+    lexicon = toxicity.Lexicon(weights, ("aaa can", "clown car"))
+    rng = random.Random(4)
+    vocabulary = [e.strip() for e in some] + [e.strip() + "xx" for e in some[:9]] + ["aaa", "can", "clown", "car", "AA", "plain", "4aa", "b"]
+    for _ in range(300):
+        text = " ".join(rng.choice(vocabulary) for _ in range(rng.randrange(25)))
+        folded = toxicity.fold(text).decode()
+        best = {}
+        for e, w in weights.items():
+            for at in range(len(folded)):
+                if folded.startswith(e, at):
+                    best[at] = max(best.get(at, 0.0), w)
+        for phrase in lexicon.exceptions:
+            p = toxicity.fold(phrase).decode()
+            for at in range(len(folded)):
+                if folded.startswith(p, at):
+                    best = {k: v for k, v in best.items() if not at <= k < at + len(p) - 1}  # the last space begins the next word
+        total, hits, _ = lexicon.weigh(folded.encode())
+        assert (round(total, 9), hits) == (round(sum(best.values()), 9), len(best))
+
+
+def test_lexicon_has_no_cap(spark):
+    """More entries than any former cap, and words of any length."""
+    words = [f"zz{a}{b}{c}q" + "y" * (40 if a == "b" else 1) for a in "abcdefghijklmnopqrstuvwxyz" for b in "abcdefghijklmnopqrstuvwxyz" for c in "abcdefghij"]
+    bad = [(" ".join(words[k::3]) + f" n{j}", 1) for k in range(3) for j in range(4)]
+    good = [(" ".join(f"g{j}x{k}" for k in range(30)), 0) for j in range(400)]
+    lexicon = toxicity.learn_lexicon(spark.createDataFrame([(t.encode(), y) for t, y in bad + good], "text binary, label int"))
+    folded = toxicity.fold(" ".join(words))
+    assert lexicon.weigh(folded)[1] == len(words)
+
+
+def test_trees_against_plain_traversal_and_exhaustive_split():
+    """Scores of flattened trees by walking each row, and the first split by trying every feature and threshold."""
+    rng = np.random.default_rng(2)
+    x = rng.integers(0, 12, (400, 5)).astype(float)
+    y = ((x[:, 1] > 6) ^ (rng.random(400) < 0.1)).astype(float)
+    trees = quality.fit_trees(x, y, rounds=12, depth=3)
+    for row, got in zip(x[:60], trees.score(x[:60]), strict=True):
+        raw = trees.bias
+        for root in trees.roots.tolist():
+            at = root
+            while trees.left[at] != at:
+                at = trees.left[at] if row[trees.feature[at]] <= trees.threshold[at] else trees.right[at]
+            raw += trees.value[at]
+        assert got == pytest.approx(1 / (1 + np.exp(-raw)))
+    p = y.mean()
+    g, h = y - p, np.full(len(y), p * (1 - p))
+    gain = lambda m: g[m].sum() ** 2 / (h[m].sum() + 1.0) if m.any() else 0.0
+    best = max(((gain(x[:, f] <= t) + gain(x[:, f] > t), f, t) for f in range(5) for t in np.unique(x[:, f]) if min((x[:, f] <= t).sum(), (x[:, f] > t).sum()) >= 8), key=lambda b: b[0])
+    root = trees.roots[0]
+    assert trees.feature[root] == best[1] and ((x[:, best[1]] <= trees.threshold[root]) == (x[:, best[1]] <= best[2])).all()
+
+
+def test_quality_query_against_plain_statistics(spark, documents):
+    """The query's scores from statistics counted word by word and trees walked row by row."""
+    trees = quality.train(spark.read.parquet(f"{ORACLE}/documents.parquet"), spark.read.parquet(f"{ORACLE}/labels.parquet"))
+    got = queries.op9(spark, ORACLE).toPandas().set_index("doc_id")
+    for i, t in zip(documents.doc_id[:80], documents.text[:80], strict=True):
+        raw, words = (t or "").encode(), (t or "").encode().split()
+        own = dict(zip(quality.STATISTICS, quality.statistics(raw), strict=True))
+        assert own["digits"] == pytest.approx(sum(48 <= b < 58 for b in raw) / max(len(raw), 1)) and own["distinct_words"] == pytest.approx(len(set(words)) / max(len(words), 1))
+        assert got.loc[i, "score"] == pytest.approx(float(trees.score(np.array([list(own.values())]))[0]))
+
+
+# Encoding, stored formats and hot keys
+
+
+@given(st.lists(st.text(alphabet=st.sampled_from("aBé\u00c9İıʼn\u0301\u093c\u095bש\ufb2a'.,-<|>endoftx 1½\x1c\x1f\x00\x85\xa0\u2000\u200b\u3000Σσς\u212a\u1fef\n\t"), max_size=24) | st.text(max_size=12), max_size=8))
+@settings(max_examples=400, deadline=None)
+def test_encoder_equals_whole_texts(texts):
+    import pyarrow as pa
+    from array import array
+    from tokenizers import Tokenizer
+
+    enc = token_files.encoder(WORD_BPE, None)
+    whole = _PLAIN.setdefault(0, Tokenizer.from_file(WORD_BPE)).encode_batch(texts, add_special_tokens=False)
+    assert enc(pa.array(texts, pa.string())) == [array(enc.code, e.ids).tobytes() for e in whole]
+
+
+_PLAIN: dict = {}
+
+
+def test_only_a_word_splitter_is_encoded_by_words():
+    import json
+
+    spec = json.load(open(WORD_BPE, encoding="utf-8"))
+    assert token_files.word_splitter(spec) and not token_files.encoder(BYTE_BPE, None).splits
+    for change in ({"normalizer": None}, {"pre_tokenizer": None}, {"added_tokens": [spec["added_tokens"][0] | {"lstrip": True}]}, {"added_tokens": [spec["added_tokens"][0] | {"content": "abc."}]}, {"model": {"type": "WordPiece"}}):
+        assert not token_files.word_splitter(spec | change)
+
+
+def test_both_chat_encoders_give_the_same_ids():
+    tok = chat.tokenizer_at(BYTE_BPE)
+    texts = ["", "a b  c\n\n x", "é" * 300, " " * 30_000 + "x", "\t\n " * 9000, "don't <|endoftext|> 12", "日本 ½"]
+    assert tok.ranks is not None and tok.encode(texts) == [e.ids for e in tok.tokenizer.encode_batch(texts, add_special_tokens=False)]
+    assert tok.decode(tok.encode(texts)) == texts
+
+
+def test_stored_chat_is_read_back_in_any_order(spark, tmp_path):
+    data = [(c, t, "user" if t % 2 else "assistant", f"c{c} t{t} <|im_end|>") for c in range(100) for t in range(9)]
+    formatted = chat.format_chat(spark.createDataFrame(data, "conv_id bigint, turn bigint, role string, text string"), BYTE_BPE)
+    want = {tuple(r) for r in chat.read_back(formatted, BYTE_BPE, in_order=True).collect()}
+    formatted.orderBy("seq", chat.F.desc("conv_id")).repartition(7).write.parquet(str(tmp_path / "chat"))
+    stored = spark.read.parquet(str(tmp_path / "chat"))
+    assert {tuple(r) for r in chat.read_back(stored, BYTE_BPE).collect()} == want and len(want) == 100
+    with pytest.raises(Exception, match="in order of seq"):
+        chat.read_back(stored, BYTE_BPE, in_order=True).collect()
+
+
+def test_decontamination_coverage_and_clashing_names(spark):
+    item = " ".join(f"w{k}" for k in range(4))
+    docs = docs_of(spark, [f"{item} a b c d e f", "x " * 10, None]).withColumns({c: decontamination.F.lit(1) for c in ("_n", "_spans", "_items", "_text", "row", "n", "spans", "items", "N_HIT")})
+    bench = spark.createDataFrame([(1, item)], "item_id bigint, text string")
+    judge = lambda **k: {r["doc_id"]: r["contaminated"] for r in decontamination.decontaminate(docs, bench, **k).collect()}
+    assert judge(coverage=0.4) == {0: True, 1: False, 2: False} and judge(coverage=0.41)[0] is False and judge(coverage=0)[0] is True
+    got = decontamination.decontaminate(docs, bench, clean=True)
+    assert {"_n", "_spans", "_items", "_text", "row", "n", "spans", "items"} <= set(got.columns) and got.count() == 3
+
+
+@given(st.lists(st.lists(st.integers(0, 2), max_size=30), max_size=6), st.lists(st.integers(0, 3), max_size=60))
+@settings(max_examples=120, deadline=None)
+def test_automaton_against_brute_force(items, words):
+    spell = lambda w: " ".join(f"w{x}" for x in w)
+    texts = [(k, spell(w)) for k, w in enumerate(items)]
+    automaton = decontamination.Automaton([(k, t.encode()) for k, t in texts], 5)
+    spans, found = automaton.scan([f"w{x}".encode() for x in words])
+    n, hit, ids = brute_hits(spell(words), texts, 5)
+    covered_ = {p for a, b in spans.tolist() for p in range(a, b)}
+    assert (len(covered_), sorted(str(k) for k in found)) == (hit, ids)
+
+
+def test_repetitive_texts_are_scanned_in_linear_time():
+    import time
+
+    automaton = decontamination.Automaton([(1, b"a " * 60_000), (2, b"a a a")])
+    begun = time.perf_counter()
+    spans, found = automaton.scan([b"a"] * 60_000)
+    assert found == {0, 1} and len(spans) and time.perf_counter() - begun < 5
+
+
+def test_hot_ids_and_rows_are_numbered_in_parts(spark):
+    rows_ = [(None if k % 3 else k, f"t{k % 50}") for k in range(900)] + [(7, "same")] * 300
+    df = spark.createDataFrame(rows_, "doc_id bigint, text string")
+    got = sharding.shard(df, 24, range_rows=20, same_rows=40).collect()
+    assert sorted(r["row_number"] for r in got) == list(range(1200))
+    assert all((r["shard"], r["slot"]) == sharding.place_of(r["row_number"], 1200, "capmix", 24) for r in got)
+    assert sorted(map(str, ((r["doc_id"], r["text_crc32"]) for r in got))) == sorted(map(str, ((i, zlib.crc32(t.encode())) for i, t in rows_)))
+
+
+def test_identical_rows_are_packed_in_several_groups(spark):
+    df = docs_of(spark, ["same words here"] * 200 + [f"other {k}" for k in range(50)], [5] * 200 + list(range(50)))
+    got = packing.pack(df, capacity=100, group_rows=32).toPandas()
+    assert len(got) == 250 and got[got.doc_id == 5].bin_group.nunique() > 3
+    assert (got[(got.doc_id == 5) & (got["size"] == 4)].groupby(["bin_group", "bin"]).size() == 1).all()
+
+
+def test_masks_of_many_fingerprints():
+    import itertools
+
+    for n in (10, 10**6, 10**9, 10**13):
+        masks = simhash.band_masks(n, 2)
+        for a, b in itertools.combinations(range(0, 64, 5), 2):
+            assert any(m >> a & 1 == 0 and m >> b & 1 == 0 for m in masks)
+        assert n >> min(bin(m).count("1") for m in masks) <= 8
+
+
 def test_trees_learn_an_interaction():
     rng = np.random.default_rng(0)
     x = rng.random((3000, 4))
