@@ -3,7 +3,8 @@
 1. A text becomes the set of 64-bit hashes of its runs of `shingle` words; a shorter text is one shingle of
    all its words, a wordless one the empty set. Equal sets are one class.
 2. Only classes meet, one representative each, where a band of MinHash values is equal. With 16 bands of
-   four, a pair of similarity 0.8 shares no band with probability 0.0002, a closer pair less often.
+   four, a pair of similarity 0.8 shares no band with probability 0.0002, a closer pair less often. Of band values with
+   exactly the same classes one is kept, so a set isn't sent once for each band that copies share.
 3. Within a band value every pair of sizes that allow the threshold is compared by the sets themselves. A
    band value of more than `block_rows` classes is dealt by pairs of salted sub-blocks.
 """
@@ -18,8 +19,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..storage import few, release
+
 SHINGLE, BANDS, ROWS, THRESHOLD = 5, 16, 4, 0.8
 BLOCK_ROWS = 512
+#: So many classes (one number each) are broadcast at most.
+FEW_CLASSES = 1_000_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -77,6 +82,7 @@ def sketches(df: DataFrame, id_col: str = "doc_id", text_col: str = "text", shin
                 keys = [band_keys(s, bands, rows).view(np.int64) if len(s) else [] for s in sets]
                 marks = np.array([mark(s) if mark else 0 for s in sets], np.uint64).view(np.int64)
                 yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array([_class(s) for s in sets], pa.int64()), pa.array([len(s) for s in sets], pa.int32()), pa.array(keys, pa.list_(pa.int64())), pa.array(marks)], ["id", "row_key", "cls", "size", "keys", "mark"])
+            release()
 
     return _texts(df, id_col, text_col).mapInArrow(work, "id bigint, row_key bigint, cls bigint, size int, keys array<bigint>, mark bigint")
 
@@ -95,6 +101,7 @@ def _sets(df: DataFrame, text_col: str, shingle: int) -> DataFrame:
                         seen.add(cls)
                         fresh[cls] = own.tobytes()
                 yield pa.RecordBatch.from_arrays([pa.array(list(fresh), pa.int64()), pa.array(list(fresh.values()), pa.binary())], ["cls", "hashes"])
+            release()
 
     return df.select(F.col(text_col).cast("binary").alias("text")).mapInArrow(work, "cls bigint, hashes binary")
 
@@ -132,14 +139,17 @@ def pairs(df: DataFrame, rows: DataFrame, keep: Callable[[DataFrame, str], DataF
     """
     classes = rows.groupBy("cls").agg(F.first("keys").alias("keys"))
     keyed = classes.select("cls", F.explode("keys").alias("band"))
-    keyed = keyed if also is None else keyed.union(also.select("cls", "band"))
-    shared = keyed.groupBy("band").agg(F.count("*").alias("n")).filter("n > 1").select("band", F.ceil(F.col("n") / block_rows).cast("int").alias("subs"))
+    keyed = keyed if also is None else keyed.union(also.select("cls", "band")).distinct()
+    # band values with the same classes (most copies share many) name the same pairs: one of them is kept
+    alike = keyed.groupBy("band").agg(F.count("*").alias("n"), F.bit_xor(F.xxhash64("cls")).alias("x"), F.bit_xor(F.xxhash64(F.lit(1), "cls")).alias("y"))
+    shared = alike.filter("n > 1").groupBy("n", "x", "y").agg(F.min("band").alias("band")).select("band", F.ceil(F.col("n") / block_rows).cast("int").alias("subs"))
     members = keep(keyed.join(shared, "band"), "members")
     sub = F.pmod(F.xxhash64("cls"), F.col("subs")).cast("int")
     dealt = members.withColumn("sub", sub).select("cls", "band", "sub", F.explode(F.sequence(F.lit(0), F.col("subs") - 1)).alias("other"))
     low, high = F.least("sub", "other"), F.greatest("sub", "other")
     dealt = dealt.select("cls", F.xxhash64("band", low, high).alias("block"), (F.col("sub") != F.col("other")).alias("mixed"), (F.col("sub") < F.col("other")).alias("first"))
     wanted = members.select("cls").distinct()
+    wanted = F.broadcast(wanted) if few(wanted, FEW_CLASSES) else wanted
     sets = keep(_sets(df, text_col, shingle).join(wanted, "cls", "left_semi").dropDuplicates(["cls"]), "sets")
     kinds = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("jaccard", pa.float64())])
 
@@ -152,6 +162,7 @@ def pairs(df: DataFrame, rows: DataFrame, keep: Callable[[DataFrame, str], DataF
         return pa.RecordBatch.from_arrays([pa.array([e[k] for e in ends], t.type) for k, t in enumerate(kinds)], schema=kinds)
 
     def work(batches):
+        release()
         held: list[pa.RecordBatch] = []
         for batch in batches:
             keys = batch.column(0).to_numpy()

@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import shutil
 import tempfile
 import uuid
@@ -69,3 +70,14 @@ def remove(spark: SparkSession, path: str) -> None:
 def few(df: DataFrame, rows: int) -> bool:
     """Has df at most so many rows? Asked before a side is broadcast."""
     return df.limit(rows + 1).count() <= rows
+
+
+def release() -> None:
+    """Give a worker's freed memory back to the system, where the C library can: workers live on from task to task."""
+    import pyarrow as pa
+
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):
+        return
