@@ -4,9 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import SparkSession
 
-from ..storage import few, materialise, remove, scratch, shared_folder, shared_path
+from ..storage import few, materialise, release, remove, scratch, shared_folder, shared_path
 
-__all__ = ["few", "materialise", "remove", "scratch", "shared_folder", "shared_path", "small", "width"]
+__all__ = ["few", "materialise", "release", "remove", "scratch", "shared_folder", "shared_path", "small", "width"]
 
 
 def width(spark: SparkSession, rows: int = 0, rows_per_task: int = 50_000) -> int:
@@ -15,7 +15,12 @@ def width(spark: SparkSession, rows: int = 0, rows_per_task: int = 50_000) -> in
 
 
 def small(batches, rows: int = 500):
-    """Arrow batches in parts of few rows, so that few texts are Python objects at a time."""
+    """Arrow batches in parts of few rows, so that few texts are Python objects at a time.
+
+    Workers live on from task to task, so what the last task and batch left is given back to the system.
+    """
+    release()
     for batch in batches:
         for k in range(0, batch.num_rows, rows):
             yield batch.slice(k, rows)
+        release()

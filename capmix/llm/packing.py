@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from .common import width
 
-CAPACITY, GROUP_ROWS = 4096, 16_384
+CAPACITY, GROUP_ROWS = 4096, 8192
 PLACED = "doc_id bigint, piece int, piece_start bigint, size bigint, bin_group int, bin int, bin_offset bigint"
 _PLACED = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("piece_start", pa.int64()), ("size", pa.int64()), ("bin_group", pa.int32()), ("bin", pa.int32()), ("bin_offset", pa.int64())])
 _SEARCH = 256

@@ -37,14 +37,14 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import few, materialise, small, width
+from .common import few, materialise, release, small, width
 from .words import spaced_bounds, spaced_words
 
 MIN_WORDS, ANCHOR_WORDS = 50, 8
 #: Words of a map chunk, in which copies are settled before anything is sent.
-CHUNK_WORDS = 1_000_000
+CHUNK_WORDS = 400_000
 #: Distinct surroundings of an anchor beyond which its windows are dealt one by one; suffixes compared at a time.
-HEAVY, ROWS = 20_000, 40_000
+HEAVY, ROWS = 20_000, 20_000
 #: The greatest number of bits of a Bloom filter, as a power of two; so many repeats of a span are broadcast at most.
 BLOOM_BITS, BROADCAST_ROWS = 28, 100_000
 _CACHE_WORDS = 150_000
@@ -328,7 +328,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
                 if held.size >= chunk_words:
                     yield held
                     held = _Chunk(min_words, anchor_words)
-                    pa.default_memory_pool().release_unused()
+                    release()
         if held.docs:
             yield held
 
@@ -426,6 +426,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
 
     def meet(batches):
         """Rows in order of their keys: whole keys are compared, single windows only with the first of their key."""
+        release()
         held, size = [], 0
         first_window = None
 
@@ -460,7 +461,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
                 continue
             keys = usual.column("key").to_numpy()
             cut = int(np.searchsorted(keys, keys[-1]))
-            if cut and size + cut >= ROWS // 4:
+            if cut and size + cut >= ROWS // 2:
                 yield flush([*held, usual.slice(0, cut)])
                 held, size, cut = [], 0, cut
                 held.append(usual.slice(cut))
@@ -477,6 +478,7 @@ def repeated_passages(df: DataFrame, min_words: int = MIN_WORDS, anchor_words: i
 
     def extend(batches):
         """Matches in order of their documents: those of a document are joined across anchors."""
+        release()
         held = None
         for batch in batches:
             if not batch.num_rows:
@@ -498,6 +500,7 @@ def redundant_spans(matches: DataFrame) -> DataFrame:
     """(doc_id, row_key, spans): the union of each document's matches, as disjoint ascending word spans."""
 
     def work(batches):
+        release()
         held = np.empty((0, 4), np.int64)
 
         def emit(m):
