@@ -131,7 +131,7 @@ def similar(sets: list[np.ndarray], side: np.ndarray | None, threshold: float, s
     return out
 
 
-def pairs(df: DataFrame, rows: DataFrame, keep: Callable[[DataFrame, str], DataFrame], text_col: str = "text", shingle: int = SHINGLE, threshold: float = THRESHOLD, spanning: bool = False, block_rows: int = BLOCK_ROWS, also: DataFrame | None = None) -> DataFrame:
+def pairs(df: DataFrame, rows: DataFrame, keep: Callable[[DataFrame, str], DataFrame], text_col: str = "text", shingle: int = SHINGLE, threshold: float = THRESHOLD, spanning: bool = False, block_rows: int = BLOCK_ROWS, *, also: DataFrame | None = None) -> DataFrame:
     """(a, b, jaccard): pairs of classes whose sets reach the threshold; `rows` are the sketches of df.
 
     With `spanning`, of each block only as many pairs as join what it links. `keep` holds a table that is read twice.
