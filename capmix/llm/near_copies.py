@@ -36,7 +36,7 @@ def close_fingerprints(rows: DataFrame, radius: int) -> DataFrame:
 def near_duplicates(df: DataFrame, shingle: int = 5, threshold: float = 0.8, id_col: str = "doc_id", text_col: str = "text", block_rows: int = near_copies.BLOCK_ROWS, radius: int = RADIUS) -> DataFrame:
     """(id, row_key, component_id, component_key) of every row: the first row, by id and text key, reachable over pairs."""
     rows = materialise(near_copies.sketches(df, id_col, text_col, shingle, mark=simhash.majority), "sketches")
-    links = near_copies.pairs(df, rows, materialise, text_col, shingle, threshold, True, block_rows, close_fingerprints(rows, radius))
+    links = near_copies.pairs(df, rows, materialise, text_col, shingle, threshold, True, block_rows, also=close_fingerprints(rows, radius))
     roots = materialise(components(links), "roots")
     first = F.min(F.struct(F.col("id").isNull().alias("none"), F.col("id").alias("id"), F.col("row_key").alias("row_key")))
     least = rows.groupBy("cls").agg(first.alias("least"))
