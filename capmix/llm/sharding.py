@@ -31,7 +31,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.window import Window
 
-from .common import width
+from .common import materialise, width
 
 ROUNDS = 4
 STEPS = 64
@@ -168,7 +168,8 @@ def shard(df: DataFrame, shards: int, key: str = "capmix", id_col: str = "doc_id
         (F.coalesce(F.octet_length(text_col), F.lit(0)) + 8).cast("bigint").alias("_size"),
         F.crc32(F.coalesce(F.col(text_col), F.lit("")).cast("binary")).cast("bigint").alias("_crc"),
     )
-    same = narrow.groupBy("_id", "_crc", "_size").agg(F.count("*").alias("_times"))
+    # kept as a narrow table: it is read for bounds, sizes and numbers, and texts are read once
+    same = materialise(narrow.groupBy("_id", "_crc", "_size").agg(F.count("*").alias("_times")), "rows")
     numbered, n = number_rows(same, ["_id", "_crc", "_size"], "_first", "_times", "_crc", range_rows)
     most = same.agg(F.max("_times")).first()[0] or 0
 
