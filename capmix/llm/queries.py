@@ -157,6 +157,34 @@ later AS (SELECT doc_id, k FROM windows QUALIFY row_number() OVER (PARTITION BY
 SELECT doc_id, count(DISTINCT p) AS n_redundant FROM (SELECT doc_id, unnest(range(k, k + 50)) AS p FROM later) GROUP BY doc_id
 """
 
+_DRAW = "('0x' || substr(md5('capmix:' || k || ':' || {0}), 1, 15))::BIGINT"
+
+_OP5 = f"""
+WITH RECURSIVE crc(t) AS (
+  SELECT list_transform(range(256), lambda c: list_reduce(list_prepend(c, range(8)), lambda x, k: CASE WHEN x % 2 = 1 THEN xor(x // 2, 3988292384) ELSE x // 2 END))
+),
+d AS (
+  SELECT doc_id, (strlen(coalesce(text, '')) + 8)::BIGINT AS size,
+    xor(4294967295, list_reduce(list_prepend(4294967295, list_transform(regexp_extract_all(hex(encode(coalesce(text, ''))), '..'), lambda h: ('0x' || h)::BIGINT)),
+      lambda x, byte: xor(x // 256, t[xor(x % 256, byte) + 1]))) AS text_crc32
+  FROM documents, crc
+),
+n AS (SELECT n, a, greatest(1, (n + a - 1) // a) AS b FROM (SELECT n, CASE WHEN n > 1 THEN floor(sqrt(n - 1))::BIGINT + 1 ELSE 1 END AS a FROM (SELECT count(*) AS n FROM d))),
+g AS (SELECT d.*, row_number() OVER (ORDER BY doc_id NULLS FIRST, text_crc32, size) - 1 AS g FROM d),
+walk AS (
+  SELECT g, g AS p, 0 AS k, g // b AS l, g % b AS r FROM g, n
+  UNION ALL
+  SELECT g, p, k, l, r FROM (
+    SELECT g, l * b + r AS p, CASE WHEN k = {sharding.ROUNDS} THEN 0 ELSE k + 1 END AS k, l * b + r < n AND k = {sharding.ROUNDS} AS done,
+      CASE WHEN k < {sharding.ROUNDS} AND k % 2 = 0 THEN (l + {_DRAW.format("r")} % a) % a ELSE l END AS l,
+      CASE WHEN k < {sharding.ROUNDS} AND k % 2 = 1 THEN (r + {_DRAW.format("l")} % b) % b ELSE r END AS r
+    FROM walk, n
+  ) WHERE NOT done
+),
+placed AS (SELECT g, l * b + r AS p FROM walk, n WHERE k = {sharding.ROUNDS} AND l * b + r < n)
+SELECT doc_id, size, text_crc32, 'rows' AS law, (p % {SHARDS})::INTEGER AS shard, p // {SHARDS} AS slot, NULL::INTEGER AS grown_shard FROM g JOIN placed USING (g)
+"""
+
 
 def oracle_sql() -> dict[str, str]:
-    return {"op1_chat_format": _OP1, "op4_decontaminate": _OP4, "repeat_coverage": _COVERAGE}
+    return {"op5_shard": _OP5, "op1_chat_format": _OP1, "op4_decontaminate": _OP4, "repeat_coverage": _COVERAGE}

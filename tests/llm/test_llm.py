@@ -218,6 +218,11 @@ def test_shard_edges(spark):
     assert sharding.shard(docs_of(spark, ["a"]).limit(0), 3).count() == 0
 
 
+def test_shard_sql(spark, duck):
+    got = queries.op5(spark, ORACLE).toPandas()
+    assert rows(got) == rows(duck.sql(queries.oracle_sql()["op5_shard"]).df())
+
+
 # Repeated passages
 
 
