@@ -144,6 +144,9 @@ def oracle_sql():
         masked = f"regexp_replace({masked}, '{pattern}', '{mask}', 'g')"
     title = r"regexp_extract(html, '(?is)<title>(.*?)</title>', 1)"
     sizes = f"SELECT doc_id AS pair_id, 64 + {q.salted('doc_id', 'width')} % 961 AS w, 64 + {q.salted('doc_id', 'height')} % 961 AS hh FROM documents"
+    parts = f"t AS (SELECT doc_id, {t13} AS t FROM documents WHERE doc_id IS NOT NULL), p AS (SELECT doc_id, t, unnest(range(1, greatest(len(t) - 4, 1) + 1)) AS k FROM t WHERE len(t) > 0)"
+    classes = f"{parts}, s AS (SELECT doc_id, list(DISTINCT array_to_string(t[k : k + 4], ' ')) AS s FROM p GROUP BY doc_id), m AS (SELECT doc_id, s, min(doc_id) OVER (PARTITION BY md5(array_to_string(list_sort(s), '|'))) AS rep FROM s)"
+    met = "g AS (SELECT rep, len(s) AS n, unnest(s) AS g FROM m WHERE doc_id = rep), met AS (SELECT x.rep AS a, y.rep AS b, count(*) / (x.n + y.n - count(*)) AS jaccard FROM g x JOIN g y ON x.g = y.g AND x.rep < y.rep GROUP BY x.rep, y.rep, x.n, y.n)"
     complexity = "CASE WHEN len(words) > 0 THEN len(list_distinct(words)) / len(words) + list_sum(list_transform(words, lambda x: length(x))) / len(words) + len(list_filter(words, lambda x: length(x) >= 7)) / 10.0 END"
     flags = f"flags AS (SELECT h.pair_id, raw_text AS words, len(raw_text) BETWEEN 5 AND 40 AND length(array_to_string(raw_text, ' ')) <= 400 AS length, h.pair_id IN (SELECT pair_id FROM (SELECT pair_id, unnest(raw_text) AS token FROM h) JOIN lex USING (token)) AS noun, coalesce({complexity.replace('words', 'raw_text')} >= 5.5, FALSE) AS complexity, greatest(w, hh) / least(w, hh) <= 3 AS aspect, least(w, hh) >= 200 AS min_size FROM h JOIN ({sizes}) z ON z.pair_id = h.pair_id)"
     rules = ["length", "noun", "complexity", "aspect", "min_size"]
@@ -161,6 +164,8 @@ def oracle_sql():
         "prep_sample": f"SELECT doc_id AS pair_id FROM documents ORDER BY {q.salted('doc_id', 'sample')}, doc_id LIMIT 100",
         "prep_mask": f"SELECT doc_id, md5({masked}) AS text_md5 FROM documents",
         "prep_titles": f"SELECT page_id, trim(regexp_replace(regexp_replace({_replace(title, tx.ENTITIES)}, '[^\\p{{L}}\\p{{N}} .,''-]+', ' ', 'g'), ' +', ' ', 'g')) AS title FROM pages",
+        "near_dups": f"WITH {classes}, {met} SELECT a, b, jaccard FROM met WHERE jaccard >= 0.8 UNION ALL SELECT rep, doc_id, 1.0::DOUBLE FROM m WHERE doc_id <> rep",
+        "near_dup_members": f"WITH {classes} SELECT doc_id, rep FROM m",
         "heur_length": f"{H} SELECT pair_id, len(raw_text) BETWEEN 5 AND 40 AND length(array_to_string(raw_text, ' ')) <= 400 AS kept FROM h",
         "heur_noun": f"{H}, {flags} SELECT pair_id, noun AS kept FROM flags",
         "heur_complexity": f"{H}, {flags} SELECT pair_id, complexity AS kept FROM flags",
