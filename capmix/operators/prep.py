@@ -58,8 +58,8 @@ def overlapping(docs: DataFrame, items: DataFrame, n: int = 13, most: int = 2_00
     grams = items.select(F.explode(tx.ngrams(tx.tokens("text"), n)).alias("gram")).distinct()
     hashes = grams.select(F.xxhash64("gram").alias("h")).distinct()
     hashes = F.broadcast(hashes) if few(hashes, most) else hashes
-    words = docs.select("doc_id", tx.tokens("text").alias("t")).filter(F.size("t") >= n)
-    held = words.select("doc_id", F.explode(F.transform(tx.ngrams("t", n), lambda g: F.xxhash64(g))).alias("h"))
+    # no filter on the number of tokens: it would cut the texts a second time, and short ones have no grams anyway
+    held = docs.select("doc_id", F.explode(F.transform(tx.ngrams(tx.tokens("text"), n), lambda g: F.xxhash64(g))).alias("h"))
     likely = held.join(hashes, "h", "left_semi").select("doc_id").distinct()
     exact = docs.join(likely, "doc_id", "left_semi").select("doc_id", F.explode(tx.ngrams(tx.tokens("text"), n)).alias("gram"))
     return exact.join(grams, "gram", "left_semi").select("doc_id").distinct()

@@ -11,7 +11,7 @@ from ..operators import alignment, captioners, diversity, evaluate, gate, models
 from ..operators import reference_metrics as rm
 from ..operators.encoders import HashedEncoder
 from ..sources import fixtures as fx
-from ..sources.tables import load
+from ..sources.tables import load, spread
 from . import ctes as q
 from . import pool_queries as pq
 
@@ -20,10 +20,7 @@ TEMPERATURES = (0.5, 0.75, 1.0, 1.5)
 
 def pool(spark, d) -> DataFrame:
     """H, kept while a query reads it several times; a small single file is spread over the cores first."""
-    docs, cores = load(spark, d, "documents"), spark.sparkContext.defaultParallelism
-    if docs.rdd.getNumPartitions() < cores:
-        docs = docs.select("doc_id", "text").repartition(cores, "doc_id")
-    return captioners.hashed_pool(docs).cache()
+    return captioners.hashed_pool(spread(load(spark, d, "documents").select("doc_id", "text"), "doc_id")).cache()
 
 
 def long(spark, d) -> DataFrame:

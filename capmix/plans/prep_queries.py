@@ -7,7 +7,7 @@ from pyspark.sql import functions as F
 from ..functions import text as tx
 from ..operators import captioners, diversity, gate, heuristics, prep
 from ..sources import fixtures as fx
-from ..sources.tables import load
+from ..sources.tables import load, spread
 from . import ctes as q
 
 
@@ -24,7 +24,7 @@ def prep_dedup(spark, d):
 
 
 def prep_decontam(spark, d):
-    return prep.decontaminate(_docs(spark, d), load(spark, d, "benchmark")).select("doc_id")
+    return prep.decontaminate(spread(_docs(spark, d).select("doc_id", "text"), "doc_id"), load(spark, d, "benchmark")).select("doc_id")
 
 
 def prep_decontam_vec(spark, d):

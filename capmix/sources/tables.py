@@ -25,6 +25,12 @@ def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:
     return found
 
 
+def spread(df: DataFrame, key: str) -> DataFrame:
+    """A table of fewer parts than cores, dealt to all of them by `key`; any larger one stays as it is, without a shuffle."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(cores, key) if df.rdd.getNumPartitions() < cores else df
+
+
 def write_shards(df: DataFrame, path: str, shards: int, key: str = "pair_id", partition_by: str | None = None, max_records: int = 1_000_000) -> DataFrame:
     """Write df as Parquet shards by the hash of `key`, and a manifest; gives the manifest.
 
