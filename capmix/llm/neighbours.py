@@ -1,16 +1,19 @@
 """Approximate nearest neighbours by inner product: inverted file, product-quantised residuals,
-asymmetric distance tables, exact reranking.
+asymmetric distance tables, exact reranking; bounds say which lists and entries can't be among the nearest.
 
 Index: coarse centroids and the sub-space codebooks are fitted on at most `sample_rows` vectors (least
 hash of their components); every row is indexed. Rows with equal vectors are one entry that names
 its `top + 1` smallest ids: no further one can be among anybody's nearest, since ties go to smaller ids.
 
-Search: a query scores all centroids and visits the lists that score best, as many as hold `recall` of the nearest
-neighbours within the sample (measured when fitting: few where vectors cluster, most where they are spread evenly). Lists
-are cut into, or share, blocks of about `block_rows` entries. An entry is shuffled once, to its block; a query goes
-to the blocks of its lists and streams past the block, which alone is held. Lookup tables of a batch of queries' inner
-products with all codewords rank a block's entries (asymmetric: queries aren't quantised); the best `shortlist` are scored
-exactly on the original vectors in double precision, and the block's `top` best are sent on.
+Search: a query's `top`-th best score within the sample is its floor. It visits each list whose bound (the centroid's
+score, and the query's length times the list's radius over all rows) reaches that: few where vectors cluster, most where they
+are spread evenly. Lists are cut into, or share, blocks of about `block_rows` entries. An entry is shuffled once, to its
+block; a query goes to the blocks of its lists and streams past the block, which alone is held. Lookup tables of a batch of
+queries' inner products with all codewords rank a block's entries (asymmetric: queries aren't quantised); the best `shortlist`
+are scored exactly on the original vectors in double precision and raise the floor. Of the other entries those are scored
+too whose code's score, and the query's length times the length of what the code leaves out, reach the floor. The block's
+`top` best at or above the floor are sent on. So the result is exact on any rows. With `recall` under 1 it is approximate: a query visits as
+many lists as hold that part of the nearest neighbours within the sample, and scores shortlists alone.
 
 Scores are sums in component order, so equal vectors have equal scores and ties go to smaller ids.
 
@@ -34,6 +37,8 @@ from pyspark.sql.window import Window
 from .common import materialise, width
 
 SAMPLE_ROWS, BLOCK_ROWS, QUERY_ROWS = 8_192, 4_096, 128
+#: Rounding of a product in any order of summation, as a part of both lengths, is less.
+SLACK = 1e-11
 FOUND = "query_id bigint, vec_id bigint, score double"
 
 
@@ -45,6 +50,10 @@ def exact_scores(queries: np.ndarray, vectors: np.ndarray) -> np.ndarray:
     return total
 
 
+def lengths(x: np.ndarray) -> np.ndarray:
+    return np.sqrt((x**2).sum(axis=-1))
+
+
 def k_means(x: np.ndarray, k: int, rounds: int, seed: int) -> np.ndarray:
     """Lloyd's centroids; an empty cluster keeps its old centre."""
     rng = np.random.default_rng(seed)
@@ -64,7 +73,8 @@ class Index:
 
     centroids: np.ndarray  # lists x dimensions
     codebooks: np.ndarray  # parts x words x part dimensions
-    probes: int
+    probes: int | None  # None: as many as the bounds ask for
+    sample: np.ndarray  # distinct vectors, rows x dimensions
 
     def assign(self, x: np.ndarray) -> np.ndarray:
         return (x @ self.centroids.T - 0.5 * (self.centroids**2).sum(axis=1)).argmax(axis=1)
@@ -79,6 +89,19 @@ class Index:
             out[:, p] = (rest[:, p * d : (p + 1) * d] @ book.T - 0.5 * (book**2).sum(axis=1)).argmax(axis=1)
         return out
 
+    def left_out(self, x: np.ndarray, lists: np.ndarray, codes: np.ndarray) -> np.ndarray:
+        """Lengths of what lists and codes leave out of x."""
+        parts, words, d = self.codebooks.shape
+        known = self.codebooks[np.arange(parts), codes].reshape(len(x), parts * d)[:, : x.shape[1]]
+        return lengths(x - self.centroids[lists] - known)
+
+    def floors(self, queries: np.ndarray, top: int) -> np.ndarray:
+        """For each query a score that its `top` nearest reach: top + 1 of the sample do, one of which may be its own."""
+        if len(self.sample) <= top:
+            return np.full(len(queries), -np.inf)
+        scores = queries @ self.sample.T
+        return np.partition(scores, -top - 1, axis=1)[:, -top - 1] - SLACK * lengths(queries) * lengths(self.sample).max()
+
     def tables(self, queries: np.ndarray) -> np.ndarray:
         """Asymmetric tables: queries x parts x words inner products."""
         parts, _, d = self.codebooks.shape
@@ -122,7 +145,7 @@ def fit(vectors: DataFrame, lists: int | None, recall: float, parts: int, sample
     x = np.array([v for v in got if len(v) == dim], float)
     lists = lists or max(1, min(4096, int(np.sqrt(n) / 4)))
     centroids = k_means(x, lists, rounds, seed)
-    index = Index(centroids, np.zeros((0, 0, 0)), probes_for(x, centroids, recall, top) if recall < 1 else len(centroids))
+    index = Index(centroids, np.zeros((0, 0, 0)), probes_for(x, centroids, recall, top) if recall < 1 else None, x)
     d = -(-dim // parts)
     rest = np.zeros((len(x), parts * d))
     rest[:, :dim] = x - centroids[index.assign(x)]
@@ -149,25 +172,54 @@ def shelve(sizes: dict[int, int], block_rows: int) -> tuple[dict[int, int], dict
     return first, parts
 
 
-def nearest_in_block(x: np.ndarray, codes: np.ndarray, lists: np.ndarray, index: Index, q: np.ndarray, wanted: np.ndarray, top: int, shortlist: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+@dataclass
+class Block:
+    """Entries of a block: vectors, codes, lists, lengths of what the codes leave out, lengths."""
+
+    x: np.ndarray
+    codes: np.ndarray
+    lists: np.ndarray
+    rest: np.ndarray
+    size: np.ndarray
+
+
+def nearest_in_block(block: Block, index: Index, q: np.ndarray, wanted: np.ndarray, floor: np.ndarray, top: int, shortlist: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """(row of q, entry, exact score): the best of a block for each row of q; wanted: queries x lists, those it visits.
 
-    top + 1 entries (a query's own may be one), and all that tie with the last of them.
+    top + 1 entries (a query's own may be one), and all that tie with the last of them, none under the query's floor.
     """
-    tables = index.tables(q).astype(np.float32)
-    near = np.where(wanted, q @ index.centroids.T, -np.inf).astype(np.float32)[:, lists]
-    for p in range(codes.shape[1]):
-        near += tables[:, p].take(codes[:, p], axis=1)
+    x, exact = block.x, index.probes is None
+    tables = index.tables(q)
+    near = np.where(wanted, q @ index.centroids.T, -np.inf)[:, block.lists]
+    for p in range(block.codes.shape[1]):
+        near += tables[:, p].take(block.codes[:, p], axis=1)
     take = min(shortlist, len(x))
     short = np.argpartition(-near, take - 1, axis=1)[:, :take]
     score = exact_scores(q[:, None, :], x[short])
-    score[~np.isfinite(np.take_along_axis(near, short, axis=1))] = -np.inf
-    least = -np.partition(-score, top, axis=1)[:, top] if take > top + 1 else np.full(len(q), -np.inf)
+    seen = np.isfinite(np.take_along_axis(near, short, axis=1))
+    score[~seen] = -np.inf
+    least = np.maximum(floor, -np.partition(-score, top, axis=1)[:, top]) if take > top + 1 else floor
     row, at = np.nonzero((score >= least[:, None]) & (score > -np.inf))
-    return row, short[row, at], score[row, at]
-
-
-def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, recall: float = 0.97, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
+    which, found = short[row, at], score[row, at]
+    if exact and take < len(x):
+        long = lengths(q)
+        np.put_along_axis(near, short, -np.inf, axis=1)
+        near += long[:, None] * (block.rest + SLACK * block.size)
+        open_ = (near >= least[:, None]) & (near > -np.inf)
+        more = np.flatnonzero(open_.any(axis=0))
+        about = q @ x[more].T
+        row2, at2 = np.nonzero(open_[:, more] & (about >= least[:, None] - SLACK * long[:, None] * block.size[more]))
+        found2 = np.concatenate([np.zeros(0), *(exact_scores(q[row2[k : k + 65_536]], x[more[at2[k : k + 65_536]]]) for k in range(0, len(row2), 65_536))])
+        row, which, found = np.concatenate([row, row2]), np.concatenate([which, more[at2]]), np.concatenate([found, found2])
+    order = np.lexsort((-found, row))
+    row, which, found = row[order], which[order], found[order]
+    begin = np.searchsorted(row, np.arange(len(q) + 1))
+    last = np.array([found[a + top] if b - a > top else -np.inf for a, b in zip(begin[:-1], begin[1:], strict=True)])
+    kept = found >= np.maximum(last, floor)[row]
+    return row[kept], which[kept], found[kept]
+
+
+def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None = None, recall: float = 1.0, parts: int = 16, shortlist: int = 96, sample_rows: int = SAMPLE_ROWS, id_col: str = "vec_id", vector_col: str = "embedding", block_rows: int = BLOCK_ROWS) -> DataFrame:
     """(query_id, rank, vec_id, score): the nearest found of each row of `queries` among all rows of df.
 
     A query's own id is no candidate.
@@ -192,11 +244,20 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
     def assigned(batches):
         for batch in batches:
             if batch.num_rows:
-                yield pa.RecordBatch.from_arrays([pa.array(index.assign(matrix(batch.column(0)).astype(float)).astype(np.int32))], ["list"])
-
-    sizes = {r["list"]: r["count"] for r in entries.select("v").mapInArrow(assigned, "list int").groupBy("list").count().collect()}  # a row for each list
+                x = matrix(batch.column(0)).astype(float)
+                where = index.assign(x)
+                yield pa.RecordBatch.from_arrays([pa.array(where.astype(np.int32)), pa.array(lengths(x - index.centroids[where]))], ["list", "far"])
+
+    found = entries.select("v").mapInArrow(assigned, "list int, far double").groupBy("list").agg(F.count("*").alias("n"), F.max("far").alias("far")).collect()  # a row for each list
+    sizes = {r["list"]: r["n"] for r in found}
+    radius = np.full(len(index.centroids), -np.inf)
+    for r in found:
+        radius[r["list"]] = r["far"]
+    reach = radius + SLACK * (lengths(index.centroids) + np.maximum(radius, 0))
     first_block, parts_of = shelve(sizes, block_rows)
-    sent = "block int, query_id bigint, ids array<bigint>, v " + element + ", lists array<int>, code binary"
+    sent = "block int, query_id bigint, ids array<bigint>, v " + element + ", lists array<int>, code binary, floor double"
+
+    names = ["block", "query_id", "ids", "v", "lists", "code", "floor"]
 
     def put(batches):
         """Entries to their blocks, with their list and code."""
@@ -205,18 +266,28 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
                 continue
             x = matrix(batch.column(0)).astype(float)
             where = index.assign(x)
+            for k in np.flatnonzero(lengths(x - index.centroids[where]) > radius[where]):  # as near to another list, by rounding
+                gap = lengths(x[k] - index.centroids)
+                where[k] = np.where(gap <= radius, gap, np.inf).argmin()
             codes = index.encode(x, where)
             blocks = [first_block[c] + (k % parts_of[c]) for c, k in zip(where.tolist(), batch.column(2).to_pylist(), strict=True)]
-            yield pa.RecordBatch.from_arrays([pa.array(blocks, pa.int32()), pa.nulls(len(x), pa.int64()), batch.column(1), batch.column(0), pa.array(where[:, None].tolist(), pa.list_(pa.int32())), pa.array([c.tobytes() for c in codes], pa.binary())], ["block", "query_id", "ids", "v", "lists", "code"])
+            yield pa.RecordBatch.from_arrays([pa.array(blocks, pa.int32()), pa.nulls(len(x), pa.int64()), batch.column(1), batch.column(0), pa.array(where[:, None].tolist(), pa.list_(pa.int32())), pa.array([c.tobytes() for c in codes], pa.binary()), pa.nulls(len(x), pa.float64())], names)
 
     def probe(batches):
         """For each query a row for each block that holds lists which it visits."""
         for batch in batches:
             for k in range(0, batch.num_rows, 1024):
                 part = batch.slice(k, 1024)
-                best = np.argsort(-(matrix(part.column(1)) @ index.centroids.T), axis=1, kind="stable")[:, : index.probes]
+                q = matrix(part.column(1)).astype(float)
+                scores = q @ index.centroids.T
+                if index.probes is None:
+                    floor = index.floors(q, top)
+                    best = [np.flatnonzero(b).tolist() for b in scores + lengths(q)[:, None] * reach >= floor[:, None]]
+                else:
+                    floor = np.full(len(q), -np.inf)
+                    best = np.argsort(-scores, axis=1, kind="stable")[:, : index.probes].tolist()
                 at, to, visits = [], [], []
-                for row, lists_ in enumerate(best.tolist()):
+                for row, lists_ in enumerate(best):
                     wanted: dict[int, list[int]] = {}
                     for c in lists_:
                         for b in range(parts_of.get(c, 0)):
@@ -225,7 +296,7 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
                     to += wanted.keys()
                     visits += wanted.values()
                 pick = pa.array(at, pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), part.column(0).take(pick), pa.nulls(len(at), pa.list_(pa.int64())), part.column(1).take(pick), pa.array(visits, pa.list_(pa.int32())), pa.nulls(len(at), pa.binary())], ["block", "query_id", "ids", "v", "lists", "code"])
+                yield pa.RecordBatch.from_arrays([pa.array(to, pa.int32()), part.column(0).take(pick), pa.nulls(len(at), pa.list_(pa.int64())), part.column(1).take(pick), pa.array(visits, pa.list_(pa.int32())), pa.nulls(len(at), pa.binary()), pa.array(floor).take(pick)], names)
 
     placed = entries.select("v", "ids", F.pmod(F.xxhash64("v"), F.lit(1 << 30)).alias("k")).mapInArrow(put, sent)
     visiting = asked.select("vec_id", "v").repartition(width(spark)).mapInArrow(probe, sent)
@@ -241,7 +312,8 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
             n = np.array([len(i) for i in ids])
             x = np.concatenate([matrix(c) for c in t.column("v").chunks]).astype(float)
             codes = np.frombuffer(b"".join(t.column("code").to_pylist()), np.uint8).reshape(t.num_rows, -1)
-            return x, codes, np.array([c[0] for c in t.column("lists").to_pylist()]), np.array([v for i in ids for v in i], np.int64), np.cumsum(n) - n, n
+            own = np.array([c[0] for c in t.column("lists").to_pylist()])
+            return Block(x, codes, own, index.left_out(x, own, codes), lengths(x)), np.array([v for i in ids for v in i], np.int64), np.cumsum(n) - n, n
 
         for batch in batches:
             blocks = batch.column(0).to_numpy()
@@ -257,13 +329,13 @@ def search(df: DataFrame, queries: DataFrame, top: int = 20, lists: int | None =
                 if not part.num_rows or not held:
                     continue
                 ready = ready or load(held)
-                x, codes, own_lists, flat, begin, n_ids = ready
+                entries_, flat, begin, n_ids = ready
                 for k in range(0, part.num_rows, QUERY_ROWS):
                     group = part.slice(k, QUERY_ROWS)
                     visits = np.zeros((group.num_rows, len(index.centroids)), bool)
                     for row, lists_ in enumerate(group.column("lists").to_pylist()):
                         visits[row, lists_] = True
-                    rows_, which, score = nearest_in_block(x, codes, own_lists, index, matrix(group.column("v")).astype(float), visits, top, shortlist)
+                    rows_, which, score = nearest_in_block(entries_, index, matrix(group.column("v")).astype(float), visits, group.column("floor").to_numpy(), top, shortlist)
                     many = n_ids[which]
                     ids = flat[np.repeat(begin[which] - (np.cumsum(many) - many), many) + np.arange(many.sum())]
                     q_ids = np.repeat(group.column("query_id").to_numpy()[rows_], many)

@@ -102,6 +102,20 @@ def test_neighbour_edges(spark):
     assert few.count() == 2
 
 
+def test_neighbours_are_exact_on_uneven_vectors(spark):
+    """Tight groups that codes can't tell apart, lengths of many magnitudes, lists of less than 20 rows."""
+    rng = np.random.default_rng(5)
+    tight = rng.normal(size=(3, 16))[rng.integers(0, 3, 1500)] + 1e-3 * rng.normal(size=(1500, 16))
+    uneven = rng.normal(size=(1500, 16)) * np.exp(2 * rng.normal(size=(1500, 1)))
+    x = np.concatenate([tight, uneven]).astype(np.float32).astype(float)
+    df = spark.createDataFrame([(k, v) for k, v in enumerate(x.tolist())], "vec_id bigint, embedding array<float>")
+    for sample_rows in (8, 400, 8192):
+        got = neighbours.search(df, df.filter("vec_id % 20 = 0"), 20, lists=40, sample_rows=sample_rows, block_rows=700).toPandas()
+        found = {q: g.sort_values("rank") for q, g in got.groupby("query_id")}
+        want = brute_neighbours(np.arange(len(x)), x)
+        assert {q: list(zip(g.vec_id, g.score, strict=True)) for q, g in found.items()} == want
+
+
 # Token files
 
 WORD_BPE = queries.tokenizer_path("word_bpe_49k.json")
