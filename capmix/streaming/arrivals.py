@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..operators.rank import Cut
-from ..storage import shared_path
+from ..storage import remove, shared_path
 
 SCHEMA = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -86,14 +86,30 @@ def cut_from_histogram(counts: dict[int, int], x: float, bins: int = 64) -> floa
 
 
 def run_to_table(stream: DataFrame, name: str, mode: str = "append") -> DataFrame:
-    """Run a stream over all that there is now and give what it wrote (in 'update' mode: all versions)."""
+    """Run a stream over all that there is now and give what it wrote (in 'update' mode: all versions).
+
+    Executors write each batch to the shared folder, so that the driver holds no rows; a repeated batch overwrites itself. In
+    'complete' mode every batch is the whole result, and the last one is kept.
+    """
     spark = stream.sparkSession
-    at = shared_path(spark, f"stream-{name}")
-    query = stream.writeStream.format("memory").queryName(f"{name}_{uuid.uuid4().hex}").outputMode(mode).option("checkpointLocation", at).trigger(availableNow=True).start()
+    at, to = shared_path(spark, f"stream-{name}"), shared_path(spark, f"stream-{name}-rows")
+    written: list[str] = []
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        path = f"{to}/batch={batch_id}"
+        batch.write.mode("overwrite").parquet(path)
+        if mode == "complete":
+            for old in set(written) - {path}:
+                remove(spark, old)
+            written.clear()
+        if path not in written:
+            written.append(path)
+
+    query = stream.writeStream.foreachBatch(write).queryName(f"{name}_{uuid.uuid4().hex}").outputMode(mode).option("checkpointLocation", at).trigger(availableNow=True).start()
     query.awaitTermination()
     if query.exception():
         raise RuntimeError(str(query.exception()))
-    return spark.table(query.name)
+    return spark.read.schema(stream.schema).parquet(*written) if written else spark.createDataFrame([], stream.schema)
 
 
 def shard_sink(stream: DataFrame, path: str, checkpoint: str, transform: Callable[[DataFrame], DataFrame] = lambda d: d) -> None:

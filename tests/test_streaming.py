@@ -35,3 +35,15 @@ def test_cut_from_histogram():
     counts = {10: 50, 40: 30, 60: 20}
     assert st.cut_from_histogram(counts, 20) == 60 * 2 / 64 - 1
     assert st.cut_from_histogram(counts, 21) == 40 * 2 / 64 - 1
+
+
+def test_rows_of_a_stream_stay_off_the_driver(spark, tmp_path):
+    write_events(spark, tmp_path, [[(k, f"2024-01-0{b + 1} 00:00:00", k % 3, "view", 1.0) for k in range(20 * b, 20 * b + 20)] for b in range(3)])
+
+    def stream():
+        return st.event_stream(spark, f"{tmp_path}/b*", files_per_batch=1)
+
+    for got, want in ((st.run_to_table(stream().select("event_id"), "all"), 60), (st.run_to_table(st.sessions(stream()), "last", "complete"), 9)):
+        assert got.count() == want and got.inputFiles()  # written by executors: a table in memory has no files
+    nothing = st.run_to_table(stream().filter("event_id < 0").select("event_id"), "none")
+    assert nothing.columns == ["event_id"] and nothing.count() == 0
