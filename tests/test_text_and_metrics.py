@@ -11,7 +11,7 @@ from capmix.functions import vectors as vx
 from capmix.operators import captioners, diversity, heuristics, prep
 from capmix.operators import reference_metrics as rm
 from capmix.sources.tables import load, write_shards
-from tests.conftest import SMOKE
+from tests.conftest import ORACLE, SMOKE
 
 
 def one(spark, expr, value, kind="string"):
@@ -167,3 +167,11 @@ def test_shards_and_manifest(spark, tmp_path):
     manifest = write_shards(sel, str(tmp_path), 4, partition_by="origin")
     assert sum(r["n_rows"] for r in manifest.collect()) == 100
     assert spark.read.parquet(f"{tmp_path}/data").count() == 100
+
+
+@pytest.mark.parametrize("name", ["gain_vs_base", "metric_agreement"])
+def test_comparisons_are_over_given_tables(spark, name):
+    from capmix.plans import catalogue
+
+    small, large = (sorted(map(tuple, catalogue.queries()[name](spark, d).collect()), key=str) for d in (SMOKE, ORACLE))
+    assert len(small) == len(large) > 1 and small != large
