@@ -22,6 +22,8 @@ from ..storage import materialise
 
 WIDTH = 64
 START, END = "<s>", "</s>"
+#: Contexts that are broadcast, with at most top_k successors each; and words that are, to find their contexts.
+CORE, FEW_WORDS = 8_192, 100_000
 
 
 @dataclass(frozen=True)
@@ -112,16 +114,18 @@ def top_successors(table: DataFrame, k: int) -> DataFrame:
 class NgramSampler:
     """Draws captions from the whole bigram table: the top_k successors of every context.
 
-    The model is a table of one row for each context and grows with the corpus; captions are drawn word by word,
-    each step joining the current words with it. Only the successors of the sentence start reach the driver.
+    The model is a table of one row for each context and grows with the corpus. Only its `core`, the commonest contexts, of a
+    bounded number, is broadcast: a caption is drawn on while its words are in there, and joined with the table for any other.
     """
 
-    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig()):
+    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig(), core: int = CORE):
         kept = top_successors(table, cfg.top_k).groupBy("w1").agg(F.array_sort(F.collect_list(F.struct("rank", "w2", F.col("n").cast("double").alias("n")))).alias("s"))
         self.cfg, self.all = cfg, None
         self.model = kept.select("w1", F.col("s.w2").alias("words"), F.col("s.n").alias("counts")).cache()  # at most top_k entries a row
         first = self.model.filter(F.col("w1") == START).first()
         self.start = self._weighted(first["words"], first["counts"]) if first else ([], np.zeros(0))
+        weight = F.aggregate("counts", F.lit(0.0), lambda a, n: a + n)
+        self.core = self.model.filter(F.col("w1") != START).orderBy(weight.desc(), "w1").limit(core).toArrow()  # at most core rows
 
     def _weighted(self, words, counts) -> tuple[list[str], np.ndarray]:
         return list(words), np.array(counts, float) ** (1 / self.cfg.temperature)
@@ -168,29 +172,49 @@ class NgramSampler:
         plain = (self.start[0], self.start[1] ** cfg.temperature)  # the counts themselves
         starts = {t: (plain[0], plain[1] ** (1 / t)) for t in heats}
 
-        def step(at: int):
-            def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-                for batch in batches:
-                    keys, heat, so_far, words, counts = (c.to_pylist() for c in batch.columns)
-                    drawn = [draw(cfg, starts[t], k, at, starts[t] if w is None else (w, np.array(c, float) ** (1 / t))) for k, t, w, c in zip(keys, heat, words, counts, strict=True)]
-                    drawn = [None if w == END else w for w in drawn]
-                    texts = [t if w is None else f"{t} {w}" if t else w for t, w in zip(so_far, drawn, strict=True)]
-                    yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array(drawn, pa.string())], ["pair_id", "temperature", "text", "word"])
-
-            return work
-
-        schema, none = "pair_id bigint, temperature double, text string, word string", F.lit(None).cast("array<string>")
-        given = pairs.select(F.col("pair_id").cast("bigint"), F.explode(F.array(*map(F.lit, heats))).alias("temperature"), F.lit("").alias("text"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
-        parts = []
-        for at in range(cfg.max_len):
-            if at:
-                going = state.filter("word IS NOT NULL")
-                if not going.limit(1).count():
-                    break
-                given = going.join(self.model.withColumnRenamed("w1", "word"), "word", "left").select("pair_id", "temperature", "text", "words", "counts")
-            state = materialise(given.mapInArrow(step(at), schema), "captions")
+        sent = pairs.sparkSession.sparkContext.broadcast(self.core)
+
+        def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            core = {w: (s, n) for w, s, n in zip(*(c.to_pylist() for c in sent.value.columns), strict=True)}
+            hot: dict[tuple, tuple] = {}
+            for batch in batches:
+                texts, last, sizes = [], [], []
+                for key, t, text, at, words, counts in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                    own = starts[t] if words is None else (words, np.array(counts, float) ** (1 / t))
+                    made = [text] if text else []
+                    while True:
+                        word = draw(cfg, starts[t], key, at, own)
+                        word = None if word == END else word
+                        if word is None:
+                            break
+                        made.append(word)
+                        at += 1
+                        if at >= cfg.max_len:
+                            word = None
+                            break
+                        own = hot.get((word, t))
+                        if own is None:
+                            if word not in core:
+                                break
+                            own = hot[word, t] = (core[word][0], np.array(core[word][1], float) ** (1 / t))
+                    texts.append(" ".join(made))
+                    last.append(word)
+                    sizes.append(at)
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array(last, pa.string()), pa.array(sizes, pa.int32())], ["pair_id", "temperature", "text", "word", "size"])
+
+        schema, none = "pair_id bigint, temperature double, text string, word string, size int", F.lit(None).cast("array<string>")
+        given = pairs.select(F.col("pair_id").cast("bigint"), F.explode(F.array(*map(F.lit, heats))).alias("temperature"), F.lit("").alias("text"), F.lit(0).alias("size"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
+        parts, model = [], self.model.withColumnRenamed("w1", "word")
+        for _ in range(max(cfg.max_len, 1)):
+            state = materialise(given.mapInArrow(work, schema), "captions")
             parts.append(state.filter("word IS NULL").select("pair_id", "temperature", "text"))
-        parts.append(state.filter("word IS NOT NULL").select("pair_id", "temperature", "text"))
+            going = state.filter("word IS NOT NULL")
+            asked = going.select("word").distinct()
+            n = asked.limit(FEW_WORDS + 1).count()
+            if not n:
+                break
+            needed = model.join(F.broadcast(asked), "word") if n <= FEW_WORDS else model
+            given = going.join(needed, "word", "left").select("pair_id", "temperature", "text", "size", "words", "counts")
         every = parts[0]
         for part in parts[1:]:
             every = every.union(part)

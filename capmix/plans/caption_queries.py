@@ -12,6 +12,7 @@ from ..operators import reference_metrics as rm
 from ..operators.encoders import HashedEncoder
 from ..sources import fixtures as fx
 from ..sources.tables import load, spread
+from ..storage import materialise
 from . import ctes as q
 from . import pool_queries as pq
 
@@ -214,10 +215,10 @@ def rouge(spark, d):
     return both.groupBy("origin").agg(F.avg(rm.rouge_l("words", "ref")).alias("rouge_l"))
 
 
-def _sampled(spark, d, temperatures: tuple[float, ...], tuned: bool = False) -> DataFrame:
+def _sampled(spark, d, temperatures: tuple[float, ...], tuned: bool = False, table: DataFrame | None = None) -> DataFrame:
     """(pair_id, temperature, words) for the whole pool, all temperatures drawn in the same rounds."""
     docs = load(spark, d, "documents")
-    table = captioners.bigrams(docs)
+    table = captioners.bigrams(docs) if table is None else table
     table = captioners.mixed_bigrams(table, captioners.bigrams(load(spark, d, "benchmark"))) if tuned else table
     made = captioners.NgramSampler(table).generate(docs.select(F.col("doc_id").alias("pair_id")), "sampler", temperatures)
     return made.select("pair_id", "temperature", F.split("text", " ").alias("words"))
@@ -229,9 +230,10 @@ CONFIGS = ["extractive", "sampler_075", "sampler_075_ft", "sampler_150", "sample
 def _configs(spark, d, h: DataFrame) -> DataFrame:
     """(pair_id, origin, words) of five captioner configurations."""
     every = h.filter("gen_text IS NOT NULL").select("pair_id", F.lit("extractive").alias("origin"), F.col("gen_text").alias("words"))
+    table = materialise(captioners.bigrams(load(spark, d, "documents")), "bigrams")  # counted once for both
     for tuned in (False, True):
         name = F.concat(F.when(F.col("temperature") == 0.75, "sampler_075").otherwise("sampler_150"), F.lit("_ft" if tuned else ""))
-        every = every.union(_sampled(spark, d, (0.75, 1.5), tuned).select("pair_id", name, "words"))
+        every = every.union(_sampled(spark, d, (0.75, 1.5), tuned, table).select("pair_id", name, "words"))
     return every
 
 

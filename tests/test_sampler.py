@@ -1,6 +1,7 @@
 """The sampler against the whole bigram table: more contexts than any cap, joined step by step."""
 
 from capmix.operators import captioners
+from tests.conftest import SMOKE
 
 
 def test_every_context_is_in_the_model(spark):
@@ -19,3 +20,14 @@ def test_joined_steps_equal_the_plain_form(spark):
     sampler = captioners.NgramSampler(captioners.bigrams(docs), captioners.GenConfig(temperature=1.5))
     got = {r["pair_id"]: r["text"] for r in sampler.generate(spark.range(60).withColumnRenamed("id", "pair_id")).collect()}
     assert got == {k: " ".join(sampler.caption(k)) for k in range(60)}
+
+
+def test_captions_do_not_depend_on_the_core(spark):
+    """Words of the broadcast contexts and joined ones are drawn alike; no round for each word where all are in the core."""
+    docs = spark.read.parquet(f"{SMOKE}/documents.parquet").limit(40)
+    pairs, table, made = spark.range(50).withColumnRenamed("id", "pair_id"), captioners.bigrams(docs).cache(), []
+    for core in (0, 20, captioners.CORE):
+        got = captioners.NgramSampler(table, core=core).generate(pairs, temperatures=(0.5, 1.5))
+        made.append((sorted(map(tuple, got.collect())), len({f.rsplit("/", 1)[0] for f in got.inputFiles()})))
+    assert made[0][0] == made[1][0] == made[2][0] and len(made[0][0]) == 100
+    assert made[2][1] == 1 < made[1][1]
