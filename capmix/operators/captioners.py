@@ -5,7 +5,9 @@ They stand in for neural captioners behind one interface; `ExternalCaptioner` ta
 
 from __future__ import annotations
 
+import functools
 import hashlib
+import itertools
 import re
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
@@ -18,12 +20,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.window import Window
 
 from ..functions import text as tx
-from ..storage import materialise
+from ..storage import materialise, release
 
 WIDTH = 64
 START, END = "<s>", "</s>"
-#: Contexts that are broadcast, with at most top_k successors each; and words that are, to find their contexts.
-CORE, FEW_WORDS = 8_192, 100_000
+#: Contexts that are broadcast, with at most top_k successors each.
+CORE = 65_536
+#: Tokens of which a task counts bigrams at once, and rows that it gives at once.
+COUNTED, GIVEN = 3_000_000, 100_000
 
 
 @dataclass(frozen=True)
@@ -37,20 +41,33 @@ class GenConfig:
 
 # A token is a run of Unicode letters: word characters but digits and the underscore.
 _TOKEN = re.compile(r"[^\W\d_]+")
-_BUCKETS: dict[str, int] = {}
+#: Tokens and the marks that end a sentence.
+_PARTS = re.compile(r"[^\W\d_]+|[.\n]")
+
+
+class _Buckets(dict):
+    """The hashed dimension of each token; marks have one more."""
+
+    def __missing__(self, token: str) -> int:
+        if len(self) > 250_000:
+            self.clear()
+        b = self[token] = WIDTH if token in (".", "\n") else int(hashlib.md5(token.encode()).hexdigest()[:8], 16) % WIDTH
+        return b
+
+
+_BUCKETS = _Buckets()
 
 
 def token_bucket(token: str) -> int:
-    b = _BUCKETS.get(token)
-    if b is None:
-        if len(_BUCKETS) > 500_000:
-            _BUCKETS.clear()
-        b = _BUCKETS[token] = int(hashlib.md5(token.encode()).hexdigest()[:8], 16) % WIDTH
-    return b
+    return _BUCKETS[token]
+
+
+def token_buckets(tokens: list[str]) -> np.ndarray:
+    return np.fromiter(map(_BUCKETS.__getitem__, tokens), np.int64, len(tokens))
 
 
 def hashed_vector(tokens: list[str]) -> np.ndarray:
-    return np.bincount([token_bucket(t) for t in tokens], minlength=WIDTH).astype(float)
+    return np.bincount(token_buckets(tokens), minlength=WIDTH).astype(float)
 
 
 def _cos(a: np.ndarray, b: np.ndarray) -> float | None:
@@ -58,6 +75,22 @@ def _cos(a: np.ndarray, b: np.ndarray) -> float | None:
     return float(a @ b / size) if size > 0 else None
 
 
+def _best_sentence(codes: np.ndarray, content: np.ndarray, cfg: GenConfig) -> tuple[slice | None, float | None]:
+    """Where the first sentence of the highest cosine lies, and its cosine. Sums are of whole numbers, so their order is free."""
+    ends = np.append(np.flatnonzero(codes == WIDTH), len(codes))
+    starts = np.append(0, ends[:-1] + 1)
+    fit = np.flatnonzero((ends - starts >= max(cfg.min_len, 1)) & (ends - starts <= cfg.max_len))
+    if not len(fit):
+        return None, None
+    starts, sizes = starts[fit], (ends - starts)[fit]
+    at = np.arange(sizes.sum()) + np.repeat(starts - (sizes.cumsum() - sizes), sizes)
+    vecs = np.bincount(np.repeat(np.arange(len(fit)) * WIDTH, sizes) + codes[at], minlength=len(fit) * WIDTH).reshape(-1, WIDTH).astype(float)
+    sims = (vecs @ content / np.sqrt((vecs * vecs).sum(axis=1) * (content @ content))).tolist()
+    rounded = [round(x, 6) for x in sims]
+    k = rounded.index(max(rounded))
+    return slice(int(starts[k]), int(starts[k] + sizes[k])), sims[k]
+
+
 def hashed_pool(docs: DataFrame, cfg: GenConfig = GenConfig(), raw_limit: int | None = None) -> DataFrame:
     """H: raw and extractive captions of each document with their hashed-text cosines to its content.
 
@@ -68,36 +101,90 @@ def hashed_pool(docs: DataFrame, cfg: GenConfig = GenConfig(), raw_limit: int |
 
     def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            raws, gens, raw_sims, gen_sims, contents = [], [], [], [], []
-            for text in batch.column(1).to_pylist():
-                text = text or ""
-                lowered = text.lower()
-                content = hashed_vector(_TOKEN.findall(lowered))
-                raw = _TOKEN.findall(lowered.split("\n", 1)[0])[:raw_limit]
-                best = None
-                for part in re.split(r"[.\n]", lowered):
-                    words = _TOKEN.findall(part)
-                    if cfg.min_len <= len(words) <= cfg.max_len:
-                        sim = _cos(hashed_vector(words), content)
-                        if best is None or round(sim, 6) > round(best[1], 6):
-                            best = (words, sim)
+            raws, gens, raw_sims, gen_sims, contents = [], [], [], [], np.zeros((batch.num_rows, WIDTH))
+            for row, text in enumerate(batch.column(1).to_pylist()):
+                parts = _PARTS.findall((text or "").lower())  # cut once: a text's tokens are those of its sentences
+                codes = token_buckets(parts)
+                contents[row] = content = np.bincount(codes, minlength=WIDTH + 1)[:WIDTH].astype(float)
+                line = parts.index("\n") if "\n" in parts else len(parts)
+                raw = [w for w in parts[:line] if w != "."][:raw_limit]
+                best, sim = _best_sentence(codes, content, cfg)
                 raws.append(raw)
-                raw_sims.append(_cos(hashed_vector(raw), content) if raw else None)
-                gens.append(best[0] if best else None)
-                gen_sims.append(best[1] if best else None)
-                contents.append(content)
+                raw_sims.append(_cos(np.bincount(codes[:line][codes[:line] < WIDTH][:raw_limit], minlength=WIDTH).astype(float), content) if raw else None)
+                gens.append(parts[best] if best else None)
+                gen_sims.append(sim)
             words = pa.list_(pa.string())
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raws, words), pa.array(gens, words), pa.array(raw_sims, pa.float64()), pa.array(gen_sims, pa.float64()), pa.array(contents, pa.list_(pa.float64()))], ["pair_id", "raw_text", "gen_text", "raw_sim", "gen_sim", "content_vec"])
+            vectors = pa.ListArray.from_arrays(np.arange(0, contents.size + 1, WIDTH, dtype=np.int32), contents.ravel())
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(raws, words), pa.array(gens, words), pa.array(raw_sims, pa.float64()), pa.array(gen_sims, pa.float64()), vectors], ["pair_id", "raw_text", "gen_text", "raw_sim", "gen_sim", "content_vec"])
 
     return docs.select(F.col("doc_id").alias("pair_id"), "text").mapInArrow(work, "pair_id bigint, raw_text array<string>, gen_text array<string>, raw_sim double, gen_sim double, content_vec array<double>")
 
 
+_SIGMA = "\u03a3"
+
+
+def _lowered(text: str) -> str:
+    """A capital sigma is lowered by what stands beside it in its own sentence."""
+    return text.lower() if _SIGMA not in text else "".join(p.lower() for p in re.split(r"([.\n])", text))
+
+
+class _Numbers(dict):
+    """Numbers of tokens from 1 on; both marks are 0. `odd` has those of tokens that aren't of letters (category L) alone."""
+
+    def __init__(self):
+        super().__init__({".": 0, "\n": 0})
+        self.odd: set[int] = set()
+
+    def __missing__(self, token: str) -> int:
+        k = self[token] = len(self) - 1
+        if not token.isalpha():
+            self.odd.add(k)
+        return k
+
+    def of(self, text: str) -> np.ndarray:
+        """The numbers of a text's tokens and marks."""
+        parts = _PARTS.findall(_lowered(text))
+        found = np.fromiter(map(self.__getitem__, parts), np.int64, len(parts))
+        if self.odd and not self.odd.isdisjoint(found.tolist()):
+            parts = [w for p in parts for w in ([p] if p.isalpha() or p in ".\n" else ["".join(g) for letters, g in itertools.groupby(p, str.isalpha) if letters])]
+            found = np.fromiter(map(self.__getitem__, parts), np.int64, len(parts))
+        return found
+
+
+def bigram_parts(docs: DataFrame, min_len: int = 1) -> DataFrame:
+    """(w1, w2, n) over the sentences of all texts, with start and end marks: counts of parts of the texts, to be added up."""
+
+    def rows(numbers: _Numbers, codes: list[np.ndarray]) -> Iterator[pa.RecordBatch]:
+        found, n = np.unique(np.concatenate(codes), return_counts=True)
+        words = list(numbers)[2:]
+        firsts, seconds = pa.array([START, *words], pa.string()), pa.array([END, *words], pa.string())
+        for k in range(0, len(found), GIVEN):
+            part = found[k : k + GIVEN]
+            yield pa.RecordBatch.from_arrays([firsts.take(pa.array(part >> 32)), seconds.take(pa.array(part & 0xFFFFFFFF)), pa.array(n[k : k + GIVEN], pa.int64())], ["w1", "w2", "n"])
+
+    def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        numbers, codes, counted = _Numbers(), [], 0
+        for batch in batches:
+            for text in batch.column(0):
+                ids = np.pad(numbers.of(text.as_py() or ""), 1)
+                marks = np.flatnonzero(ids == 0)
+                sizes = np.diff(marks)  # a sentence of n tokens has n + 1 pairs
+                codes.append((ids[:-1] << 32 | ids[1:])[np.repeat(sizes > min_len, sizes)])
+                counted += len(ids)
+                if counted > COUNTED:
+                    yield from rows(numbers, codes)
+                    numbers, codes, counted = _Numbers(), [], 0
+        if codes:
+            yield from rows(numbers, codes)
+        numbers, codes = _Numbers(), []
+        release()
+
+    return docs.select("text").mapInArrow(work, "w1 string, w2 string, n bigint")
+
+
 def bigrams(docs: DataFrame, min_len: int = 1) -> DataFrame:
     """(w1, w2, n) over the sentences of all texts, with start and end marks."""
-    words = docs.select(F.explode(tx.sentences("text")).alias("s")).select(tx.tokens("s").alias("t")).filter(F.size("t") >= min_len)
-    marked = words.select(F.concat(F.array(F.lit(START)), "t", F.array(F.lit(END))).alias("t"))
-    pairs = marked.select(F.explode(F.transform(F.sequence(F.lit(1), F.size("t") - 1), lambda k: F.struct(F.get("t", k - 1).alias("w1"), F.get("t", k).alias("w2")))).alias("p"))
-    return pairs.groupBy("p.w1", "p.w2").agg(F.count("*").alias("n"))
+    return bigram_parts(docs, min_len).groupBy("w1", "w2").agg(F.sum("n").alias("n"))
 
 
 def mixed_bigrams(pool: DataFrame, tuned: DataFrame, weight: float = 20.0) -> DataFrame:
@@ -111,114 +198,191 @@ def top_successors(table: DataFrame, k: int) -> DataFrame:
     return table.withColumn("rank", F.row_number().over(w)).filter(F.col("rank") <= k)
 
 
+class _Choice:
+    """Successors of a context and their weights; words are given, or numbers of words in a vocabulary."""
+
+    __slots__ = ("end", "names", "other", "sums", "total", "weights", "words")
+
+    def __init__(self, words, weights: np.ndarray, names: pa.Array | None = None, end: int | None = None):
+        self.words, self.weights, self.names = words, weights, names
+        self.sums, self.total, self.other = weights.cumsum(), weights.sum(), None
+        if names is None:
+            self.end = words.index(END) if END in words else None
+        else:
+            at = np.flatnonzero(words == end) if end is not None else ()
+            self.end = int(at[0]) if len(at) else None
+
+    def without_end(self) -> _Choice:
+        if self.other is None:
+            k = self.end
+            words = self.words[:k] + self.words[k + 1 :] if self.names is None else np.delete(self.words, k)
+            self.other = _Choice(words, np.delete(self.weights, k), self.names)
+        return self.other
+
+    def pick(self, u: float) -> str:
+        word = self.words[min(int(self.sums.searchsorted(u * self.total, side="right")), len(self.words) - 1)]
+        return word if self.names is None else self.names[int(word)].as_py()
+
+
+class _Core:
+    """The commonest contexts in flat arrays: words, where each one's successors lie, their numbers and counts."""
+
+    def __init__(self, words: pa.ChunkedArray, successors: pa.ChunkedArray, counts: pa.ChunkedArray):
+        coded = successors.combine_chunks()
+        flat = coded.flatten().dictionary_encode()
+        self.contexts, self.names = words.combine_chunks(), flat.dictionary
+        self.ends = np.cumsum(coded.value_lengths().fill_null(0).to_numpy(zero_copy_only=False))
+        self.words = flat.indices.to_numpy()
+        self.counts = counts.combine_chunks().flatten().to_numpy()
+        end = self.names.index(END).as_py()
+        self.end = end if end >= 0 else None
+
+    def choice(self, k: int, heat: float) -> _Choice | None:
+        a, b = int(self.ends[k - 1]) if k else 0, int(self.ends[k])
+        return _Choice(self.words[a:b], self.counts[a:b] ** (1 / heat), self.names, self.end) if b > a else None
+
+
 class NgramSampler:
     """Draws captions from the whole bigram table: the top_k successors of every context.
 
     The model is a table of one row for each context and grows with the corpus. Only its `core`, the commonest contexts, of a
     bounded number, is broadcast: a caption is drawn on while its words are in there, and joined with the table for any other.
+
+    table: (w1, w2, n); the counts of a pair that comes again are added up. With `tuned`, bigrams of a caption corpus, the rows
+    also hold a specialised captioner's successors, of mixed counts (as mixed_bigrams), where they differ: they do for its
+    contexts alone. The mixed top_k are among the top_k and that corpus's pairs, since no other count grows.
     """
 
-    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig(), core: int = CORE):
-        kept = top_successors(table, cfg.top_k).groupBy("w1").agg(F.array_sort(F.collect_list(F.struct("rank", "w2", F.col("n").cast("double").alias("n")))).alias("s"))
-        self.cfg, self.all = cfg, None
-        self.model = kept.select("w1", F.col("s.w2").alias("words"), F.col("s.n").alias("counts")).cache()  # at most top_k entries a row
+    def __init__(self, table: DataFrame, cfg: GenConfig = GenConfig(), core: int = CORE, tuned: DataFrame | None = None, weight: float = 20.0):
+        self.cfg, self.all, spark = cfg, None, table.sparkSession
+        self.parts = int(spark.conf.get("spark.sql.shuffle.partitions"))
+        none = F.lit(None).cast("double")
+        rows = table.select("w1", "w2", F.col("n").cast("double").alias("n"), none.alias("more"))
+        if tuned is not None:
+            rows = rows.union(tuned.select("w1", "w2", none, (F.col("n") * weight).cast("double")))
+        # dealt by the context once: sums, ranks and rows of the model, and later joins with it, stay there
+        pairs = rows.repartition(self.parts, "w1").groupBy("w1", "w2").agg(F.sum("n").alias("n"), F.sum("more").alias("more"))
+        ranked = pairs.withColumn("rank", F.row_number().over(Window.partitionBy("w1").orderBy(F.desc("n"), "w2")))
+        kept = ranked.filter((F.col("rank") <= cfg.top_k) | F.col("more").isNotNull()).groupBy("w1").agg(F.array_sort(F.collect_list(F.struct("rank", "w2", "n", "more"))).alias("s"))
+        own = F.filter("s", lambda x: (x["rank"] <= cfg.top_k) & x["n"].isNotNull()) if tuned is not None else F.col("s")
+        mixed = F.slice(F.array_sort(F.transform("s", lambda x: F.struct((-F.coalesce(x["n"], F.lit(0.0)) - F.coalesce(x["more"], F.lit(0.0))).alias("less"), x["w2"].alias("w2")))), 1, cfg.top_k)
+        lists = kept.select("w1", own.alias("s"), (F.when(F.exists("s", lambda x: x["more"].isNotNull()), mixed) if tuned is not None else F.lit(None).cast("array<struct<less:double,w2:string>>")).alias("m"))
+        model = lists.select("w1", F.col("s.w2").alias("words"), F.col("s.n").alias("counts"), F.col("m.w2").alias("tuned_words"), F.transform("m.less", lambda x: -x).alias("tuned_counts"))
+        total = lambda c: F.aggregate(F.coalesce(c, F.array().cast("array<double>")), F.lit(0.0), lambda a, n: a + n)
+        self.model = model.withColumn("weight", F.greatest(total(F.col("counts")), total(F.col("tuned_counts")))).cache()  # at most top_k entries a list
         first = self.model.filter(F.col("w1") == START).first()
-        self.start = self._weighted(first["words"], first["counts"]) if first else ([], np.zeros(0))
-        weight = F.aggregate("counts", F.lit(0.0), lambda a, n: a + n)
-        self.core = self.model.filter(F.col("w1") != START).orderBy(weight.desc(), "w1").limit(core).toArrow()  # at most core rows
+        self.first = [(first["words"], first["counts"]) if first else None, (first["tuned_words"], first["tuned_counts"]) if first and first["tuned_words"] else None]
+        self.core = self._core(core)
 
-    def _weighted(self, words, counts) -> tuple[list[str], np.ndarray]:
-        return list(words), np.array(counts, float) ** (1 / self.cfg.temperature)
+    def _core(self, most: int) -> list[_Core | None]:
+        """The contexts of the greatest weight, at most so many: their weights are cut first, then their rows fetched."""
+        rest = self.model.filter(F.col("w1") != START)
+        cut = rest.select("weight").orderBy(F.desc("weight")).limit(most + 1).agg(F.count("*").alias("n"), F.min("weight").alias("least")).first()
+        rows = (rest if cut["n"] <= most else rest.filter(F.col("weight") > cut["least"])).drop("weight").toArrow()  # at most `most` rows
+        return [_Core(rows.column("w1"), rows.column(f"{k}words"), rows.column(f"{k}counts")) if rows.num_rows else None for k in ("", "tuned_")]
+
+    def _start(self, heat: float, tuned: bool) -> _Choice:
+        """What a caption starts with; successors of words without any."""
+        words, counts = (self.first[1] if tuned else None) or self.first[0] or ([], [])
+        return _Choice(list(words), np.array(counts, float) ** (1 / heat))
 
     @staticmethod
-    def _draw(cfg: GenConfig, start: tuple, key: int, at: int, own: tuple) -> str | None:
+    def _draw(cfg: GenConfig, start: _Choice, key: int, at: int, own: _Choice) -> str | None:
         """The word at position `at`; END or None: the caption is over."""
-        words, weights = own
         while True:
-            if at < cfg.min_len and END in words:
-                k = words.index(END)
-                words, weights = words[:k] + words[k + 1 :], np.delete(weights, k)
-                if not words:
-                    words, weights = start
-                    if words == [END]:
+            if at < cfg.min_len and own.end is not None:
+                own = own.without_end()
+                if not len(own.words):
+                    own = start
+                    if own.words == [END]:
                         return None
-            if not len(words):
+            if not len(own.words):
                 return None
-            u = int(hashlib.md5(f"{key}:{at}:{cfg.seed}".encode()).hexdigest()[:12], 16) / 16**12
-            word = words[min(int(np.searchsorted(weights.cumsum(), u * weights.sum(), side="right")), len(words) - 1)]
+            word = own.pick(int(hashlib.md5(f"{key}:{at}:{cfg.seed}".encode()).hexdigest()[:12], 16) / 16**12)
             if word != END or at >= cfg.min_len:
                 return word
-            words, weights = start
+            own = start
 
     def caption(self, key: int) -> list[str]:
         """The caption of a pair: the same whenever and wherever it is drawn. For tests: it collects the model."""
+        start, heat = self._start(self.cfg.temperature, False), 1 / self.cfg.temperature
         if self.all is None:
-            self.all = {r["w1"]: self._weighted(r["words"], r["counts"]) for r in self.model.collect()}
+            self.all = {r["w1"]: _Choice(list(r["words"]), np.array(r["counts"], float) ** heat) for r in self.model.collect() if r["words"]}
         out: list[str] = []
         while len(out) < self.cfg.max_len:
-            word = self._draw(self.cfg, self.start, key, len(out), self.all.get(out[-1] if out else START, self.start))
+            word = self._draw(self.cfg, start, key, len(out), self.all.get(out[-1], start) if out else start)
             if word is None or word == END:
                 break
             out.append(word)
         return out
 
-    def generate(self, pairs: DataFrame, captioner: str = "sampler", temperatures: tuple[float, ...] = ()) -> DataFrame:
+    def generate(self, pairs: DataFrame, captioner: str = "sampler", temperatures: tuple[float, ...] = (), tuned: tuple[bool, ...] = (False,)) -> DataFrame:
         """CaptionSheet: pair_id, captioner, temperature, text, of a DataFrame with pair_id.
 
-        All of several temperatures are drawn in the same rounds.
+        All of several temperatures are drawn in the same rounds, and so are the plain and the specialised captioner, whose name
+        ends in _ft, if `tuned` asks for both.
         """
         cfg, draw = self.cfg, self._draw
         heats = temperatures or (cfg.temperature,)
-        plain = (self.start[0], self.start[1] ** cfg.temperature)  # the counts themselves
-        starts = {t: (plain[0], plain[1] ** (1 / t)) for t in heats}
-
+        starts = {(t, k): self._start(t, k) for t in heats for k in tuned}
         sent = pairs.sparkSession.sparkContext.broadcast(self.core)
 
         def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            core = {w: (s, n) for w, s, n in zip(*(c.to_pylist() for c in sent.value.columns), strict=True)}
-            hot: dict[tuple, tuple] = {}
+            plain, special = sent.value
+            places = {w: k for k, w in enumerate(plain.contexts.to_pylist())} if plain else {}
+            hot: dict[tuple, _Choice | None] = {}
+
+            def known(word: str, heat: float, ft: bool) -> _Choice | None:
+                """The choice after a word of the core; the specialised captioner's own only where it has one."""
+                found = hot.get((word, heat, ft), hot)
+                if found is hot:
+                    k = places.get(word)
+                    found = None if k is None else (ft and special.choice(k, heat)) or plain.choice(k, heat) or starts[heat, ft]
+                    hot[word, heat, ft] = found
+                return found
+
             for batch in batches:
                 texts, last, sizes = [], [], []
-                for key, t, text, at, words, counts in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                    own = starts[t] if words is None else (words, np.array(counts, float) ** (1 / t))
+                for key, t, ft, text, at, words, counts in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                    own = _Choice(words, np.array(counts, float) ** (1 / t)) if words else starts[t, ft]
                     made = [text] if text else []
-                    while True:
-                        word = draw(cfg, starts[t], key, at, own)
-                        word = None if word == END else word
-                        if word is None:
+                    while own is not None:
+                        word = draw(cfg, starts[t, ft], key, at, own)
+                        if word is None or word == END:
+                            word = None
                             break
                         made.append(word)
                         at += 1
                         if at >= cfg.max_len:
                             word = None
                             break
-                        own = hot.get((word, t))
-                        if own is None:
-                            if word not in core:
-                                break
-                            own = hot[word, t] = (core[word][0], np.array(core[word][1], float) ** (1 / t))
+                        own = known(word, t, ft)
                     texts.append(" ".join(made))
                     last.append(word)
                     sizes.append(at)
-                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(texts, pa.string()), pa.array(last, pa.string()), pa.array(sizes, pa.int32())], ["pair_id", "temperature", "text", "word", "size"])
-
-        schema, none = "pair_id bigint, temperature double, text string, word string, size int", F.lit(None).cast("array<string>")
-        given = pairs.select(F.col("pair_id").cast("bigint"), F.explode(F.array(*map(F.lit, heats))).alias("temperature"), F.lit("").alias("text"), F.lit(0).alias("size"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
-        parts, model = [], self.model.withColumnRenamed("w1", "word")
+                if len(hot) > 4 * CORE:
+                    hot.clear()
+                yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), batch.column(2), pa.array(texts, pa.string()), pa.array(last, pa.string()), pa.array(sizes, pa.int32())], ["pair_id", "temperature", "tuned", "text", "word", "size"])
+            hot.clear()
+            release()
+
+        schema, none = "pair_id bigint, temperature double, tuned boolean, text string, word string, size int", F.lit(None).cast("array<string>")
+        runs = F.explode(F.array(*[F.struct(F.lit(float(t)).alias("temperature"), F.lit(k).alias("tuned")) for t in heats for k in tuned])).alias("run")
+        given = pairs.select(F.col("pair_id").cast("bigint")).repartition(self.parts, "pair_id").select("pair_id", runs)
+        given = given.select("pair_id", "run.temperature", "run.tuned", F.lit("").alias("text"), F.lit(0).alias("size"), none.alias("words"), F.lit(None).cast("array<double>").alias("counts"))
+        done, model = [], self.model.withColumnRenamed("w1", "word")
         for _ in range(max(cfg.max_len, 1)):
             state = materialise(given.mapInArrow(work, schema), "captions")
-            parts.append(state.filter("word IS NULL").select("pair_id", "temperature", "text"))
+            done.append(state.filter("word IS NULL").select("pair_id", "temperature", "tuned", "text"))
             going = state.filter("word IS NOT NULL")
-            asked = going.select("word").distinct()
-            n = asked.limit(FEW_WORDS + 1).count()
-            if not n:
+            if going.isEmpty():
                 break
-            needed = model.join(F.broadcast(asked), "word") if n <= FEW_WORDS else model
-            given = going.join(needed, "word", "left").select("pair_id", "temperature", "text", "size", "words", "counts")
-        every = parts[0]
-        for part in parts[1:]:
-            every = every.union(part)
-        return every.select("pair_id", F.lit(captioner).alias("captioner"), "temperature", "text")
+            # the captions are hashed, and the model, dealt by its contexts already, streams past them
+            met = going.hint("shuffle_hash").join(model, "word", "left")
+            pick = lambda c: F.when(F.col("tuned") & F.col(f"tuned_{c}").isNotNull(), F.col(f"tuned_{c}")).otherwise(F.col(c)).alias(c)
+            given = met.select("pair_id", "temperature", "tuned", "text", "size", pick("words"), pick("counts"))
+        every = functools.reduce(DataFrame.union, done)  # all are drawn by now
+        return every.select("pair_id", F.concat(F.lit(captioner), F.when(F.col("tuned"), "_ft").otherwise("")).alias("captioner"), "temperature", "text")
 
 
 class ExternalCaptioner:

@@ -40,22 +40,26 @@ class HashedEncoder:
             return df.select(F.col(key).alias("key"), counted.alias("vec")).withColumn("_n", length).select("key", F.when(F.col("_n") > 0, F.transform("vec", lambda x: x / F.col("_n"))).otherwise(F.col("vec")).alias("vec"))
         return df.select(F.col(key).alias("key"), counted.alias("vec"))
 
-    def encode_arrow(self, df: DataFrame, key: str, text: str) -> DataFrame:
-        """The same over Arrow batches, for long texts."""
-        from .captioners import _TOKEN, hashed_vector
+    def encode_arrow(self, df: DataFrame, key: str, text: str, *carry: str) -> DataFrame:
+        """The same over Arrow batches, for long texts; `carry` names columns that are kept, so that nothing is joined again."""
+        from .captioners import _TOKEN, WIDTH, hashed_vector
 
-        if self.width != 64:
-            raise ValueError("the Arrow form has 64 dimensions")
+        if self.width != WIDTH:
+            raise ValueError(f"the Arrow form has {WIDTH} dimensions")
         unit = self.normalise
 
         def work(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                vecs = [hashed_vector(_TOKEN.findall((t or "").lower())) for t in batch.column(1).to_pylist()]
-                if unit:
-                    vecs = [v / n if (n := np.sqrt(v @ v)) > 0 else v for v in vecs]
-                yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(vecs, pa.list_(pa.float64()))], ["key", "vec"])
-
-        return df.select(F.col(key).cast("bigint").alias("key"), text).mapInArrow(work, "key bigint, vec array<double>")
+                vecs = np.zeros((batch.num_rows, WIDTH))
+                for k, t in enumerate(batch.column(1).to_pylist()):
+                    v = hashed_vector(_TOKEN.findall((t or "").lower()))
+                    vecs[k] = v / n if unit and (n := np.sqrt(v @ v)) > 0 else v
+                flat = pa.ListArray.from_arrays(np.arange(0, vecs.size + 1, WIDTH, dtype=np.int32), vecs.ravel())
+                yield pa.RecordBatch.from_arrays([batch.column(0), *batch.columns[2:], flat], ["key", *carry, "vec"])
+
+        rows = df.select(F.col(key).cast("bigint").alias("key"), text, *carry)
+        kept = "".join(f"{c} {rows.schema[c].dataType.simpleString()}, " for c in carry)
+        return rows.mapInArrow(work, f"key bigint, {kept}vec array<double>")
 
 
 class ExternalEncoder:

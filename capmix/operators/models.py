@@ -146,9 +146,19 @@ def _unit(x: np.ndarray) -> np.ndarray:
 
 
 def _better(s: np.ndarray, own: np.ndarray, ids: np.ndarray, others: np.ndarray) -> np.ndarray:
-    """How many candidates beat each row's own one; ties go to the lower id."""
-    beats = (s > own[:, None] + TIE) | ((np.abs(s - own[:, None]) <= TIE) & (others[None, :] < ids[:, None]))
-    return (beats & (others[None, :] != ids[:, None])).sum(axis=1)
+    """How many candidates beat each row's own one; ties go to the lower id. `others` is in order.
+
+    Two counts for each row; only rows with another candidate near their own one are compared one by one.
+    """
+    out = np.count_nonzero(s > (own + TIE)[:, None], axis=1)
+    near = np.count_nonzero(s >= (own - 2 * TIE)[:, None], axis=1) - out
+    itself = np.searchsorted(others, ids, "right") - np.searchsorted(others, ids, "left")
+    at = np.flatnonzero((near != itself) | (itself > 1))
+    if len(at):
+        s, own, ids = s[at], own[at], ids[at]
+        beats = (s > own[:, None] + TIE) | ((np.abs(s - own[:, None]) <= TIE) & (others[None, :] < ids[:, None]))
+        out[at] = (beats & (others[None, :] != ids[:, None])).sum(axis=1)
+    return out
 
 
 def retrieval_ranks(items: DataFrame, maps: dict[str, np.ndarray], block_rows: int = BLOCK_ROWS) -> DataFrame:
@@ -170,8 +180,8 @@ def retrieval_ranks(items: DataFrame, maps: dict[str, np.ndarray], block_rows: i
             ids, images, texts = sent.value
             images, mapped = _unit(images), {}
             for whole in batches:
-                for k in range(0, whole.num_rows, 1024):
-                    batch = whole.slice(k, 1024)
+                for k in range(0, whole.num_rows, 256):  # a block of 256 x block_rows scores at a time
+                    batch = whole.slice(k, 256)
                     own_ids = batch.column(0).to_numpy()
                     i, t = (np.asarray(batch.column(c).flatten()).reshape(batch.num_rows, -1) for c in (1, 2))
                     i = _unit(i)
@@ -180,8 +190,8 @@ def retrieval_ranks(items: DataFrame, maps: dict[str, np.ndarray], block_rows: i
                         if name not in mapped:
                             mapped[name] = _unit(texts @ w)
                         own = (y * i).sum(axis=1)
-                        for direction, s in (("t2i", y @ images.T), ("i2t", i @ mapped[name].T)):
-                            n = batch.num_rows
+                        for direction, a, b in (("t2i", y, images), ("i2t", i, mapped[name])):
+                            n, s = batch.num_rows, a @ b.T
                             yield pa.RecordBatch.from_arrays([pa.array([name] * n), pa.array([direction] * n), batch.column(0), pa.array(_better(s, own, own_ids, ids).astype(np.int64))], ["model", "direction", "item_id", "better"])
 
         one = rows.mapInArrow(count, "model string, direction string, item_id bigint, better bigint")

@@ -12,7 +12,6 @@ from ..operators import reference_metrics as rm
 from ..operators.encoders import HashedEncoder
 from ..sources import fixtures as fx
 from ..sources.tables import load, spread
-from ..storage import materialise
 from . import ctes as q
 from . import pool_queries as pq
 
@@ -215,13 +214,14 @@ def rouge(spark, d):
     return both.groupBy("origin").agg(F.avg(rm.rouge_l("words", "ref")).alias("rouge_l"))
 
 
-def _sampled(spark, d, temperatures: tuple[float, ...], tuned: bool = False, table: DataFrame | None = None) -> DataFrame:
-    """(pair_id, temperature, words) for the whole pool, all temperatures drawn in the same rounds."""
+def _sampled(spark, d, temperatures: tuple[float, ...], tuned: tuple[bool, ...] = (False,)) -> DataFrame:
+    """(pair_id, captioner, temperature, words) for the whole pool, all temperatures and captioners drawn in the same rounds."""
     docs = load(spark, d, "documents")
-    table = captioners.bigrams(docs) if table is None else table
-    table = captioners.mixed_bigrams(table, captioners.bigrams(load(spark, d, "benchmark"))) if tuned else table
-    made = captioners.NgramSampler(table).generate(docs.select(F.col("doc_id").alias("pair_id")), "sampler", temperatures)
-    return made.select("pair_id", "temperature", F.split("text", " ").alias("words"))
+    special = captioners.bigrams(load(spark, d, "benchmark")) if any(tuned) else None
+    sampler = captioners.NgramSampler(captioners.bigram_parts(spread(docs.select("doc_id", "text"), "doc_id")), tuned=special)
+    made = sampler.generate(docs.select(F.col("doc_id").alias("pair_id")), "sampler", temperatures, tuned)
+    sampler.model.unpersist()  # all captions are drawn and kept by now
+    return made.select("pair_id", "captioner", "temperature", F.split("text", " ").alias("words"))
 
 
 CONFIGS = ["extractive", "sampler_075", "sampler_075_ft", "sampler_150", "sampler_150_ft"]
@@ -230,18 +230,15 @@ CONFIGS = ["extractive", "sampler_075", "sampler_075_ft", "sampler_150", "sample
 def _configs(spark, d, h: DataFrame) -> DataFrame:
     """(pair_id, origin, words) of five captioner configurations."""
     every = h.filter("gen_text IS NOT NULL").select("pair_id", F.lit("extractive").alias("origin"), F.col("gen_text").alias("words"))
-    table = materialise(captioners.bigrams(load(spark, d, "documents")), "bigrams")  # counted once for both
-    for tuned in (False, True):
-        name = F.concat(F.when(F.col("temperature") == 0.75, "sampler_075").otherwise("sampler_150"), F.lit("_ft" if tuned else ""))
-        every = every.union(_sampled(spark, d, (0.75, 1.5), tuned, table).select("pair_id", name, "words"))
-    return every
+    name = F.concat(F.when(F.col("temperature") == 0.75, "sampler_075").otherwise("sampler_150"), F.when(F.col("captioner") == "sampler_ft", "_ft").otherwise(""))
+    return every.union(_sampled(spark, d, (0.75, 1.5), (False, True)).select("pair_id", name, "words"))
 
 
 def _with_vectors(captions: DataFrame, h: DataFrame) -> DataFrame:
     """Captions with their hashed vectors and the content vectors of their documents."""
-    text = captions.select("pair_id", "origin", F.array_join("words", " ").alias("text")).withColumn("row", F.xxhash64("pair_id", "origin"))
-    vecs = HashedEncoder().encode_arrow(text, "row", "text").withColumnRenamed("key", "row")
-    return text.join(vecs, "row").join(h.select("pair_id", "content_vec"), "pair_id").select("pair_id", "origin", F.col("vec").alias("text_vec"), F.col("content_vec").alias("image_vec"))
+    text = captions.select("pair_id", "origin", F.array_join("words", " ").alias("text")).join(h.select("pair_id", "content_vec"), "pair_id")
+    vecs = HashedEncoder().encode_arrow(text, "pair_id", "text", "origin", "content_vec")
+    return vecs.select(F.col("key").alias("pair_id"), "origin", F.col("vec").alias("text_vec"), F.col("content_vec").alias("image_vec"))
 
 
 #: Pairs held out from training of captioner models, and evaluated.
@@ -277,7 +274,7 @@ def captioner_table(spark, d):
     """
     h = pool(spark, d)
     every = _configs(spark, d, h).cache()
-    sims = _with_vectors(every, h).select("origin", vx.cosine_arrow("text_vec", "image_vec").alias("sim"))
+    sims = _with_vectors(every, h).select("origin", vx.cosine_arrow("text_vec", "image_vec").alias("sim")).cache()
     noise = sims.groupBy("origin").agg(F.avg("sim").alias("mean_sim")).join(alignment.reference_free(sims), "origin")
     sizes = every.groupBy("origin").agg(F.count("*").alias("n_rows"), F.avg(F.size("words")).alias("mean_words"))
     refs = _matched(spark, d, h).cache()

@@ -31,3 +31,44 @@ def test_captions_do_not_depend_on_the_core(spark):
         made.append((sorted(map(tuple, got.collect())), len({f.rsplit("/", 1)[0] for f in got.inputFiles()})))
     assert made[0][0] == made[1][0] == made[2][0] and len(made[0][0]) == 100
     assert made[2][1] == 1 < made[1][1]
+
+
+def test_specialised_captions_are_drawn_beside_plain_ones(spark):
+    """Both captioners in the same rounds, with the specialised one's rows kept beside the plain ones, equal runs on two whole tables."""
+    docs, bench = (spark.read.parquet(f"{SMOKE}/{t}.parquet").limit(40) for t in ("documents", "benchmark"))
+    pairs, table, special = spark.range(30).withColumnRenamed("id", "pair_id"), captioners.bigrams(docs).cache(), captioners.bigrams(bench).cache()
+    apart = {}
+    for name, counts in (("sampler", table), ("sampler_ft", captioners.mixed_bigrams(table, special))):
+        apart |= {(r["pair_id"], name, r["temperature"]): r["text"] for r in captioners.NgramSampler(counts, core=20).generate(pairs, name, (0.5, 1.5)).collect()}
+    for core in (0, 20, captioners.CORE):
+        rows = captioners.NgramSampler(captioners.bigram_parts(docs), core=core, tuned=special).generate(pairs, "sampler", (0.5, 1.5), (False, True)).collect()
+        assert {(r["pair_id"], r["captioner"], r["temperature"]): r["text"] for r in rows} == apart and len(rows) == 120
+    assert any(apart[k, "sampler", 1.5] != apart[k, "sampler_ft", 1.5] for k in range(30))
+
+
+def test_rounds_do_not_shuffle_the_model(spark):
+    """A round deals the captions alone; the model stays where its rows were made, and unlike before none is joined by sorting."""
+    docs = spark.read.parquet(f"{SMOKE}/documents.parquet").limit(10)
+    sampler = captioners.NgramSampler(captioners.bigram_parts(docs))
+    going = spark.createDataFrame([("the",)], "word string")
+    plan = going.hint("shuffle_hash").join(sampler.model.withColumnRenamed("w1", "word"), "word", "left")._jdf.queryExecution().executedPlan().toString()
+    plan = plan.split("InMemoryRelation")[0]
+    assert "LeftOuter, BuildLeft" in plan and plan.count("Exchange") == 1 and "Sort" not in plan
+
+
+def test_bigrams_of_odd_letters(spark):
+    """Counted in Arrow batches, and in several parts, as by Spark's expressions."""
+    from pyspark.sql import functions as F
+
+    from capmix.functions import text as tx
+
+    texts = ["ΟΔΟΣ.Α ΟΔΟΣ\nΣΑΣ Σ", "x²y ½ Ⅷ naïve STRASSE", "İstanbul ǅ a_b 7z", "", None, "..\n.", "日本語 文。字", "one two.one two"]
+    docs = spark.createDataFrame([(k, t) for k, t in enumerate(texts)], "doc_id bigint, text string")
+    for least in (1, 2):
+        words = docs.select(F.explode(tx.sentences("text")).alias("s")).select(tx.tokens("s").alias("t")).filter(F.size("t") >= least)
+        want: dict = {}
+        for (t,) in words.collect():
+            marked = [captioners.START, *t, captioners.END]
+            for pair in zip(marked, marked[1:], strict=False):
+                want[pair] = want.get(pair, 0) + 1
+        assert {(r["w1"], r["w2"]): r["n"] for r in captioners.bigrams(docs, least).collect()} == want

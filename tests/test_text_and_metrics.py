@@ -175,3 +175,19 @@ def test_comparisons_are_over_given_tables(spark, name):
 
     small, large = (sorted(map(tuple, catalogue.queries()[name](spark, d).collect()), key=str) for d in (SMOKE, ORACLE))
     assert len(small) == len(large) > 1 and small != large
+
+
+def test_metrics_beside_references_equal_shuffled_grams(spark):
+    """Grams counted beside a caption's references give what joins of all grams gave; several references, none, and empty captions."""
+    words = lambda text: text.split()
+    caps = spark.createDataFrame([(1, "a", words("a red dog runs in the park")), (1, "b", words("the dog the dog the")), (2, "a", words("a cat")), (2, "b", []), (3, "a", words("no reference here"))], "pair_id bigint, origin string, words array<string>")
+    refs = spark.createDataFrame([(1, words("a red dog runs")), (1, words("the dog in the big park")), (2, words("one cat on a mat"))], "pair_id bigint, words array<string>")
+    corpus = spark.createDataFrame([(1, words("a red dog runs")), (2, words("the dog in the big park")), (3, words("a cat the dog"))], "item_id bigint, words array<string>")
+    own, most = rm.consensus(caps, refs, ["pair_id"], corpus), rm.consensus(caps, refs, ["pair_id"], corpus, most=1)
+    a, b = ({r["origin"]: r["consensus"] for r in x.collect()} for x in (own, most))
+    assert set(a) == {"a", "b"} and all(abs(a[k] - b[k]) < 1e-9 for k in a)
+    assert "gram" not in rm.bleu(caps, refs, ["pair_id"])._jdf.queryExecution().executedPlan().toString()
+    # clipped words and pairs of words of all captions, and lengths beside the closest references', ties to the shorter
+    want = {"a": math.exp(1 - 11 / 9) * math.sqrt(9 / 12 * 4 / 9), "b": math.exp(1 - 9 / 5) * math.sqrt(3 / 5 * 1 / 4)}
+    got = {r["origin"]: r["bleu"] for r in rm.bleu(caps, refs, ["pair_id"], max_n=2).collect()}
+    assert set(got) == set(want) and all(got[k] == pytest.approx(want[k]) for k in want)
